@@ -85,10 +85,19 @@ _SPACE[[0x20, 9, 10, 11, 12, 13]] = True
 _CODE = _rng.integers(1, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _CODE[_SPACE] = 0
 _BASE = np.uint64(0x9E3779B97F4A7C15)
-_LOW = np.cumprod(np.concatenate([[1], np.full(4095, _BASE)]).astype(np.uint64))
 GRAM = np.uint64(0xD1342543DE82EF95)
 
 
+def powers(base: int | np.uint64, n: int) -> np.ndarray:
+    """base ** 0 .. base ** (n - 1) modulo 2**64."""
+    steps = np.full(max(1, n), base, np.uint64)
+    steps[0] = 1
+    return np.cumprod(steps, dtype=np.uint64)
+
+
+_LOW = powers(_BASE, 4096)
+
+
 def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:
     """Bijective 64-bit finaliser."""
     x = x + np.uint64((salt * 0x9E3779B97F4A7C15) & 0xFFFFFFFFFFFFFFFF)
@@ -102,9 +111,7 @@ def _powers(pos: np.ndarray) -> np.ndarray:
     top = int(pos.max(initial=0)) >> 12
     if not top:
         return _LOW[pos]
-    step = _LOW[-1] * _BASE
-    high = np.cumprod(np.concatenate([[1], np.full(top, step)]).astype(np.uint64))
-    return _LOW[pos & 4095] * high[pos >> 12]
+    return _LOW[pos & 4095] * powers(_LOW[-1] * _BASE, top + 1)[pos >> 12]
 
 
 def hash_words(docs: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
