@@ -77,6 +77,17 @@ def _drop_tables() -> None:
             return
 
 
+def free_names(wanted: list[str], taken: list[str]) -> list[str]:
+    """The wanted column names, with underscores before those that are taken (letter case aside)."""
+    held, out = {c.lower() for c in taken}, []
+    for name in wanted:
+        while name.lower() in held:
+            name = f"_{name}"
+        held.add(name.lower())
+        out.append(name)
+    return out
+
+
 # ---------------------------------------------------------------- hashing
 
 _rng = np.random.default_rng(20_240_611)

@@ -104,7 +104,7 @@ def signatures(s: np.ndarray, bands: Bands, merged: dict[int, frozenset[int]]) -
         alone = np.setdiff1d(np.arange(m), [i for j in pairs for i in (j, j + 1)])
         out.append(mix(sums[alone] + mix(alone.astype(np.uint64), 1000 + b), 22))
         for j in pairs:
-            whole, base = sums[j] + sums[j + 1], mix(np.array([j], np.uint64), 5000 + b)
+            whole, base = sums[j : j + 2].sum(dtype=np.uint64), mix(np.array([j], np.uint64), 5000 + b)
             near = np.concatenate([np.array([whole]), whole - weight[at[j] : at[j + 2]]])
             out.append(np.unique(mix(near + base, 23)))
     return np.concatenate(out)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import slices
+from .common import free_names, slices
 
 DIMS = 4096
 BANDS = (40, 400)  # grams: below, between, above
@@ -126,21 +126,21 @@ def train(labelled: DataFrame, per_language: int = 300, clusters: int = 3, slack
 
 
 def identify(docs: DataFrame, model: LanguageModel, key: str = "doc_id", keep: bool = False) -> DataFrame:
-    """key, lang_pred, score and rejected of every text; with keep the rows of docs as they are, with these added as _lang, _score, _rejected."""
+    """key, lang_pred, score and rejected of every text; with keep the rows of docs with these three added, under free names, at the end."""
     if model.size_bytes() > 64_000_000:
         raise ValueError("the model is too large to broadcast")
     shared = docs.sparkSession.sparkContext.broadcast(model)
     columns = docs.columns if keep else [key, "text"]
     kinds = dict(docs.dtypes)
-    names = ("_lang", "_score", "_rejected") if keep else ("lang_pred", "score", "rejected")
-    schema = ", ".join(f"`{c}` {kinds[c]}" for c in columns if keep or c != "text") + f", {names[0]} string, {names[1]} double, {names[2]} boolean"
+    names = tuple(free_names(["lang_pred", "lang_score", "rejected"], columns)) if keep else ("lang_pred", "score", "rejected")
+    schema = ", ".join(f"`{c}` {kinds[c]}" for c in columns if keep or c != "text") + f", `{names[0]}` string, `{names[1]}` double, `{names[2]}` boolean"
     at = columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m, letters = shared.value, _letters()
         for batch in batches:
             texts = batch.column(at).to_pylist()
-            sizes = [b"x" * 0 if t is None else t for t in texts]
+            sizes = [t or "" for t in texts]
             langs, scores, rejected = ["und"] * len(texts), np.zeros(len(texts)), np.ones(len(texts), bool)
             for lo, hi in _blocks(sizes):
                 rows = [i for i in range(lo, hi) if texts[i] and m.languages and letters.search(texts[i])]

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import GRAM, as_bytes, grams, hash_words, materialise, mix, powers, release, signed, slices
+from .common import GRAM, as_bytes, free_names, grams, hash_words, materialise, mix, powers, release, signed, slices
 
 ANCHOR = 5
 
@@ -143,32 +143,42 @@ def _kept(words: list[bytes], cuts: list[dict], length: int) -> list[bytes]:
 
 
 def deduplicate(docs: DataFrame, length: int = 20, digest: bool = False) -> DataFrame:
-    """The rows of docs with repeats cut from text, plus n_words and n_removed.
+    """The rows of docs with repeats cut from text.
 
     Texts without a repeat stay as they are; others are their kept words, joined by one space. With
     digest: doc_id, n_words, n_removed, kept_sha256 only.
     """
-    cuts = find_repeats(docs, length).withColumnRenamed("doc_id", "_doc")
     columns = ["doc_id", "text"] if digest else docs.columns
+    doc, cut = free_names(["_doc", "_cuts"], columns)
+    cuts = find_repeats(docs, length).withColumnsRenamed({"doc_id": doc, "cuts": cut})
     kinds = dict(docs.dtypes)
-    joined = docs.select(*columns).join(cuts, F.col("doc_id") == F.col("_doc"), "left").drop("_doc")
-    shown = ["doc_id"] if digest else columns
-    schema = ", ".join(f"`{c}` {kinds[c]}" for c in shown) + ", n_words bigint, n_removed bigint" + ", kept_sha256 string" * digest
+    joined = docs.select(*columns).join(cuts, F.col("doc_id") == F.col(doc), "left").drop(doc)
+    schema = "doc_id bigint, n_words bigint, n_removed bigint, kept_sha256 string" if digest else ", ".join(f"`{c}` {kinds[c]}" for c in columns)
     at = columns.index("text")
 
+    def texts(part: pa.RecordBatch) -> pa.RecordBatch:
+        out = []
+        for text, found in zip(part.column(at).to_pylist(), part.column(len(columns)).to_pylist()):
+            if found:
+                words = text.encode().split()
+                kept = _kept(words, found, length)
+                text = b" ".join(kept).decode() if len(kept) < len(words) else text
+            out.append(text)
+        return pa.RecordBatch.from_arrays([pa.array(out, pa.string()) if i == at else part.column(i) for i in range(len(columns))], columns)
+
+    def digests(part: pa.RecordBatch) -> pa.RecordBatch:
+        n, removed, out = [], [], []
+        for text, found in zip(as_bytes(part.column(1)), part.column(2).to_pylist()):
+            words = text.split()
+            kept = _kept(words, found, length) if found else words
+            n.append(len(words))
+            removed.append(len(words) - len(kept))
+            out.append(hashlib.sha256(b" ".join(kept)).hexdigest())
+        return pa.RecordBatch.from_arrays([part.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(removed, pa.int64()), pa.array(out, pa.string())], ["doc_id", "n_words", "n_removed", "kept_sha256"])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lo in range(0, batch.num_rows, 1000):
-                part = batch.slice(lo, 1000)
-                raw, all_cuts, n, removed, out = part.column(at), part.column(len(columns)).to_pylist(), [], [], []
-                for text, found in zip(raw.to_pylist() if not digest else as_bytes(raw), all_cuts):
-                    words = (text if digest else (text or "").encode()).split()
-                    kept = _kept(words, found, length) if found else words
-                    n.append(len(words))
-                    removed.append(len(words) - len(kept))
-                    out.append(hashlib.sha256(b" ".join(kept)).hexdigest() if digest else b" ".join(kept).decode() if removed[-1] else text)
-                own = [part.column(0).cast(pa.int64())] if digest else [pa.array(out, pa.string()) if i == at else part.column(i) for i in range(len(columns))]
-                tail = [pa.array(n, pa.int64()), pa.array(removed, pa.int64())] + ([pa.array(out, pa.string())] if digest else [])
-                yield pa.RecordBatch.from_arrays(own + tail, shown + ["n_words", "n_removed"] + ["kept_sha256"] * digest)
+                yield (digests if digest else texts)(batch.slice(lo, 1000))
 
     return joined.mapInArrow(run, schema)
