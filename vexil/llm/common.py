@@ -18,6 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 SLICE_BYTES = 2_000_000
 WORD_RE = r"[^\x20\x09-\x0D]+"
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+_BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
 _tables: list[tuple[SparkSession, str]] = []
 
 
@@ -33,20 +34,24 @@ def shared_dir(spark: SparkSession) -> str:
     return found
 
 
-def materialise(df: DataFrame, tag: str) -> DataFrame:
+def materialise(df: DataFrame, tag: str, batch: int | None = None) -> DataFrame:
     """Write df once to the shared folder and read it back: cuts lineage, survives lost executors.
 
     Shuffle files of the writing job are freed as soon as it ends, so a chain of
-    steps needs the disk of its largest step, not of all of them.
+    steps needs the disk of its largest step, not of all of them. batch: rows of an Arrow batch, for
+    steps with wide rows.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/vexil-{tag}-{uuid.uuid4().hex}"
-    before = spark.conf.get(_CLEANUP, "false")
-    spark.conf.set(_CLEANUP, "true")
+    wanted = {_CLEANUP: "true"} | ({_BATCH: str(batch)} if batch else {})
+    before = {k: spark.conf.get(k) for k in wanted}
+    for k, v in wanted.items():
+        spark.conf.set(k, v)
     try:
         df.write.parquet(path)
     finally:
-        spark.conf.set(_CLEANUP, before)
+        for k, v in before.items():
+            spark.conf.set(k, v)
     _tables.append((spark, path))
     return spark.read.schema(df.schema).parquet(path)
 

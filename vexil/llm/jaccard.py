@@ -10,11 +10,12 @@ allocation changes cost only, never the outcome.
 
 1. Equal sets become one node (partial aggregation), so copies never meet in a bucket.
 2. Signatures of a single node are dropped by aggregating least and greatest node.
-3. Nodes of a bucket are compared with the bucket's pivot, one pair for each node and round, and
-   verified exactly; linked nodes form components. Buckets within one component need no more pairs.
-4. What is left (nodes of several components in a bucket) is compared across components: small
-   buckets directly, larger ones after a further split by a second common unit, as often as
-   the guarantee allows, so that pairs stay few for unlike sets. No true link is lost.
+3. Each node is verified exactly against one pivot of its buckets; linked nodes form components, and
+   buckets within one component need no more work.
+4. What is left is compared across components. Linked sets share two keys or more, so pairs from small
+   buckets need two. Nodes connected by large buckets form families; these are cut into blocks,
+   and two blocks meet in one task, where a single incidence product gives all intersections; it
+   returns links that join components, never all pairs.
 
 Outcome: each document with its component; links between different texts are never missed, and
 all pairs of a group are never made.
@@ -27,8 +28,10 @@ rows that share a doc_id share a component only if their texts are linked.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import partial
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -36,7 +39,8 @@ from pyspark.sql import functions as F
 from .common import as_bytes, grams, hash_words, materialise, mix, release, signed, slices
 
 BAND = 1.5
-SMALL_BUCKET = 48
+SMALL_BUCKET = 8
+BLOCK_NODES, BLOCK_BYTES = 512, 8_000_000
 SPARE = 3  # unchanged units of any linked pair; so it shares two keys even if two of them are merged
 
 
@@ -220,42 +224,87 @@ def _node_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
     return known.select("text", "node").mapInArrow(run, "node bigint, n bigint, items binary").dropDuplicates(["node"])
 
 
-def link_nodes(members: DataFrame, sets: DataFrame, percent: int, rounds: int = 3) -> DataFrame:
+def _compare_blocks(frame: pd.DataFrame, percent: int) -> pd.DataFrame:
+    """Links that join components, between sides 0 and 1 of a block pair (or within side 0), from one incidence product."""
+    frame = frame.sort_values(["side", "node"])
+    sets = [np.frombuffer(x, np.uint64) for x in frame["items"]]
+    node, comp, side = frame["node"].to_numpy(), frame["comp"].to_numpy(), frame["side"].to_numpy()
+    size = np.array([len(x) for x in sets])
+    row = np.repeat(np.arange(len(sets)), size)
+    _, code, seen = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    shared = seen[code] > 1  # a shingle of one set adds to no intersection
+    row, code = row[shared], code[shared]
+    _, code = np.unique(code, return_inverse=True)
+    left, right = np.flatnonzero(side == 0), np.flatnonzero(side == (1 if side.any() else 0))
+    common = np.zeros((len(left), len(right)), np.float32)
+    order = np.argsort(code, kind="stable")
+    row, code = row[order], code[order]
+    for lo in range(0, int(code[-1]) + 1 if len(code) else 0, 4_096):
+        a, b = np.searchsorted(code, [lo, lo + 4_096])
+        part = np.zeros((len(sets), 4_096), np.float32)
+        part[row[a:b], code[a:b] - lo] = 1
+        common += part[left] @ part[right].T
+    linked = 100 * common >= percent * (size[left][:, None] + size[right][None, :] - common)
+    root = {c: c for c in comp.tolist()}
+
+    def find(c: int) -> int:
+        while root[c] != c:
+            root[c] = root[root[c]]
+            c = root[c]
+        return c
+
+    out = []
+    for i, j in zip(*np.nonzero(linked & (comp[left][:, None] != comp[right][None, :]))):
+        x, y = find(int(comp[left[i]])), find(int(comp[right[j]]))
+        if x != y:
+            root[max(x, y)] = min(x, y)
+            out.append((int(node[left[i]]), int(node[right[j]])))
+    return pd.DataFrame(out, columns=["a", "b"], dtype=np.int64)
+
+
+def _family_links(live: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links within families: nodes connected by large buckets. A family is cut into blocks of bounded size, and
+    every two blocks meet in one task; a node's set is sent once for each block of its family."""
+    stars = live.where("pivot != node").select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
+    family = components(stars).withColumnRenamed("comp", "family")
+    named = family.join(live.select("node", "comp").distinct(), "node").join(sets.select("node", "n"), "node")
+    size = named.groupBy("family").agg(F.count("*").alias("c"), F.sum("n").alias("total"), (F.min("comp") != F.max("comp")).alias("open")).where("open")
+    size = size.select("family", F.ceil(F.greatest(F.col("c") / BLOCK_NODES, F.col("total") * 8 / BLOCK_BYTES)).cast("int").alias("blocks"))
+    placed = named.join(size, "family").withColumn("own", F.pmod(F.xxhash64("node", F.lit(3)), "blocks").cast("int"))
+    other = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda o: F.struct(F.least("own", o).alias("i"), F.greatest("own", o).alias("j"), (F.col("own") > o).cast("int").alias("side")))
+    visits = placed.select("family", "node", "comp", F.explode(other).alias("v")).select("family", "node", "comp", "v.*")
+    carried = visits.join(sets.select("node", "items"), "node")
+    return carried.groupBy("family", "i", "j").applyInPandas(partial(_compare_blocks, percent=percent), "a bigint, b bigint")
+
+
+def _pair_links(live: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links between nodes of different components that share two small buckets or more (linked sets always do)."""
+    rows = live.select("key", "node", "comp").join(sets.select("node", "n"), "node")
+    left = rows.select("key", F.col("node").alias("a"), F.col("comp").alias("ca"), F.col("n").alias("na"))
+    right = rows.select("key", F.col("node").alias("b"), F.col("comp").alias("cb"), F.col("n").alias("nb"))
+    near = left.join(right, "key").where(f"a < b and ca != cb and 100 * least(na, nb) >= {percent} * greatest(na, nb)")
+    return _verify(near.groupBy("a", "b").count().where("count > 1").select("a", "b"), sets, percent)
+
+
+def link_nodes(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """node, comp from bucket members (key, node): pivots first, then what is left across components."""
-    spark = members.sparkSession
-    links = tested = spark.createDataFrame([], "a bigint, b bigint")
-    label = spark.createDataFrame([], "node bigint, comp bigint")
-    for turn in range(rounds + 1):
-        named = members.join(label, "node", "left").select("key", "node", F.coalesce("comp", "node").alias("comp"))
-        span = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min(F.struct("comp", "node"))["node"].alias("pivot"), F.count("*").alias("c")).where("lo != hi")
-        live = materialise(named.join(span, "key"), "live")
-        if not live.limit(1).count():
-            break
-        if turn < rounds:
-            # one pair for each node: with the least pivot of its buckets that it has not met yet
-            star = live.where("comp != lo").select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
-            pairs = star.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
-        else:
-            pairs = _across(live).join(tested, ["a", "b"], "left_anti").join(tested.selectExpr("b as a", "a as b"), ["a", "b"], "left_anti")
-        pairs = materialise(pairs, "pairs")
-        found = materialise(_verify(pairs, sets, percent), "found")
-        tested, links = tested.unionByName(pairs), links.unionByName(found)
-        label = components(links)
-        release(live)
-    return label
-
-
-def _across(live: DataFrame) -> DataFrame:
-    """Pairs of nodes of different components that share a bucket; large buckets are split by a second common key."""
-    small = live.where(F.col("c") <= SMALL_BUCKET).select("key", "node", "comp")
-    large = live.where(F.col("c") > SMALL_BUCKET).select("key", "node", "comp")
-    other = live.select("node", F.col("key").alias("key2")).distinct()
-    split = large.join(other, "node").where("key != key2").select(F.xxhash64(F.least("key", "key2"), F.greatest("key", "key2")).alias("key"), "node", "comp").distinct()
-    cells = split.groupBy("key").agg((F.min("comp") != F.max("comp")).alias("live")).where("live").drop("live")
-    both = small.unionByName(split.join(cells, "key"))
-    left = both.select("key", F.col("node").alias("a"), F.col("comp").alias("ca"))
-    right = both.select("key", F.col("node").alias("b"), F.col("comp").alias("cb"))
-    return left.join(right, "key").where("ca < cb").select("a", "b").distinct()
+
+    def live(label: DataFrame | None) -> DataFrame:
+        named = members.withColumn("comp", F.col("node")) if label is None else members.join(label, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+        span = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min("node").alias("pivot"), F.count("*").alias("c")).where("lo != hi").drop("hi")
+        return materialise(named.join(span, "key"), "live")
+
+    first = live(None)
+    star = first.where("node != pivot").groupBy("node").agg(F.min("pivot").alias("a")).select("a", F.col("node").alias("b"))
+    links = materialise(_verify(star, sets, percent), "links", 512)
+    label = components(links)
+    release(first)
+    rest = live(label)
+    # a pair of one large bucket is in one family; any other pair has only small buckets in common
+    families = materialise(_family_links(rest.where(F.col("c") > SMALL_BUCKET), sets, percent), "links", 512)
+    pairs = materialise(_pair_links(rest.where(F.col("c") <= SMALL_BUCKET), sets, percent), "links", 512)
+    release(rest)
+    return components(links.unionByName(families).unionByName(pairs))
 
 
 def join_components(docs: DataFrame, k: int = 3, percent: int = 90, merged: dict[int, frozenset[int]] | None = None) -> DataFrame:
@@ -268,7 +317,7 @@ def join_components(docs: DataFrame, k: int = 3, percent: int = 90, merged: dict
     members = materialise(rows.join(materialise(keys, "keys"), "key").select("key", "node").distinct(), "members")
     own = table.where("node is not null and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
     wanted = own.join(members.select("node").distinct(), "node", "left_semi")
-    sets = materialise(_node_sets(docs, wanted, k), "nodes")
+    sets = materialise(_node_sets(docs, wanted, k), "nodes", 1_000)
     label = link_nodes(members, sets, percent)
     named = own.join(label, "node", "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
     least = named.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
