@@ -124,12 +124,12 @@ def find_repeats(docs: DataFrame, length: int = 20) -> DataFrame:
     first = materialise(repeated.groupBy("a", "b").agg(F.min(F.struct("doc_id", "s")).alias("f")), "first")
     settled = materialise(repeated.join(first, ["a", "b"]).where("mixed or struct(doc_id, s) != f").select("doc_id", "s", "n", (F.struct("doc_id", "s") != F.col("f")).alias("cut")), "settled")
     release(table, repeated, first)
-    opened = settled.where("not cut").groupBy("doc_id").agg(F.array_distinct(F.collect_list(F.struct("s", "n"))).alias("open"))
+    opened = settled.where("not cut").groupBy("doc_id").agg(F.collect_list(F.struct("s", "n")).alias("open"))
     known = docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
     windows = materialise(_window_table(known.join(opened, "doc_id"), length), "windows")
     twice = materialise(windows.groupBy("w1", "w2").agg(F.min(F.struct("doc_id", "s")).alias("f"), F.count("*").alias("c")).where("c > 1").drop("c"), "twice")
     late = windows.join(twice, ["w1", "w2"]).where(F.struct("doc_id", "s") != F.col("f")).select("doc_id", "s", F.lit(1).alias("n"))
-    cuts = settled.where("cut").select("doc_id", "s", "n").unionByName(late).groupBy("doc_id").agg(F.array_distinct(F.collect_list(F.struct("s", "n"))).alias("cuts"))
+    cuts = settled.where("cut").select("doc_id", "s", "n").unionByName(late).groupBy("doc_id").agg(F.collect_list(F.struct("s", "n")).alias("cuts"))
     return materialise(cuts, "cuts")
 
 
