@@ -1,21 +1,23 @@
 """Operator 10: exact n-gram Jaccard self-join by universe partition and pigeonhole.
 
 Sets are distinct word shingles. For sizes within a band, two sets with similarity of at least
-`percent` % differ in at most H shingles. The shingle universe is cut into units by
-hash; with H + 3 units any such pair agrees on three units at least. Each unit of a set is indexed
-under its content (one signature). Where a band's units collide too often, by a cost estimate
+`percent` % differ in at most H shingles. The shingle universe is cut into units by hash, so many that a
+set fills H + 8 of them; then any such pair agrees on eight filled units at least. Each filled unit of a
+set is indexed under its content (one signature). Where a band's units collide too often, by a cost estimate
 from a bounded sample of sets, neighbouring units are merged into one that is indexed with its
 one-deletion neighbourhood: it may differ in one shingle and so stands for the two units. The
 allocation changes cost only, never the outcome.
 
 1. Equal sets become one node (partial aggregation), so copies never meet in a bucket.
 2. Signatures of a single node are dropped by aggregating least and greatest node.
-3. Each node is verified exactly against one pivot of its buckets; linked nodes form components, and
-   buckets within one component need no more work.
-4. What is left is compared across components. Linked sets share two keys or more, so pairs from small
-   buckets need two. Nodes connected by large buckets form families; these are cut into blocks,
-   and two blocks meet in one task, where a single incidence product gives all intersections; it
-   returns links that join components, never all pairs.
+3. Nodes that share many keys with the first node of their buckets form families (groups of near
+   copies, whatever their size). A family is cut into blocks, and two blocks meet in one task, where a
+   single incidence product gives all intersections; it returns links that join components, never
+   all pairs.
+4. Pairs of different families: linked sets share eight keys or more, so each node leaves out its seven
+   most frequent ones. Small buckets give pairs, kept if they share eight keys; large buckets are split
+   by each second key, and what is still large is compared in blocks like a family. Every remaining
+   pair is verified exactly.
 
 Outcome: each document with its component; links between different texts are never missed, and
 all pairs of a group are never made.
@@ -27,21 +29,23 @@ rows that share a doc_id share a component only if their texts are linked.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from functools import partial
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import as_bytes, grams, hash_words, materialise, mix, release, signed, slices
 
 BAND = 1.5
 SMALL_BUCKET = 8
+SLICES = 4  # parts of the key space, dealt out one after the other: the disk of one part
 BLOCK_NODES, BLOCK_BYTES = 512, 8_000_000
-SPARE = 3  # unchanged units of any linked pair; so it shares two keys even if two of them are merged
+SPARE = 8  # filled units on which any linked pair agrees
 
 
 def shingle_sets(texts: list[bytes], k: int) -> list[np.ndarray]:
@@ -65,6 +69,7 @@ class Bands:
             raise ValueError("percent must lie in 70..100: a partner could else lie two bands up")
         self.percent = percent
         self.edges = [1]
+        self.counts: dict[int, int] = {}
 
     def edge(self, b: int) -> int:
         while len(self.edges) <= b:
@@ -83,9 +88,18 @@ class Bands:
         return (2 * (self.edge(b + 1) - 1) * (100 - self.percent)) // (100 + self.percent)
 
     def units(self, b: int) -> int:
-        """0 where linked sets must be equal: those are one node already."""
-        h = self.differ(b)
-        return h + SPARE if h else 0
+        """Units of band b, so many that a set of its least size likely fills differ + SPARE of them;
+        0 where linked sets must be equal: those are one node already."""
+        if b not in self.counts:
+            h, low = self.differ(b), self.edge(b)
+            m = h + SPARE if h else 0
+            while h and m < 4 * (h + SPARE):
+                empty = m * math.exp(-low / m)
+                if m - empty - 2 * math.sqrt(empty) >= h + SPARE:
+                    break
+                m += 1
+            self.counts[b] = m
+        return self.counts[b]
 
 
 def unit_ranges(s: np.ndarray, m: int) -> np.ndarray:
@@ -106,7 +120,11 @@ def signatures(s: np.ndarray, bands: Bands, merged: dict[int, frozenset[int]]) -
         sums = total[at[1:]] - total[at[:-1]]
         pairs = sorted(j for j in merged.get(b, ()) if j + 1 < m)
         alone = np.setdiff1d(np.arange(m), [i for j in pairs for i in (j, j + 1)])
-        out.append(mix(sums[alone] + mix(alone.astype(np.uint64), 1000 + b), 22))
+        filled = alone[at[alone + 1] > at[alone]]
+        # Linked sets differ in H units at most. If either fills H + SPARE units, they agree on SPARE filled ones,
+        # so empty units need no key; sets that fill fewer keep them, for partners that do so too.
+        used = filled if len(filled) + 2 * len(pairs) >= bands.differ(b) + SPARE else alone
+        out.append(mix(sums[used] + mix(used.astype(np.uint64), 1000 + b), 22))
         for j in pairs:
             whole, base = sums[j : j + 2].sum(dtype=np.uint64), mix(np.array([j], np.uint64), 5000 + b)
             near = np.concatenate([np.array([whole]), whole - weight[at[j] : at[j + 2]]])
@@ -115,7 +133,7 @@ def signatures(s: np.ndarray, bands: Bands, merged: dict[int, frozenset[int]]) -
 
 
 def _set_table(docs: DataFrame, k: int, percent: int, merged: dict[int, frozenset[int]]) -> DataFrame:
-    """doc_id, n, node (hash of the set) and the set's keys."""
+    """doc_id, n_shingles, node (hash of the set) and the set's keys, in a column for each slice of the key space."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bands = Bands(percent)
@@ -125,18 +143,22 @@ def _set_table(docs: DataFrame, k: int, percent: int, merged: dict[int, frozense
                 sets = shingle_sets(texts[lo:hi], k)
                 keys = [signatures(s, bands, merged) if len(s) else s for s in sets]
                 node = [int(mix(np.array([mix(s, 31).sum(dtype=np.uint64) + np.uint64(len(s))], np.uint64), 32).view(np.int64)[0]) if len(s) else None for s in sets]
-                at = np.concatenate([[0], np.cumsum([len(x) for x in keys])]).astype(np.int32)
+                parts = []
+                for i in range(SLICES):
+                    own = [x[x % np.uint64(SLICES) == i] for x in keys]
+                    at = np.concatenate([[0], np.cumsum([len(x) for x in own])]).astype(np.int32)
+                    parts.append(pa.ListArray.from_arrays(pa.array(at), pa.array(signed(np.concatenate(own)))))
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(lo, hi - lo).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(node, pa.int64()), pa.ListArray.from_arrays(pa.array(at), pa.array(signed(np.concatenate(keys))))],
-                    ["doc_id", "n_shingles", "node", "keys"],
+                    [batch.column(0).slice(lo, hi - lo).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(node, pa.int64()), *parts],
+                    ["doc_id", "n_shingles", "node", *(f"keys{i}" for i in range(SLICES))],
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n_shingles bigint, node bigint, keys array<bigint>")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n_shingles bigint, node bigint, " + ", ".join(f"keys{i} array<bigint>" for i in range(SLICES)))
 
 
-def allocate(docs: DataFrame, k: int, percent: int, sample: int = 4_000, weight: float = 4.0) -> dict[int, frozenset[int]]:
-    """Pairs of units to merge, per band. Cost of a unit: its signatures plus weight times the sets that a
-    set is expected to meet there; estimated from about `sample` documents, picked by hash."""
+def allocate(docs: DataFrame, k: int, percent: int, sample: int = 4_000, weight: float = 0.05) -> dict[int, frozenset[int]]:
+    """Pairs of units to merge, per band. Cost of a unit: its signatures plus weight (what a comparison within a block costs next to a signature
+    that is dealt out) times the sets that a set is expected to meet there; estimated from about `sample` documents, picked by hash."""
     size = max(1, docs.count())
     picked = docs.where(F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(1 << 30)) < int(min(1.0, sample / size) * (1 << 30))).select("text")
 
@@ -151,7 +173,7 @@ def allocate(docs: DataFrame, k: int, percent: int, sample: int = 4_000, weight:
                         if (m := bands.units(b)) > 1:
                             at = unit_ranges(s, m)
                             node = int(signed(total[-1:])[0])
-                            rows += [(b, j - j % 2, False, x, node, len(s)) for j, x in enumerate(signed(total[at[1:]] - total[at[:-1]]).tolist())]
+                            rows += [(b, j - j % 2, False, x, node, len(s)) for j, x in enumerate(signed(total[at[1:]] - total[at[:-1]]).tolist()) if x]
                             rows += [(b, j, True, x, node, len(s)) for j, x in zip(range(0, m - 1, 2), signed(total[at[2::2]] - total[at[:-2:2]]).tolist())]
             kinds = (pa.int32(), pa.int32(), pa.bool_(), pa.int64(), pa.int64(), pa.int32())
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds)], ["band", "even", "joint", "sig", "node", "n"])
@@ -192,10 +214,10 @@ def components(links: DataFrame) -> DataFrame:
 
 def _verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) of nodes with 100 * intersection >= percent * union."""
-    left = sets.select(F.col("node").alias("a"), F.col("n").alias("n1"), F.col("items").alias("x"))
-    right = sets.select(F.col("node").alias("b"), F.col("n").alias("n2"), F.col("items").alias("y"))
+    left = sets.select(F.col("node").alias("a"), F.col("items").alias("x"))
+    right = sets.select(F.col("node").alias("b"), F.col("items").alias("y"))
     # a pivot's set is fetched last, for many pairs at once
-    both = pairs.join(right, "b").join(left, "a").where(f"100 * least(n1, n2) >= {percent} * greatest(n1, n2)").select("a", "b", "x", "y")
+    both = pairs.join(right, "b").join(left, "a").select("a", "b", "x", "y")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -262,63 +284,100 @@ def _compare_blocks(frame: pd.DataFrame, percent: int) -> pd.DataFrame:
     return pd.DataFrame(out, columns=["a", "b"], dtype=np.int64)
 
 
-def _family_links(live: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Links within families: nodes connected by large buckets. A family is cut into blocks of bounded size, and
-    every two blocks meet in one task; a node's set is sent once for each block of its family."""
-    stars = live.where("pivot != node").select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
-    family = components(stars).withColumnRenamed("comp", "family")
-    named = family.join(live.select("node", "comp").distinct(), "node").join(sets.select("node", "n"), "node")
-    size = named.groupBy("family").agg(F.count("*").alias("c"), F.sum("n").alias("total"), (F.min("comp") != F.max("comp")).alias("open")).where("open")
+def _block_links(family: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links within families (node, comp, n, family). A family is cut into blocks of bounded size, and every two
+    blocks meet in one task; a node's set is sent once for each block of its family."""
+    size = family.groupBy("family").agg(F.count("*").alias("c"), F.sum("n").alias("total")).where("c > 1")
     size = size.select("family", F.ceil(F.greatest(F.col("c") / BLOCK_NODES, F.col("total") * 8 / BLOCK_BYTES)).cast("int").alias("blocks"))
-    placed = named.join(size, "family").withColumn("own", F.pmod(F.xxhash64("node", F.lit(3)), "blocks").cast("int"))
+    placed = family.join(size, "family").withColumn("own", F.pmod(F.xxhash64("node", F.lit(3)), "blocks").cast("int"))
     other = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda o: F.struct(F.least("own", o).alias("i"), F.greatest("own", o).alias("j"), (F.col("own") > o).cast("int").alias("side")))
     visits = placed.select("family", "node", "comp", F.explode(other).alias("v")).select("family", "node", "comp", "v.*")
     carried = visits.join(sets.select("node", "items"), "node")
     return carried.groupBy("family", "i", "j").applyInPandas(partial(_compare_blocks, percent=percent), "a bigint, b bigint")
 
 
-def _pair_links(live: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Links between nodes of different components that share two small buckets or more (linked sets always do)."""
-    rows = live.select("key", "node", "comp").join(sets.select("node", "n"), "node")
-    left = rows.select("key", F.col("node").alias("a"), F.col("comp").alias("ca"), F.col("n").alias("na"))
-    right = rows.select("key", F.col("node").alias("b"), F.col("comp").alias("cb"), F.col("n").alias("nb"))
-    near = left.join(right, "key").where(f"a < b and ca != cb and 100 * least(na, nb) >= {percent} * greatest(na, nb)")
-    return _verify(near.groupBy("a", "b").count().where("count > 1").select("a", "b"), sets, percent)
-
-
-def link_nodes(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """node, comp from bucket members (key, node): pivots first, then what is left across components."""
-
-    def live(label: DataFrame | None) -> DataFrame:
-        named = members.withColumn("comp", F.col("node")) if label is None else members.join(label, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-        span = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min("node").alias("pivot"), F.count("*").alias("c")).where("lo != hi").drop("hi")
-        return materialise(named.join(span, "key"), "live")
-
-    first = live(None)
-    star = first.where("node != pivot").groupBy("node").agg(F.min("pivot").alias("a")).select("a", F.col("node").alias("b"))
-    links = materialise(_verify(star, sets, percent), "links", 512)
-    label = components(links)
-    release(first)
-    rest = live(label)
-    # a pair of one large bucket is in one family; any other pair has only small buckets in common
-    families = materialise(_family_links(rest.where(F.col("c") > SMALL_BUCKET), sets, percent), "links", 512)
-    pairs = materialise(_pair_links(rest.where(F.col("c") <= SMALL_BUCKET), sets, percent), "links", 512)
-    release(rest)
-    return components(links.unionByName(families).unionByName(pairs))
+def _pairs(rows: DataFrame, percent: int) -> DataFrame:
+    """Distinct pairs of nodes of different families that share a (small) bucket and may be linked by size."""
+    left = rows.select("key", F.col("node").alias("a"), F.col("family").alias("fa"), F.col("n").alias("na"))
+    right = rows.select("key", F.col("node").alias("b"), F.col("family").alias("fb"), F.col("n").alias("nb"))
+    return left.join(right, "key").where(f"a < b and fa != fb and 100 * least(na, nb) >= {percent} * greatest(na, nb)").select("a", "b").distinct()
+
+
+def _members(table: DataFrame, common: int, passes: int = 2) -> DataFrame:
+    """key, node, n of the buckets with two nodes or more, for nodes with `common` such keys or more."""
+    parts = []
+    for i in range(SLICES):
+        rows = table.where("node is not null").select("node", F.col("n_shingles").cast("int").alias("n"), F.explode(f"keys{i}").alias("key"))
+        keys = materialise(rows.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo != hi").select("key"), "keys")
+        parts.append(materialise(rows.join(keys, "key").select("key", "node", "n").distinct(), "members"))
+    members = parts[0]
+    for p in parts[1:]:
+        members = members.unionByName(p)
+    for _ in range(passes):
+        enough = members.groupBy("node").count().where(F.col("count") >= common).select("node")
+        kept = members.join(enough, "node", "left_semi")
+        shared = kept.groupBy("key").count().where("count > 1").select("key")
+        members = materialise(kept.join(shared, "key", "left_semi"), "members")
+    release(*parts)
+    return members
+
+
+def _open(rows: DataFrame) -> DataFrame:
+    """Rows (key, node, n, family) of the keys that several families have, with c, the bucket's size, and its first node."""
+    span = rows.groupBy("key").agg(F.min("family").alias("lo"), F.max("family").alias("hi"), F.count("*").alias("c"), F.min("node").alias("pivot")).where("lo != hi").select("key", "c", "pivot")
+    return rows.join(span, "key")
+
+
+def link_nodes(members: DataFrame, sets: DataFrame, percent: int, common: int) -> DataFrame:
+    """node, comp from bucket members (key, node, n); linked sets share at least `common` keys."""
+    pivots = materialise(members.groupBy("key").agg(F.min("node").alias("pivot")), "pivots")
+    met = members.join(pivots, "key").where("node != pivot").groupBy("node", "pivot").count()
+    own = members.groupBy("node").agg(F.count("*").alias("keys"))
+    strong = met.join(own, "node").where((F.col("count") >= common) | F.expr("count >= 3 and 6 * count >= keys")).select(F.col("pivot").alias("a"), F.col("node").alias("b"))
+    family = materialise(components(materialise(strong, "strong")).withColumnRenamed("comp", "family"), "family")
+    sizes = members.select("node", "n").distinct()
+    links = materialise(_block_links(family.join(sizes, "node").withColumn("comp", F.col("node")), sets, percent), "links", 512)
+
+    named = members.join(family, "node", "left").withColumn("family", F.coalesce("family", "node"))
+    for _ in range(2):
+        live = _open(named)
+        enough = live.groupBy("node").count().where(F.col("count") >= common).select("node")
+        named = materialise(live.join(enough, "node", "left_semi").select("key", "node", "n", "family"), "live")
+    live = materialise(_open(named), "live")
+    # linked sets share `common` keys, so they also share one when each leaves out its common - 1 most frequent ones
+    frequent = Window.partitionBy("node").orderBy(F.desc("c"), "key")
+    rare = live.withColumn("r", F.row_number().over(frequent)).where(F.col("r") >= common).select("key", "node", "n", "family")
+    rare = materialise(_open(rare), "rare")
+    small, large = rare.where(F.col("c") <= SMALL_BUCKET), rare.where(F.col("c") > SMALL_BUCKET)
+    # a large bucket is split by each other key of its nodes
+    second = live.select("node", F.col("key").alias("key2"))
+    split = large.join(second, "node").where("key != key2").select(F.xxhash64("key", "key2").alias("key"), "node", "n", "family")
+    cells = materialise(_open(split), "cells")
+    keys = materialise(live.groupBy("node").agg(F.collect_list("key").alias("keys")), "node-keys")  # at most a set's own keys
+    left, right = keys.select(F.col("node").alias("a"), F.col("keys").alias("x")), keys.select(F.col("node").alias("b"), F.col("keys").alias("y"))
+    few = materialise(_pairs(small, percent).unionByName(_pairs(cells.where(F.col("c") <= SMALL_BUCKET), percent)).distinct(), "few")
+    few = few.join(left, "a").join(right, "b").where(F.size(F.array_intersect("x", "y")) >= common).select("a", "b")
+    more = materialise(_verify(materialise(few, "pairs"), sets, percent), "links", 512)
+    stars = cells.where((F.col("c") > SMALL_BUCKET) & (F.col("node") != F.col("pivot"))).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
+    crowd = components(materialise(stars, "stars")).withColumnRenamed("comp", "family").join(sizes, "node").join(family.withColumnRenamed("family", "comp"), "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    rest = materialise(_block_links(crowd, sets, percent), "links", 512)
+    release(named, live, rare, cells)
+    return components(links.unionByName(more).unionByName(rest))
 
 
 def join_components(docs: DataFrame, k: int = 3, percent: int = 90, merged: dict[int, frozenset[int]] | None = None) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest linked doc_id) of every document."""
     if merged is None:
         merged = allocate(docs, k, percent)
-    table = materialise(_set_table(docs, k, percent, merged), "sets")
-    rows = table.where("node is not null").select("node", F.explode("keys").alias("key"))
-    keys = rows.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo != hi").select("key")
-    members = materialise(rows.join(materialise(keys, "keys"), "key").select("key", "node").distinct(), "members")
+    keyed = materialise(_set_table(docs, k, percent, merged), "keyed")
+    table = materialise(keyed.select("doc_id", "n_shingles", "node"), "sets")
+    common = SPARE if not any(merged.values()) else SPARE // 2  # a merged unit stands for two
+    members = _members(keyed, common)
+    release(keyed)
     own = table.where("node is not null and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
     wanted = own.join(members.select("node").distinct(), "node", "left_semi")
     sets = materialise(_node_sets(docs, wanted, k), "nodes", 1_000)
-    label = link_nodes(members, sets, percent)
+    label = link_nodes(members, sets, percent, common)
     named = own.join(label, "node", "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
     least = named.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
     final = named.join(least, "comp").select(F.col("node").alias("_node"), "component_id")
