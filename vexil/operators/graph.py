@@ -8,7 +8,6 @@ the id (`hash`, every shard is asked) or coarse clusters (`centroid`, the `probe
 from __future__ import annotations
 
 from dataclasses import dataclass, field
-from functools import partial
 
 import numpy as np
 import pandas as pd
@@ -77,7 +76,11 @@ def fit(base: DataFrame, method: str, params: dict | None = None, shards: int =
         placed = ivf.assign(rows, centroids).withColumnRenamed("list_id", "shard")
     else:
         placed = rows.withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(shards)))
-    nodes = placed.groupBy("shard").applyInPandas(partial(_build, method, p, options), NODES)
+
+    def build(frame: pd.DataFrame) -> pd.DataFrame:
+        return _build(method, p, options, frame)
+
+    nodes = placed.groupBy("shard").applyInPandas(build, NODES)
     return GraphIndex(method, written(nodes, f"graph-{method}"), p, shards, centroids, options)
 
 
@@ -135,7 +138,11 @@ def raw_search(index: GraphIndex, queries: DataFrame, of: str | Constraint, k: i
         visits = visits.join(allowed, ["qid", "visit"], "left").withColumn("allowed", F.coalesce("allowed", F.array().cast("array<bigint>")))
     else:
         visits = visits.withColumn("allowed", F.lit(None).cast("array<bigint>"))
-    kernel = partial(_search, index.method, index.params, want.name, k, settings)
+    method, params, name = index.method, index.params, want.name
+
+    def kernel(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        return _search(method, params, name, k, settings, left, right)
+
     return index.nodes.groupBy("shard").cogroup(visits.groupBy("visit")).applyInPandas(kernel, FOUND)
 
 

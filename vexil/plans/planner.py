@@ -67,9 +67,9 @@ class FilteredSearch:
         return graph.search(self.index, queries, of, k, self.base, **settings)
 
 
-def union_of_runs(search: FilteredSearch, queries: DataFrame, parts: list[str | Constraint], k: int) -> DataFrame:
+def union_of_runs(search: FilteredSearch, queries: DataFrame, parts: list[str | Constraint], k: int, **settings) -> DataFrame:
     """Fallback for a disjunction on a method without combined predicates: one run for each part, merged."""
-    found = search.search(queries, parts[0], k)
+    found = search.search(queries, parts[0], k, **settings)
     for p in parts[1:]:
-        found = found.unionByName(search.search(queries, p, k))
+        found = found.unionByName(search.search(queries, p, k, **settings))
     return exact.top_k(found.select("qid", "id", "dist").distinct(), k)
