@@ -333,7 +333,9 @@ def link_nodes(members: DataFrame, sets: DataFrame, percent: int, common: int) -
     pivots = materialise(members.groupBy("key").agg(F.min("node").alias("pivot")), "pivots")
     met = members.join(pivots, "key").where("node != pivot").groupBy("node", "pivot").count()
     own = members.groupBy("node").agg(F.count("*").alias("keys"))
-    strong = met.join(own, "node").where((F.col("count") >= common) | F.expr("count >= 3 and 6 * count >= keys")).select(F.col("pivot").alias("a"), F.col("node").alias("b"))
+    strong = met.join(own, "node").where((F.col("count") >= common) | F.expr("count >= 3 and 6 * count >= keys"))
+    # two edges for each node: to the first node that it shares enough with, and to the one it shares most with
+    strong = strong.groupBy("node").agg(F.array_distinct(F.array(F.min("pivot"), F.max(F.struct("count", "pivot"))["pivot"])).alias("a")).select(F.explode("a").alias("a"), F.col("node").alias("b"))
     family = materialise(components(materialise(strong, "strong")).withColumnRenamed("comp", "family"), "family")
     sizes = members.select("node", "n").distinct()
     links = materialise(_block_links(family.join(sizes, "node").withColumn("comp", F.col("node")), sets, percent), "links", 512)
