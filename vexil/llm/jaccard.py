@@ -14,10 +14,10 @@ allocation changes cost only, never the outcome.
    copies, whatever their size). A family is cut into blocks, and two blocks meet in one task, where a
    single incidence product gives all intersections; it returns links that join components, never
    all pairs.
-4. Pairs of different families: linked sets share eight keys or more, so each node leaves out its seven
-   most frequent ones. Small buckets give pairs, kept if they share eight keys; large buckets are split
-   by each second key, and what is still large is compared in blocks like a family. Every remaining
-   pair is verified exactly.
+4. Pairs of different families: linked sets share eight keys or more, and more if their sizes leave
+   room for few differences, so each node leaves out its most frequent ones. Small buckets give pairs, kept
+   if they share that many; large buckets are split by each second key. Kept pairs and what is still
+   large connect nodes, which are compared in blocks like a family.
 
 Outcome: each document with its component; links between different texts are never missed, and
 all pairs of a group are never made.
@@ -44,7 +44,7 @@ from .common import as_bytes, grams, hash_words, materialise, mix, release, sign
 BAND = 1.5
 SMALL_BUCKET = 8
 SLICES = 4  # parts of the key space, dealt out one after the other: the disk of one part
-BLOCK_NODES, BLOCK_BYTES = 512, 8_000_000
+BLOCK_NODES, BLOCK_BYTES = 1_024, 16_000_000
 SPARE = 8  # filled units on which any linked pair agrees
 
 
@@ -108,8 +108,13 @@ def unit_ranges(s: np.ndarray, m: int) -> np.ndarray:
     return np.concatenate([[0], cuts, [len(s)]])
 
 
-def signatures(s: np.ndarray, bands: Bands, merged: dict[int, frozenset[int]]) -> np.ndarray:
-    """Index keys of one set; merged: for a band, the pairs (j, j+1) of units, by even j, that are merged."""
+def signatures(s: np.ndarray, bands: Bands, merged: dict[int, frozenset[int]]) -> tuple[np.ndarray, int, int]:
+    """Index keys of one set, its filled units, and how many keys any linked set has in common with it.
+
+    merged: for a band, the pairs (j, j+1) of units, by even j, that are merged. Filled units are 0 where they
+    promise nothing (merged units, or too few filled); of two bands the smaller promise counts.
+    """
+    n, fills, needs = len(s), [], []
     weight = mix(s, 21)
     total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(weight)])
     out = [np.zeros(0, np.uint64)]
@@ -123,13 +128,17 @@ def signatures(s: np.ndarray, bands: Bands, merged: dict[int, frozenset[int]]) -
         filled = alone[at[alone + 1] > at[alone]]
         # Linked sets differ in H units at most. If either fills H + SPARE units, they agree on SPARE filled ones,
         # so empty units need no key; sets that fill fewer keep them, for partners that do so too.
-        used = filled if len(filled) + 2 * len(pairs) >= bands.differ(b) + SPARE else alone
+        enough = len(filled) + 2 * len(pairs) >= bands.differ(b) + SPARE
+        used = filled if enough else alone
+        largest = min(bands.edge(b + 1) - 1, n * 100 // bands.percent)
+        fills.append(len(filled) if enough and not pairs else 0)
+        needs.append(fills[-1] - (n + largest) * (100 - bands.percent) // (100 + bands.percent))
         out.append(mix(sums[used] + mix(used.astype(np.uint64), 1000 + b), 22))
         for j in pairs:
             whole, base = sums[j : j + 2].sum(dtype=np.uint64), mix(np.array([j], np.uint64), 5000 + b)
             near = np.concatenate([np.array([whole]), whole - weight[at[j] : at[j + 2]]])
             out.append(np.unique(mix(near + base, 23)))
-    return np.concatenate(out)
+    return np.concatenate(out), min(fills, default=0), max(0, min(needs, default=0))
 
 
 def _set_table(docs: DataFrame, k: int, percent: int, merged: dict[int, frozenset[int]]) -> DataFrame:
@@ -141,7 +150,8 @@ def _set_table(docs: DataFrame, k: int, percent: int, merged: dict[int, frozense
             texts = as_bytes(batch.column(1))
             for lo, hi in slices(texts):
                 sets = shingle_sets(texts[lo:hi], k)
-                keys = [signatures(s, bands, merged) if len(s) else s for s in sets]
+                signed_up = [signatures(s, bands, merged) for s in sets]
+                keys = [x[0] for x in signed_up]
                 node = [int(mix(np.array([mix(s, 31).sum(dtype=np.uint64) + np.uint64(len(s))], np.uint64), 32).view(np.int64)[0]) if len(s) else None for s in sets]
                 parts = []
                 for i in range(SLICES):
@@ -149,11 +159,11 @@ def _set_table(docs: DataFrame, k: int, percent: int, merged: dict[int, frozense
                     at = np.concatenate([[0], np.cumsum([len(x) for x in own])]).astype(np.int32)
                     parts.append(pa.ListArray.from_arrays(pa.array(at), pa.array(signed(np.concatenate(own)))))
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(lo, hi - lo).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(node, pa.int64()), *parts],
-                    ["doc_id", "n_shingles", "node", *(f"keys{i}" for i in range(SLICES))],
+                    [batch.column(0).slice(lo, hi - lo).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(node, pa.int64()), pa.array([x[1] for x in signed_up], pa.int32()), pa.array([x[2] for x in signed_up], pa.int32()), *parts],
+                    ["doc_id", "n_shingles", "node", "filled", "need", *(f"keys{i}" for i in range(SLICES))],
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n_shingles bigint, node bigint, " + ", ".join(f"keys{i} array<bigint>" for i in range(SLICES)))
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n_shingles bigint, node bigint, filled int, need int, " + ", ".join(f"keys{i} array<bigint>" for i in range(SLICES)))
 
 
 def allocate(docs: DataFrame, k: int, percent: int, sample: int = 4_000, weight: float = 0.05) -> dict[int, frozenset[int]]:
@@ -195,41 +205,27 @@ def allocate(docs: DataFrame, k: int, percent: int, sample: int = 4_000, weight:
 
 
 def components(links: DataFrame) -> DataFrame:
-    """node, comp (smallest node reachable) for all nodes of links (a, b); label passing with pointer jumps."""
-    both = materialise(links.select("a", "b").unionByName(links.selectExpr("b as a", "a as b")).distinct(), "links")
-    label = materialise(both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("comp")).withColumnRenamed("a", "node"), "label")
-    while True:
-        near = both.join(label, both.b == label.node).groupBy("a").agg(F.min("comp").alias("near"))
-        new = label.join(near, label.node == near.a).select("node", "comp", F.least("comp", "near").alias("new"))
-        jump = new.select(F.col("node").alias("_n"), F.col("new").alias("_c"))
-        new = new.join(jump, F.col("new") == F.col("_n")).select("node", F.col("comp").alias("old"), F.least("new", "_c").alias("comp"))
-        stepped = materialise(new, "label")
-        changed = stepped.where("old != comp").limit(1).count()
-        release(label)
-        label = stepped.select("node", "comp")
-        if not changed:
-            release(both)
-            return label
-
-
-def _verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) of nodes with 100 * intersection >= percent * union."""
-    left = sets.select(F.col("node").alias("a"), F.col("items").alias("x"))
-    right = sets.select(F.col("node").alias("b"), F.col("items").alias("y"))
-    # a pivot's set is fetched last, for many pairs at once
-    both = pairs.join(right, "b").join(left, "a").select("a", "b", "x", "y")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keep = np.zeros(batch.num_rows, bool)
-            for i in range(batch.num_rows):
-                x, y = np.frombuffer(batch.column(2)[i].as_buffer(), np.uint64), np.frombuffer(batch.column(3)[i].as_buffer(), np.uint64)
-                both = x[np.minimum(np.searchsorted(x, y), len(x) - 1)] == y
-                common = int(both.sum())
-                keep[i] = 100 * common >= percent * (len(x) + len(y) - common)
-            yield pa.RecordBatch.from_arrays([batch.column(j).filter(pa.array(keep)) for j in (0, 1)], ["a", "b"])
-
-    return both.mapInArrow(run, "a bigint, b bigint")
+    """node, comp (smallest node reachable) for all nodes of links (a, b).
+
+    Rounds of contraction: each node hooks to its least neighbour, chains are shortened by pointer jumps, and the
+    links between what remains apart are carried on; they shrink to nothing within a few rounds.
+    """
+    left = materialise(links.selectExpr("least(a, b) as a", "greatest(a, b) as b").where("a != b").distinct(), "links")
+    label = materialise(links.selectExpr("a as node").unionByName(links.selectExpr("b as node")).distinct().withColumn("comp", F.col("node")), "label")
+    while left.limit(1).count():
+        parent = materialise(left.groupBy(F.col("b").alias("x")).agg(F.min("a").alias("p")), "parent")
+        while True:
+            up = parent.select(F.col("x").alias("p"), F.col("p").alias("q"))
+            jumped = materialise(parent.join(up, "p", "left").select("x", F.coalesce("q", "p").alias("p"), F.col("q").isNotNull().alias("moved")), "parent")
+            moved = jumped.where("moved").limit(1).count()
+            parent = jumped.select("x", "p")
+            if not moved:
+                break
+        label = materialise(label.join(parent, F.col("comp") == F.col("x"), "left").select("node", F.coalesce("p", "comp").alias("comp")), "label")
+        first = left.join(parent, F.col("a") == F.col("x"), "left").select(F.coalesce("p", "a").alias("a"), "b")
+        both = first.join(parent, F.col("b") == F.col("x")).select("a", F.col("p").alias("b"))  # b always has a parent
+        left = materialise(both.selectExpr("least(a, b) as a", "greatest(a, b) as b").where("a != b").distinct(), "links")
+    return label
 
 
 def _node_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
@@ -297,24 +293,26 @@ def _block_links(family: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def _pairs(rows: DataFrame, percent: int) -> DataFrame:
-    """Distinct pairs of nodes of different families that share a (small) bucket and may be linked by size."""
-    left = rows.select("key", F.col("node").alias("a"), F.col("family").alias("fa"), F.col("n").alias("na"))
-    right = rows.select("key", F.col("node").alias("b"), F.col("family").alias("fb"), F.col("n").alias("nb"))
-    return left.join(right, "key").where(f"a < b and fa != fb and 100 * least(na, nb) >= {percent} * greatest(na, nb)").select("a", "b").distinct()
+    """Distinct pairs of nodes of different families that share a (small) bucket and may be linked by size, with the
+    keys that they would have in common."""
+    left = rows.select("key", F.col("node").alias("a"), F.col("family").alias("fa"), F.col("n").alias("na"), F.col("f").alias("ua"))
+    right = rows.select("key", F.col("node").alias("b"), F.col("family").alias("fb"), F.col("n").alias("nb"), F.col("f").alias("ub"))
+    near = left.join(right, "key").where(f"a < b and fa != fb and 100 * least(na, nb) >= {percent} * greatest(na, nb)")
+    return near.selectExpr("a", "b", f"greatest(ua, ub) - (na + nb) * {100 - percent} div {100 + percent} as promised").distinct()
 
 
 def _members(table: DataFrame, common: int, passes: int = 2) -> DataFrame:
-    """key, node, n of the buckets with two nodes or more, for nodes with `common` such keys or more."""
+    """key, node, n, f, need of the buckets with two nodes or more, for nodes that have as many such keys as they need."""
     parts = []
     for i in range(SLICES):
-        rows = table.where("node is not null").select("node", F.col("n_shingles").cast("int").alias("n"), F.explode(f"keys{i}").alias("key"))
+        rows = table.where("node is not null").select("node", F.col("n_shingles").cast("int").alias("n"), F.col("filled").alias("f"), F.greatest("need", F.lit(common)).alias("need"), F.explode(f"keys{i}").alias("key"))
         keys = materialise(rows.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo != hi").select("key"), "keys")
-        parts.append(materialise(rows.join(keys, "key").select("key", "node", "n").distinct(), "members"))
+        parts.append(materialise(rows.join(keys, "key").select("key", "node", "n", "f", "need").distinct(), "members"))
     members = parts[0]
     for p in parts[1:]:
         members = members.unionByName(p)
     for _ in range(passes):
-        enough = members.groupBy("node").count().where(F.col("count") >= common).select("node")
+        enough = members.groupBy("node", "need").count().where("count >= need").select("node")
         kept = members.join(enough, "node", "left_semi")
         shared = kept.groupBy("key").count().where("count > 1").select("key")
         members = materialise(kept.join(shared, "key", "left_semi"), "members")
@@ -329,7 +327,7 @@ def _open(rows: DataFrame) -> DataFrame:
 
 
 def link_nodes(members: DataFrame, sets: DataFrame, percent: int, common: int) -> DataFrame:
-    """node, comp from bucket members (key, node, n); linked sets share at least `common` keys."""
+    """node, comp from bucket members (key, node, n, f, need); linked sets share at least `common` keys."""
     pivots = materialise(members.groupBy("key").agg(F.min("node").alias("pivot")), "pivots")
     met = members.join(pivots, "key").where("node != pivot").groupBy("node", "pivot").count()
     own = members.groupBy("node").agg(F.count("*").alias("keys"))
@@ -343,28 +341,28 @@ def link_nodes(members: DataFrame, sets: DataFrame, percent: int, common: int) -
     named = members.join(family, "node", "left").withColumn("family", F.coalesce("family", "node"))
     for _ in range(2):
         live = _open(named)
-        enough = live.groupBy("node").count().where(F.col("count") >= common).select("node")
-        named = materialise(live.join(enough, "node", "left_semi").select("key", "node", "n", "family"), "live")
+        enough = live.groupBy("node", "need").count().where("count >= need").select("node")
+        named = materialise(live.join(enough, "node", "left_semi").select("key", "node", "n", "f", "need", "family"), "live")
     live = materialise(_open(named), "live")
-    # linked sets share `common` keys, so they also share one when each leaves out its common - 1 most frequent ones
+    # a node shares `need` keys with any linked one, so they also share one if it leaves out its need - 1 most frequent
+    # ones: the rarest of what two nodes share has at least need - 1 shared keys before it in either
     frequent = Window.partitionBy("node").orderBy(F.desc("c"), "key")
-    rare = live.withColumn("r", F.row_number().over(frequent)).where(F.col("r") >= common).select("key", "node", "n", "family")
+    rare = live.withColumn("r", F.row_number().over(frequent)).where("r >= need").select("key", "node", "n", "f", "family")
     rare = materialise(_open(rare), "rare")
     small, large = rare.where(F.col("c") <= SMALL_BUCKET), rare.where(F.col("c") > SMALL_BUCKET)
     # a large bucket is split by each other key of its nodes
     second = live.select("node", F.col("key").alias("key2"))
-    split = large.join(second, "node").where("key != key2").select(F.xxhash64("key", "key2").alias("key"), "node", "n", "family")
+    split = large.join(second, "node").where("key != key2").select(F.xxhash64("key", "key2").alias("key"), "node", "n", "f", "family")
     cells = materialise(_open(split), "cells")
     keys = materialise(live.groupBy("node").agg(F.collect_list("key").alias("keys")), "node-keys")  # at most a set's own keys
     left, right = keys.select(F.col("node").alias("a"), F.col("keys").alias("x")), keys.select(F.col("node").alias("b"), F.col("keys").alias("y"))
     few = materialise(_pairs(small, percent).unionByName(_pairs(cells.where(F.col("c") <= SMALL_BUCKET), percent)).distinct(), "few")
-    few = few.join(left, "a").join(right, "b").where(F.size(F.array_intersect("x", "y")) >= common).select("a", "b")
-    more = materialise(_verify(materialise(few, "pairs"), sets, percent), "links", 512)
+    few = few.join(left, "a").join(right, "b").where(F.size(F.array_intersect("x", "y")) >= F.greatest("promised", F.lit(common))).select("a", "b").distinct()
     stars = cells.where((F.col("c") > SMALL_BUCKET) & (F.col("node") != F.col("pivot"))).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
-    crowd = components(materialise(stars, "stars")).withColumnRenamed("comp", "family").join(sizes, "node").join(family.withColumnRenamed("family", "comp"), "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    crowd = components(materialise(stars.unionByName(few), "stars")).withColumnRenamed("comp", "family").join(sizes, "node").join(family.withColumnRenamed("family", "comp"), "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     rest = materialise(_block_links(crowd, sets, percent), "links", 512)
     release(named, live, rare, cells)
-    return components(links.unionByName(more).unionByName(rest))
+    return components(links.unionByName(rest))
 
 
 def join_components(docs: DataFrame, k: int = 3, percent: int = 90, merged: dict[int, frozenset[int]] | None = None) -> DataFrame:
