@@ -93,7 +93,10 @@ def train(labelled: DataFrame, per_language: int = 300, clusters: int = 3, slack
     """
     rank = Window.partitionBy("lang").orderBy(F.xxhash64("key"), "key")
     keyed = labelled.where("lang is not null and text is not null")
-    picked = keyed.select("key", "lang").withColumn("r", F.row_number().over(rank)).where(F.col("r") <= per_language)
+    counts = keyed.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(max_languages)
+    # about four times the sample of each language by the hash alone; ranks then run over those few
+    some = keyed.select("key", "lang").join(F.broadcast(counts), "lang").where(F.pmod(F.xxhash64("key", F.lit(1)), F.lit(1 << 30)) * F.col("n") < 4 * per_language * (1 << 30))
+    picked = some.withColumn("r", F.row_number().over(rank)).where(F.col("r") <= per_language)
     rows = keyed.join(F.broadcast(picked.select("key", "lang").distinct()), ["key", "lang"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -165,5 +168,5 @@ def _blocks(texts: list) -> Iterator[tuple[int, int]]:
 
 
 def holdout(key: Column) -> Column:
-    """True for the rows that training must not see."""
-    return F.crc32(key.cast("string")) % 3 == 1
+    """True for the rows that training must not see; False for a null key."""
+    return F.coalesce(F.crc32(key.cast("string")) % 3 == 1, F.lit(False))
