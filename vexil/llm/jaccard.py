@@ -44,7 +44,8 @@ from .common import as_bytes, grams, hash_words, materialise, mix, release, sign
 BAND = 1.5
 SMALL_BUCKET = 8
 SLICES = 4  # parts of the key space, dealt out one after the other: the disk of one part
-BLOCK_NODES, BLOCK_BYTES = 1_024, 16_000_000
+BLOCK_NODES, BLOCK_BYTES, ROUND_BYTES = 1_024, 16_000_000, 500_000_000
+TURNS = 4  # merges of near sets before what is left is compared in blocks
 SPARE = 8  # filled units on which any linked pair agrees
 
 
@@ -282,14 +283,20 @@ def _compare_blocks(frame: pd.DataFrame, percent: int) -> pd.DataFrame:
 
 def _block_links(family: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Links within families (node, comp, n, family). A family is cut into blocks of bounded size, and every two
-    blocks meet in one task; a node's set is sent once for each block of its family."""
-    size = family.groupBy("family").agg(F.count("*").alias("c"), F.sum("n").alias("total")).where("c > 1")
-    size = size.select("family", F.ceil(F.greatest(F.col("c") / BLOCK_NODES, F.col("total") * 8 / BLOCK_BYTES)).cast("int").alias("blocks"))
+    blocks meet in one task; a node's set is sent once for each block of its family, in rounds of bounded volume."""
+    size = family.groupBy("family").agg(F.count("*").alias("c"), F.sum("n").alias("total"), (F.min("comp") != F.max("comp")).alias("open")).where("c > 1 and open")
+    size = materialise(size.select("family", "total", F.ceil(F.greatest(F.col("c") / BLOCK_NODES, F.col("total") * 8 / BLOCK_BYTES)).cast("int").alias("blocks")), "blocks")
+    volume = size.agg(F.sum(F.col("total") * 8 * F.col("blocks"))).first()[0] or 0
+    rounds = max(1, -(-volume // ROUND_BYTES))
     placed = family.join(size, "family").withColumn("own", F.pmod(F.xxhash64("node", F.lit(3)), "blocks").cast("int"))
     other = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda o: F.struct(F.least("own", o).alias("i"), F.greatest("own", o).alias("j"), (F.col("own") > o).cast("int").alias("side")))
     visits = placed.select("family", "node", "comp", F.explode(other).alias("v")).select("family", "node", "comp", "v.*")
-    carried = visits.join(sets.select("node", "items"), "node")
-    return carried.groupBy("family", "i", "j").applyInPandas(partial(_compare_blocks, percent=percent), "a bigint, b bigint")
+    kernel, out = partial(_compare_blocks, percent=percent), None
+    for r in range(rounds):
+        part = visits.where(F.pmod(F.xxhash64("family", "i", "j"), F.lit(rounds)) == r).join(sets.select("node", "items"), "node")
+        found = materialise(part.groupBy("family", "i", "j").applyInPandas(kernel, "a bigint, b bigint"), "links", 512)
+        out = found if out is None else out.unionByName(found)
+    return out
 
 
 def _pairs(rows: DataFrame, percent: int) -> DataFrame:
@@ -326,6 +333,23 @@ def _open(rows: DataFrame) -> DataFrame:
     return rows.join(span, "key")
 
 
+def _kept_promise(pairs: DataFrame, keys: DataFrame, common: int) -> DataFrame:
+    """Pairs (a, b, promised) that share as many keys as linked sets must."""
+    left, right = keys.select(F.col("node").alias("a"), F.col("keys").alias("x")), keys.select(F.col("node").alias("b"), F.col("keys").alias("y"))
+    return pairs.join(left, "a").join(right, "b").where(F.size(F.array_intersect("x", "y")) >= F.greatest("promised", F.lit(common))).select("a", "b").distinct()
+
+
+def _star_pairs(cells: DataFrame, percent: int, turn: int) -> DataFrame:
+    """Each node of an open cell with a node of one other family, drawn anew in each turn."""
+    pivot = cells.groupBy("key").agg(F.min(F.struct(F.xxhash64("family", F.lit(turn)).alias("h"), "node", "n", "f", "family")).alias("p"))
+    met = cells.select("key", "node", "n", "f", "family").join(materialise(pivot, "pivots"), "key").where(f"family != p.family and 100 * least(n, p.n) >= {percent} * greatest(n, p.n)")
+    return met.selectExpr("least(node, p.node) as a", "greatest(node, p.node) as b", f"greatest(f, p.f) - (n + p.n) * {100 - percent} div {100 + percent} as promised").distinct()
+
+
+def _relabel(rows: DataFrame, family: DataFrame) -> DataFrame:
+    return rows.select("key", "node", "n", "f").join(family, "node", "left").withColumn("family", F.coalesce("family", "node"))
+
+
 def link_nodes(members: DataFrame, sets: DataFrame, percent: int, common: int) -> DataFrame:
     """node, comp from bucket members (key, node, n, f, need); linked sets share at least `common` keys."""
     pivots = materialise(members.groupBy("key").agg(F.min("node").alias("pivot")), "pivots")
@@ -334,9 +358,8 @@ def link_nodes(members: DataFrame, sets: DataFrame, percent: int, common: int) -
     strong = met.join(own, "node").where((F.col("count") >= common) | F.expr("count >= 3 and 6 * count >= keys"))
     # two edges for each node: to the first node that it shares enough with, and to the one it shares most with
     strong = strong.groupBy("node").agg(F.array_distinct(F.array(F.min("pivot"), F.max(F.struct("count", "pivot"))["pivot"])).alias("a")).select(F.explode("a").alias("a"), F.col("node").alias("b"))
-    family = materialise(components(materialise(strong, "strong")).withColumnRenamed("comp", "family"), "family")
-    sizes = members.select("node", "n").distinct()
-    links = materialise(_block_links(family.join(sizes, "node").withColumn("comp", F.col("node")), sets, percent), "links", 512)
+    family = materialise(components(strong).withColumnRenamed("comp", "family"), "family")
+    sizes = materialise(members.select("node", "n").distinct(), "sizes")
 
     named = members.join(family, "node", "left").withColumn("family", F.coalesce("family", "node"))
     for _ in range(2):
@@ -355,14 +378,21 @@ def link_nodes(members: DataFrame, sets: DataFrame, percent: int, common: int) -
     split = large.join(second, "node").where("key != key2").select(F.xxhash64("key", "key2").alias("key"), "node", "n", "f", "family")
     cells = materialise(_open(split), "cells")
     keys = materialise(live.groupBy("node").agg(F.collect_list("key").alias("keys")), "node-keys")  # at most a set's own keys
-    left, right = keys.select(F.col("node").alias("a"), F.col("keys").alias("x")), keys.select(F.col("node").alias("b"), F.col("keys").alias("y"))
-    few = materialise(_pairs(small, percent).unionByName(_pairs(cells.where(F.col("c") <= SMALL_BUCKET), percent)).distinct(), "few")
-    few = few.join(left, "a").join(right, "b").where(F.size(F.array_intersect("x", "y")) >= F.greatest("promised", F.lit(common))).select("a", "b").distinct()
-    stars = cells.where((F.col("c") > SMALL_BUCKET) & (F.col("node") != F.col("pivot"))).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
-    crowd = components(materialise(stars.unionByName(few), "stars")).withColumnRenamed("comp", "family").join(sizes, "node").join(family.withColumnRenamed("family", "comp"), "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-    rest = materialise(_block_links(crowd, sets, percent), "links", 512)
-    release(named, live, rare, cells)
-    return components(links.unionByName(rest))
+    pairs = _pairs(small, percent).unionByName(_pairs(cells.where(F.col("c") <= SMALL_BUCKET), percent)).distinct()
+    near = materialise(_kept_promise(materialise(pairs, "few"), keys, common), "near")
+    crowd = cells.where(F.col("c") > SMALL_BUCKET)
+    for turn in range(TURNS):  # near sets of large cells become one family, so that their cells close
+        edges = family.selectExpr("family as a", "node as b").unionByName(near)
+        family = materialise(components(edges).withColumnRenamed("comp", "family"), "family")
+        crowd = materialise(_open(_relabel(crowd, family)), "crowd")
+        if turn + 1 < TURNS:
+            near = materialise(_kept_promise(_star_pairs(crowd, percent, turn), keys, common), "near")
+    links = _block_links(family.join(sizes, "node").withColumn("comp", F.col("node")), sets, percent)
+    stars = crowd.where(F.col("node") != F.col("pivot")).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
+    rest = components(stars).withColumnRenamed("comp", "family").join(sizes, "node").join(family.withColumnRenamed("family", "comp"), "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    others = _block_links(rest, sets, percent)
+    release(named, live, rare, cells, crowd)
+    return components(links.unionByName(others))
 
 
 def join_components(docs: DataFrame, k: int = 3, percent: int = 90, merged: dict[int, frozenset[int]] | None = None) -> DataFrame:
