@@ -162,3 +162,51 @@ def build_costs(spark: SparkSession, sf_dir: str, carrier: str = "emb_zipf", per
             rows.append((m, p, time.monotonic() - start, frame_bytes(index.nodes)))
     runs = spark.createDataFrame(rows, "method string, percent int, build_s double, index_bytes bigint")
     return metrics.normalised(runs, ["build_s", "index_bytes"], ["method"])
+
+
+# ------------------------------------------------------------------ one difficulty factor at a time
+
+SWEEP_METHODS = ("prefilter", "ivfpq", "postfilter", "twohop", "lattice", "stitched")
+
+
+def sweep(spark: SparkSession, variants: list[tuple[str, carriers.Dataset]], scenario: str, methods: tuple[str, ...] = SWEEP_METHODS, k: int | dict[str, int] = 10, breadth: int = 40) -> DataFrame:
+    """setting, method, scenario, k, queries, recall, qps over variants of a dataset; queries keep at least k passing rows."""
+    rows = []
+    for setting, d in variants:
+        own = k[setting] if isinstance(k, dict) else k
+        base = written(d.base, "base")
+        asked = written(with_enough_truth(d.queries, base, scenario, own), "queries")
+        n = asked.count()
+        for m in methods if n else ():
+            ((_, _, _, recall, qps),) = curve(carriers.Dataset(base, asked), m, scenario, own, [max(own, breadth)])
+            rows.append((setting, m, scenario, own, n, recall, qps))
+    return spark.createDataFrame(rows, "setting string, method string, scenario string, k int, queries bigint, recall double, qps double")
+
+
+def label_length_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_attr", scenario: str = "containment", limit: int = 40) -> DataFrame:
+    """Short (1), medium (2) and long (4) query label sets."""
+    return sweep(spark, [(f"{w} labels", carriers.dataset(spark, sf_dir, carrier, w, limit)) for w in (1, 2, 4)], scenario, k=5)
+
+
+def selectivity_runs(spark: SparkSession, sf_dir: str, carrier: str = "emb_zipf", scenario: str = "overlap", limit: int = 100) -> DataFrame:
+    """Queries near the 75th, 50th, 25th and first percentile of the passing share."""
+    d = carriers.dataset(spark, sf_dir, carrier, 1, limit)
+    strata = written(selectivity_strata(metrics.selectivity(d.base, d.queries, scenario)), "strata")
+    return sweep(spark, [(f"p{p}", carriers.Dataset(d.base, d.queries.join(strata.where(F.col("stratum") == p).select("qid"), "qid"))) for p in (75, 50, 25, 1)], scenario)
+
+
+def topk_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_attr", scenario: str = "overlap", limit: int = 30) -> DataFrame:
+    """k = 1, 25, 50, 100."""
+    d, ks = carriers.dataset(spark, sf_dir, carrier, 1, limit), {f"k={k}": k for k in (1, 25, 50, 100)}
+    return sweep(spark, [(s, d) for s in ks], scenario, ("prefilter", "ivfpq", "postfilter", "lattice"), ks)
+
+
+def size_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_attr", scenario: str = "containment", limit: int = 30) -> DataFrame:
+    """10, 25, 50 and 100 % of the base."""
+    d = carriers.dataset(spark, sf_dir, carrier, 1, limit)
+    return sweep(spark, [(f"{p} %", carriers.Dataset(nested_sample(d.base, p), d.queries)) for p in (10, 25, 50, 100)], scenario, ("prefilter", "postfilter", "lattice"))
+
+
+def fixed_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_fixed4", limit: int = 40) -> DataFrame:
+    """Four positions of three values: every method, equality of all positions."""
+    return sweep(spark, [("4x3", carriers.dataset(spark, sf_dir, carrier, 4, limit))], "fixed", METHOD_RUNS, k=3)

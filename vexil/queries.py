@@ -252,6 +252,8 @@ t as (select qid, count(*) as truths from s where r <= {K} group by 1), f as (se
     register("tuning_run", lambda spark, sf_dir: workloads.tuning_run(spark, sf_dir))
     register("overall_fronts", lambda spark, sf_dir: workloads.overall(spark, sf_dir))
     register("index_build_costs", lambda spark, sf_dir: workloads.build_costs(spark, sf_dir))
+    for name in ("label_length_runs", "selectivity_runs", "topk_runs", "size_runs", "fixed_runs"):
+        register(name, getattr(workloads, name))
     register("product_search", lambda spark, sf_dir: rounded(workloads.document_search(spark, sf_dir, K)), workloads.document_search_sql(K))
     register("update_replay", updates.replay_batch, updates.REPLAY_SQL)
     register("asof_labels", updates.asof_labels, updates.ASOF_SQL)
