@@ -172,9 +172,10 @@ SWEEP_METHODS = ("prefilter", "ivfpq", "postfilter", "twohop", "lattice", "stitc
 def sweep(spark: SparkSession, variants: list[tuple[str, carriers.Dataset]], scenario: str, methods: tuple[str, ...] = SWEEP_METHODS, k: int | dict[str, int] = 10, breadth: int = 40) -> DataFrame:
     """setting, method, scenario, k, queries, recall, qps over variants of a dataset; queries keep at least k passing rows."""
     rows = []
+    kept: dict[int, DataFrame] = {}  # a base that several settings share is derived once
     for setting, d in variants:
         own = k[setting] if isinstance(k, dict) else k
-        base = written(d.base, "base")
+        base = kept[id(d.base)] = kept[id(d.base)] if id(d.base) in kept else written(d.base, "base")
         asked = written(with_enough_truth(d.queries, base, scenario, own), "queries")
         n = asked.count()
         for m in methods if n else ():
