@@ -45,7 +45,7 @@ BAND = 1.5
 SMALL_BUCKET = 8
 SLICES = 4  # parts of the key space, dealt out one after the other: the disk of one part
 BLOCK_NODES, BLOCK_BYTES, ROUND_BYTES = 1_024, 16_000_000, 500_000_000
-TURNS = 4  # merges of near sets before what is left is compared in blocks
+TURNS = 2  # merges of near sets before what is left is compared in blocks
 SPARE = 8  # filled units on which any linked pair agrees
 
 
@@ -216,8 +216,9 @@ def components(links: DataFrame) -> DataFrame:
     while left.limit(1).count():
         parent = materialise(left.groupBy(F.col("b").alias("x")).agg(F.min("a").alias("p")), "parent")
         while True:
-            up = parent.select(F.col("x").alias("p"), F.col("p").alias("q"))
-            jumped = materialise(parent.join(up, "p", "left").select("x", F.coalesce("q", "p").alias("p"), F.col("q").isNotNull().alias("moved")), "parent")
+            one, two = parent.selectExpr("x as p", "p as q"), parent.selectExpr("x as q", "p as r")
+            jumped = parent.join(one, "p", "left").join(two, "q", "left").select("x", F.coalesce("r", "q", "p").alias("p"), F.col("r").isNotNull().alias("moved"))
+            jumped = materialise(jumped, "parent")
             moved = jumped.where("moved").limit(1).count()
             parent = jumped.select("x", "p")
             if not moved:
@@ -378,20 +379,22 @@ def link_nodes(members: DataFrame, sets: DataFrame, percent: int, common: int) -
     split = large.join(second, "node").where("key != key2").select(F.xxhash64("key", "key2").alias("key"), "node", "n", "f", "family")
     cells = materialise(_open(split), "cells")
     keys = materialise(live.groupBy("node").agg(F.collect_list("key").alias("keys")), "node-keys")  # at most a set's own keys
-    pairs = _pairs(small, percent).unionByName(_pairs(cells.where(F.col("c") <= SMALL_BUCKET), percent)).distinct()
-    near = materialise(_kept_promise(materialise(pairs, "few"), keys, common), "near")
-    crowd = cells.where(F.col("c") > SMALL_BUCKET)
-    for turn in range(TURNS):  # near sets of large cells become one family, so that their cells close
+    # near sets of open cells become one family, so that their cells close: first by one pair for each node and cell ...
+    opened = _open(small.select("key", "node", "n", "f", "family").unionByName(cells.select("key", "node", "n", "f", "family")))
+    for turn in range(TURNS):
+        near = materialise(_kept_promise(_star_pairs(opened, percent, turn), keys, common), "near")
         edges = family.selectExpr("family as a", "node as b").unionByName(near)
         family = materialise(components(edges).withColumnRenamed("comp", "family"), "family")
-        crowd = materialise(_open(_relabel(crowd, family)), "crowd")
-        if turn + 1 < TURNS:
-            near = materialise(_kept_promise(_star_pairs(crowd, percent, turn), keys, common), "near")
+        opened = materialise(_open(_relabel(opened, family)), "opened")
+    # ... then by all pairs of what is left in small cells; large ones are compared in blocks
+    near = _kept_promise(materialise(_pairs(opened.where(F.col("c") <= SMALL_BUCKET), percent), "few"), keys, common)
+    family = materialise(components(family.selectExpr("family as a", "node as b").unionByName(near)).withColumnRenamed("comp", "family"), "family")
+    crowd = materialise(_open(_relabel(opened.where(F.col("c") > SMALL_BUCKET), family)), "crowd")
     links = _block_links(family.join(sizes, "node").withColumn("comp", F.col("node")), sets, percent)
     stars = crowd.where(F.col("node") != F.col("pivot")).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
     rest = components(stars).withColumnRenamed("comp", "family").join(sizes, "node").join(family.withColumnRenamed("family", "comp"), "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     others = _block_links(rest, sets, percent)
-    release(named, live, rare, cells, crowd)
+    release(named, live, rare, cells, opened, crowd)
     return components(links.unionByName(others))
 
 

@@ -85,7 +85,7 @@ def _cluster(x: np.ndarray, k: int, rounds: int = 12) -> np.ndarray:
     return c
 
 
-def train(labelled: DataFrame, per_language: int = 300, clusters: int = 3, slack: float = 0.5, max_languages: int = 400) -> LanguageModel:
+def train(labelled: DataFrame, per_language: int = 200, clusters: int = 3, slack: float = 0.5, max_languages: int = 400) -> LanguageModel:
     """Fit on at most per_language rows (key, text, lang) of each of at most max_languages languages.
 
     The rows are those with the smallest hash of key, so the sample doesn't depend on
