@@ -392,10 +392,13 @@ def link_nodes(members: DataFrame, sets: DataFrame, percent: int, common: int) -
     crowd = materialise(_open(_relabel(opened.where(F.col("c") > SMALL_BUCKET), family)), "crowd")
     links = _block_links(family.join(sizes, "node").withColumn("comp", F.col("node")), sets, percent)
     stars = crowd.where(F.col("node") != F.col("pivot")).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
-    rest = components(stars).withColumnRenamed("comp", "family").join(sizes, "node").join(family.withColumnRenamed("family", "comp"), "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    # families are guesses: one link for two of them isn't enough, only nodes that links join count as one. The links
+    # within families are all known by now, so meeting those pairs again adds none
+    known = components(links)
+    rest = components(stars).withColumnRenamed("comp", "family").join(sizes, "node").join(known, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     others = _block_links(rest, sets, percent)
     release(named, live, rare, cells, opened, crowd)
-    return components(links.unionByName(others))
+    return components(known.selectExpr("comp as a", "node as b").unionByName(others))
 
 
 def join_components(docs: DataFrame, k: int = 3, percent: int = 90, merged: dict[int, frozenset[int]] | None = None) -> DataFrame:
