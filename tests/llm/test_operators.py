@@ -429,3 +429,13 @@ def test_each_link_between_two_families_counts(spark, monkeypatch):
     comp = {r.node: r.comp for r in jaccard.link_nodes(members, sets, 90, 8).collect()}
     joined = {(a, b) for a in keys for b in keys if a < b and comp.get(a, a) == comp.get(b, b)}
     assert joined == links
+
+
+def test_texts_that_share_an_id_keep_their_own_sets(spark):
+    texts = [" ".join(f"{side}{i}" for i in range(50)) for side in "ab"]
+    docs = docs_frame(spark, [(7, t, "en", "a") for t in texts] + [(8, texts[0], "en", "a")])
+    node = {t: jaccard.node_hash(s) for t, s in zip(texts, jaccard.shingle_sets([t.encode() for t in texts], 3))}
+    wanted = spark.createDataFrame([(7, n) for n in node.values()], "doc_id bigint, node bigint")
+    got = {r.node: np.frombuffer(r.items, np.uint64) for r in jaccard._node_sets(docs.repartition(1), wanted, 3).collect()}
+    assert set(got) == set(node.values())
+    assert all(jaccard.node_hash(s) == n for n, s in got.items())

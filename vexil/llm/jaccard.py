@@ -153,7 +153,7 @@ def _set_table(docs: DataFrame, k: int, percent: int, merged: dict[int, frozense
                 sets = shingle_sets(texts[lo:hi], k)
                 signed_up = [signatures(s, bands, merged) for s in sets]
                 keys = [x[0] for x in signed_up]
-                node = [int(mix(np.array([mix(s, 31).sum(dtype=np.uint64) + np.uint64(len(s))], np.uint64), 32).view(np.int64)[0]) if len(s) else None for s in sets]
+                node = [node_hash(s) for s in sets]
                 parts = []
                 for i in range(SLICES):
                     own = [x[x % np.uint64(SLICES) == i] for x in keys]
@@ -230,16 +230,21 @@ def components(links: DataFrame) -> DataFrame:
     return label
 
 
+def node_hash(s: np.ndarray) -> int | None:
+    """The node of a set; an empty set has none."""
+    return int(mix(np.array([mix(s, 31).sum(dtype=np.uint64) + np.uint64(len(s))], np.uint64), 32).view(np.int64)[0]) if len(s) else None
+
+
 def _node_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
-    """node, n, items (sorted 64-bit hashes) for the nodes of wanted (doc_id, node)."""
+    """node, n, items (sorted 64-bit hashes) for the nodes of wanted (doc_id, node); of the texts of an id, only those with the node's own set."""
     known = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").join(wanted, "doc_id")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = as_bytes(batch.column(0))
+            texts, nodes = as_bytes(batch.column(0)), batch.column(1).to_pylist()
             for lo, hi in slices(texts):
-                sets = shingle_sets(texts[lo:hi], k)
-                yield pa.RecordBatch.from_arrays([batch.column(1).slice(lo, hi - lo), pa.array([len(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], ["node", "n", "items"])
+                own = [(node, s) for node, s in zip(nodes[lo:hi], shingle_sets(texts[lo:hi], k)) if node == node_hash(s)]
+                yield pa.RecordBatch.from_arrays([pa.array([node for node, _ in own], pa.int64()), pa.array([len(s) for _, s in own], pa.int64()), pa.array([s.tobytes() for _, s in own], pa.binary())], ["node", "n", "items"])
 
     return known.select("text", "node").mapInArrow(run, "node bigint, n bigint, items binary").dropDuplicates(["node"])
 
