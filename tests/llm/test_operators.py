@@ -218,6 +218,26 @@ def test_license_places_match_a_plain_search(spark):
     assert license.scan(docs_frame(spark, []), index).count() == 0
 
 
+def test_license_notices_do_not_displace_each_other(spark):
+    notices = [n for _, n, _ in license.NOTICES]
+    prose = " ".join("the person may copy in binary or source forms and use the terms subject to version 2 or 3 in the public domain".split() * 40)
+    rng = random.Random(4)
+    files = [" and ".join(rng.sample(notices, n)) for n in (1, 2, 3, 5, 8) for _ in range(6)] + [f"{a} x {notices[0]}" for a in notices] + [f"{prose} {a} {prose}" for a in notices]
+    files += [notices[0].replace("granted", "granted indeed"), " ".join(notices[0].split()[2:])]
+    rows = [(i, t, "en", "a") for i, t in enumerate(files)]
+    index = license.fit_idf(docs_frame(spark, rows), license.build_index())
+    got = {r.doc_id: r for r in license.scan(docs_frame(spark, rows), index).collect()}
+    for doc, text, _, _ in rows:
+        words, labels, score = license.words_of(text.encode()), set(), 0.0
+        for own in index.templates:
+            for start in range(-len(own.words), len(words) + 1):
+                if all(any(words[i : i + len(key)] == key for i in range(max(0, start + p - 2), start + p + 3)) for p, key in own.keys):
+                    share = sum(0 <= start + p < len(words) and words[start + p] == w for p, w in enumerate(own.words)) / len(own.words)
+                    if share >= 0.6 and (not own.base or share == 1):
+                        labels, score = labels | {own.label}, max(score, share)
+        assert (got[doc].labels, got[doc].score) == (",".join(sorted(labels)), score)
+
+
 # ------------------------------------------------------------------ 6
 
 

@@ -1,13 +1,13 @@
 """Operator 5: licence scan with a positional rare-token index.
 
 Templates (notices and short phrases) are cut into words; the index maps a word to
-its postings (template, position). A document looks up its rarest licence words
-(highest IDF; document frequencies are counted over all documents), each hit votes
-for a (template, start of the template in the document), and starts with enough votes
-are verified: every mandatory key phrase of the template has to stand near its
-place. The score is the share of the template's words found where they should be.
-Base phrases are templates that are their own key phrase; their rarest word alone
-proposes starts, so all of their places are found.
+the templates whose key phrases have it as their rarest word (highest IDF; document
+frequencies are counted over all documents). Where that word stands within its whole key
+phrase, all starts that have the phrase near its place are proposed and verified: every
+mandatory key phrase of the template has to stand near its place. The score is the share of
+the template's words found where they should be. Each template proposes its starts on its own,
+so the other notices and words of a file take none away; IDF moves cost only.
+Base phrases are templates that are their own key phrase: all of their places are found.
 
 Words: A-Z lower-cased, maximal runs of digits, letters and non-ASCII characters.
 Null text is empty. Ties between templates keep both; repeated rows are scanned one by one.
@@ -62,26 +62,25 @@ class Template:
     words: list[bytes]
     keys: list[tuple[int, list[bytes]]]
     base: bool
-    anchor: int = 0  # position of the rarest word
+    anchor: int = 0  # position of the rarest word of the key phrases
+    place: int = 0  # position of the key phrase that has it
+    key: list[bytes] = field(default_factory=list)
 
 
 @dataclass
 class LicenceIndex:
     templates: list[Template]
     idf: dict[bytes, float] = field(default_factory=dict)
-    postings: dict[bytes, list[tuple[int, int]]] = field(default_factory=dict)
-    anchored: dict[bytes, list[int]] = field(default_factory=dict)
+    postings: dict[bytes, list[int]] = field(default_factory=dict)
 
     def fit(self, n_docs: int, df: dict[bytes, int]) -> LicenceIndex:
         vocabulary = {w for t in self.templates for w in t.words}
         self.idf = {w: math.log((1 + n_docs) / (1 + df.get(w, 0))) for w in vocabulary}
-        self.postings, self.anchored = defaultdict(list), defaultdict(list)
+        self.postings = defaultdict(list)
         for i, t in enumerate(self.templates):
-            for p, w in enumerate(t.words):
-                self.postings[w].append((i, p))
-            t.anchor = max(range(len(t.words)), key=lambda p: (self.idf[t.words[p]], -p))
-            if t.base:
-                self.anchored[t.words[t.anchor]].append(i)
+            spots = [(p + o, p, key) for p, key in t.keys for o in range(len(key))]
+            t.anchor, t.place, t.key = max(spots, key=lambda x: (self.idf[t.words[x[0]]], -x[0]))
+            self.postings[t.words[t.anchor]].append(i)
         return self
 
 
@@ -100,29 +99,27 @@ def build_index(base: dict[str, str] | None = None, notices: list[tuple[str, str
     return LicenceIndex(found).fit(0, {})
 
 
-def scan_text(words: list[bytes], index: LicenceIndex, rare: int = 8, votes: int = 2, shift: int = 2) -> tuple[list[tuple[int, int]], dict[int, float]]:
+def scan_text(words: list[bytes], index: LicenceIndex, shift: int = 2) -> tuple[list[tuple[int, int]], dict[int, float]]:
     """Places (template, start) of base phrases, and the score of each template found."""
-    held = index.postings
     spots: dict[bytes, list[int]] = defaultdict(list)
-    for i in [i for i, w in enumerate(words) if w in held]:
+    for i in [i for i, w in enumerate(words) if w in index.postings]:
         spots[words[i]].append(i)
-    places = []
-    for w, templates in index.anchored.items():
-        for t in templates:
+    places, scores = [], {}
+    for w, found in spots.items():
+        for t in index.postings[w]:
             own = index.templates[t]
-            places += [(t, at - own.anchor) for at in spots.get(w, ()) if at >= own.anchor and words[at - own.anchor : at - own.anchor + len(own.words)] == own.words]
-    scores = {t: 1.0 for t, _ in places}
-    tally: Counter = Counter()
-    for w in sorted(spots, key=lambda w: (-index.idf[w], w))[:rare]:
-        seen = Counter((t, at - p) for at in spots[w] for t, p in held[w] if not index.templates[t].base)
-        tally.update(seen.keys())
-    for (t, start), n in sorted(tally.items()):
-        own = index.templates[t]
-        if n < min(votes, len(set(own.words))) or scores.get(t) == 1.0:
-            continue
-        if all(_near(words, start + p, key, shift) for p, key in own.keys):
-            hits = sum(0 <= start + p < len(words) and words[start + p] == w for p, w in enumerate(own.words))
-            scores[t] = max(scores.get(t, 0.0), hits / len(own.words))
+            back = own.anchor - own.place
+            starts = [at - own.anchor for at in found if at >= back and words[at - back : at - back + len(own.key)] == own.key]
+            if own.base:
+                places += [(t, start) for start in starts]
+                scores |= {t: 1.0} if starts else {}
+                continue
+            for start in (s + d for s in starts for d in range(-shift, shift + 1)):
+                if scores.get(t) == 1.0:
+                    break
+                if all(_near(words, start + p, key, shift) for p, key in own.keys):
+                    hits = sum(0 <= start + p < len(words) and words[start + p] == w for p, w in enumerate(own.words))
+                    scores[t] = max(scores.get(t, 0.0), hits / len(own.words))
     return places, scores
 
 
@@ -146,7 +143,7 @@ def fit_idf(docs: DataFrame, index: LicenceIndex) -> LicenceIndex:
     return index.fit(rows.get(0, 0), {w: rows.get(i + 1, 0) for i, w in enumerate(vocabulary)})
 
 
-def scan(docs: DataFrame, index: LicenceIndex, rare: int = 8, votes: int = 2, min_score: float = 0.6) -> DataFrame:
+def scan(docs: DataFrame, index: LicenceIndex, min_score: float = 0.6) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score of every document."""
     schema = "doc_id bigint, n_words bigint, n_base bigint, first_word bigint, last_word bigint, base_labels string, labels string, score double"
 
@@ -155,7 +152,7 @@ def scan(docs: DataFrame, index: LicenceIndex, rare: int = 8, votes: int = 2, mi
             rows = []
             for doc, text in zip(batch.column(0).to_pylist(), as_bytes(batch.column(1))):
                 words = words_of(text)
-                places, scores = scan_text(words, index, rare, votes)
+                places, scores = scan_text(words, index)
                 starts = [s for _, s in places]
                 base = {index.templates[t].label for t, _ in places}
                 good = {t: s for t, s in scores.items() if s >= min_score}
