@@ -264,6 +264,16 @@ def test_nearest_vectors_recall_and_edges(spark):
     assert ann.search(none, none.vectors.select("vec_id", "v"), 10, ann.calibrate(none, none.vectors.select("vec_id", "v"))).count() == 0
 
 
+def test_nearest_vectors_fill_k_from_small_lists(spark):
+    rng = np.random.default_rng(5)
+    x = np.repeat(rng.normal(size=(12, 8)) * 50, 5, axis=0) + rng.normal(size=(60, 8)) * np.repeat(np.arange(12) % 2, 5)[:, None]  # tight groups, half of them equal vectors
+    index = ann.fit(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id bigint, embedding array<double>"), lists=24)
+    assert (index.sizes == 0).any() and index.sizes.sum() == 60
+    queries = index.vectors.select("vec_id", "v")
+    for k, want in ((10, 10), (59, 59), (80, 59)):
+        assert Counter(r.query_id for r in ann.search(index, queries, k, 1).collect()) == dict.fromkeys(range(60), want)
+
+
 # ------------------------------------------------------------------ 7
 
 

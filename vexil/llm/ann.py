@@ -8,12 +8,13 @@ candidates that would lie beyond it with high confidence. Survivors are scored e
 original vectors in double precision.
 
 The number of probed lists is set by measuring recall on a bounded sample of queries against
-brute force over all rows. Lists are cut into blocks of bounded size, so a list with most of
+brute force over all rows; a query whose lists hold too few vectors goes on to further ones until
+k others are covered, and empty lists don't count. Lists are cut into blocks of bounded size, so a list with most of
 the rows is shared by many tasks; each block returns at most k rows for a query.
 
 Cases: vectors that are null, zero, of another length than most, or that hold null or non-finite
 components take no part. Rows that share a vec_id are one vector (the smallest by components). Ties
-go to the smaller vec_id; with at most k candidates all are returned.
+go to the smaller vec_id; with at most k candidates all are returned, else k.
 """
 
 from __future__ import annotations
@@ -39,6 +40,7 @@ class Index:
     rotation: np.ndarray
     centroids: np.ndarray  # in rotated space
     subs: DataFrame  # list, subs
+    sizes: np.ndarray  # rows of each list
     n: int
 
 
@@ -93,9 +95,20 @@ def fit(vectors: DataFrame, vec_id: str = "vec_id", column: str = "embedding", l
 
     placed = base.mapInArrow(run, "vec_id bigint, v array<double>, list int")
     placed = materialise(placed, "lists")
-    subs = placed.groupBy("list").agg(F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("subs"))
+    counts = placed.groupBy("list").count()
+    sizes = np.zeros(len(centroids), np.int64)
+    for r in counts.collect():  # at most a row for each list
+        sizes[r["list"]] = r["count"]
+    subs = counts.select("list", F.ceil(F.col("count") / BLOCK_ROWS).cast("int").alias("subs"))
     indexed = placed.join(F.broadcast(subs), "list").withColumn("sub", F.pmod(F.xxhash64("vec_id"), "subs").cast("int")).drop("subs")
-    return Index(indexed, rotation, centroids, subs, n)
+    return Index(indexed, rotation, centroids, subs, sizes, n)
+
+
+def _order(parts: tuple[np.ndarray, np.ndarray, np.ndarray], q: np.ndarray) -> np.ndarray:
+    """Lists that hold vectors, nearest first, for each query."""
+    turn, c, sizes = parts
+    filled = np.flatnonzero(sizes)
+    return filled[np.argsort(_nearest(q @ turn, c[filled]), axis=1, kind="stable")]
 
 
 def scan_block(ids: np.ndarray, x: np.ndarray, rotated: np.ndarray, qid: np.ndarray, q: np.ndarray, q_rotated: np.ndarray, k: int, block: int = 16, epsilon: float = 2.1) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
@@ -125,18 +138,20 @@ def scan_block(ids: np.ndarray, x: np.ndarray, rotated: np.ndarray, qid: np.ndar
 
 
 def search(index: Index, queries: DataFrame, k: int = 10, probes: int | None = None, epsilon: float = 2.1) -> DataFrame:
-    """query_id, rank, vec_id, score for queries (vec_id, v)."""
+    """query_id, rank, vec_id, score for queries (vec_id, v). A query probes more lists where the nearest `probes` hold fewer than k + 1 vectors."""
     d, spark = len(index.rotation), queries.sparkSession
     probes = min(len(index.centroids), probes or len(index.centroids))
-    shared = spark.sparkContext.broadcast((index.rotation, index.centroids))
+    shared = spark.sparkContext.broadcast((index.rotation, index.centroids, index.sizes))
 
     def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        turn, c = shared.value
+        sizes = shared.value[2]
         for batch in batches:
             for lo in range(0, batch.num_rows, CHUNK):
                 part = batch.slice(lo, CHUNK)
-                near = np.argsort(_nearest(_matrix(part.column(1), d) @ turn, c), axis=1, kind="stable")[:, :probes]
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(list(near.astype(np.int32)), pa.list_(pa.int32()))], ["query_id", "q", "lists"])
+                order = _order(shared.value, _matrix(part.column(1), d))
+                depth = np.maximum(probes, (np.cumsum(sizes[order], axis=1) <= k).sum(axis=1) + 1)  # k others and the query itself
+                near = [own[:n] for own, n in zip(order.astype(np.int32), depth)]
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(near, pa.list_(pa.int32()))], ["query_id", "q", "lists"])
 
     routed = queries.select("vec_id", "v").mapInArrow(route, "query_id bigint, q array<double>, lists array<int>")
     visits = routed.select("query_id", "q", F.explode("lists").alias("list")).join(F.broadcast(index.subs), "list").select("list", F.explode(F.sequence(F.lit(0), F.col("subs") - 1)).alias("sub"), "query_id", "q")
@@ -164,9 +179,9 @@ def calibrate(index: Index, queries: DataFrame, k: int = 10, target: float = 0.9
     """Lists to probe so that at least target of the true neighbours of a bounded sample of queries lie in them."""
     picked = materialise(queries.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample), "sample")
     truth = exact(index, picked, k).join(index.vectors.select("vec_id", "list"), "vec_id").select("query_id", "list").collect()
-    turn, order = index.rotation, {}
+    order = {}
     for r in picked.collect():
-        near = np.argsort(_nearest(np.array([r.v]) @ turn, index.centroids)[0], kind="stable")
+        near = _order((index.rotation, index.centroids, index.sizes), np.array([r.v]))[0]
         order[r.vec_id] = {int(x): i for i, x in enumerate(near)}
     depth = sorted(order[r.query_id][r.list] for r in truth)
     return depth[min(len(depth) - 1, int(np.ceil(target * len(depth))))] + 1 if depth else 1
