@@ -12,6 +12,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType
 
 CARRIERS = ("emb_zipf", "emb_single", "emb_fixed4", "doc_attr", "doc_fixed4", "basket_nation", "basket_type", "basket_fixed4", "page_terms")
 
@@ -39,7 +40,6 @@ def _fixed4(key: Column) -> Column:
     return F.array(*(((key * m % p) % 3 + 3 * i).cast("int") for i, (m, p) in enumerate(FIXED_MULTIPLIERS)))
 
 
-@F.pandas_udf("array<double>")
 def _letter_shares(text: pd.Series) -> pd.Series:
     out = []
     for t in text:
@@ -51,7 +51,7 @@ def _letter_shares(text: pd.Series) -> pd.Series:
 def letter_profile(text: Column) -> Column:
     """Share of each letter a-z among the letters of text; zeros without letters. One pass over the bytes
     in an Arrow batch, where 26 passes of string functions would dominate every query on texts."""
-    return _letter_shares(text)
+    return F.pandas_udf(_letter_shares, ArrayType(DoubleType()))(text)  # made here: importing needs no session
 
 
 def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
