@@ -442,21 +442,20 @@ def test_bands_guarantee(spark):
     assert jaccard.join_components(docs_frame(spark, [])).count() == 0
 
 
-def test_each_link_between_two_families_counts(spark, monkeypatch):
+def test_each_link_between_two_families_counts(spark):
     """Pairs of nodes that are one family without being linked, all in one large cell; two links join members of the first two families."""
-    monkeypatch.setattr(jaccard, "TURNS", 0)  # merges of families before blocks: cost only
     links = {(100, 102), (101, 103)}
     keys = defaultdict(set)
     for node in range(100, 110):
         keys[node] |= {f"own{node // 2}-{i}" for i in range(8)} | {f"all{i}" for i in range(8)}
-    for i in range(8):  # the first nodes of the keys that all have; they share one key with each other, so no family
+    for i in range(8):  # the centres of the keys that all have; they share one key with each other, so no family
         keys[i] |= {f"all{i}"} | {f"few{min(i, j)}-{max(i, j)}" for j in range(8) if j != i}
     ids = {k: at for at, k in enumerate(sorted(set().union(*keys.values())))}
-    members = spark.createDataFrame([(ids[k], node, 40, 0, 8) for node, own in keys.items() for k in own], "key bigint, node bigint, n int, f int, need int")
+    members = spark.createDataFrame([(ids[k], node, 40, 8, 9 if node < 8 else 5) for node, own in keys.items() for k in own], "key bigint, node bigint, n int, need int, pop bigint")
     twin = {b: a for a, b in links}
     items = {node: np.arange(40, dtype=np.uint64) + np.uint64(1000 * twin.get(node, node)) for node in keys}
     sets = spark.createDataFrame([(node, len(x), x.tobytes()) for node, x in items.items()], "node bigint, n bigint, items binary")
-    comp = {r.node: r.comp for r in jaccard.link_nodes(members, sets, 90, 8).collect()}
+    comp = {r.node: r.comp for r in jaccard.link_nodes(members, sets, 90).collect()}
     joined = {(a, b) for a in keys for b in keys if a < b and comp.get(a, a) == comp.get(b, b)}
     assert joined == links
 

@@ -9,15 +9,15 @@ one-deletion neighbourhood: it may differ in one shingle and so stands for the t
 allocation changes cost only, never the outcome.
 
 1. Equal sets become one node (partial aggregation), so copies never meet in a bucket.
-2. Signatures of a single node are dropped by aggregating least and greatest node.
-3. Nodes that share many keys with the first node of their buckets form families (groups of near
-   copies, whatever their size). A family is cut into blocks, and two blocks meet in one task, where a
-   single incidence product gives all intersections; it returns links that join components, never
-   all pairs.
-4. Pairs of different families: linked sets share eight keys or more, and more if their sizes leave
-   room for few differences, so each node leaves out its most frequent ones. Small buckets give pairs, kept
-   if they share that many; large buckets are split by each second key. Kept pairs and what is still
-   large connect nodes, which are compared in blocks like a family.
+2. Signatures of a single node are dropped by aggregating least and greatest node; so are nodes with fewer
+   shared keys than any linked pair has.
+3. Each bucket names its most popular node (most meetings over all its keys): the centre of a group of near copies.
+   Each node is verified against the one centre that it shares most keys with; that finds nearly all links,
+   and its centre, linked or not, gives each node a family.
+4. Exactness: buckets whose nodes are all joined by now are closed. What is still open is compared within families,
+   then, for nodes that still meet other families, within buckets, where a node leaves out its most
+   frequent keys. Both are cut into blocks of bounded size; two blocks meet in one task, where an incidence product
+   gives all intersections and only links that join components leave. Blocks of one component don't meet.
 
 Outcome: each document with its component; links between different texts are never missed, and
 all pairs of a group are never made.
@@ -42,11 +42,10 @@ from pyspark.sql import functions as F
 from .common import as_bytes, grams, hash_words, materialise, mix, release, signed, slices
 
 BAND = 1.5
-SMALL_BUCKET = 8
 SLICES = 4  # parts of the key space, dealt out one after the other: the disk of one part
-BLOCK_NODES, BLOCK_BYTES, ROUND_BYTES = 1_024, 16_000_000, 500_000_000
-TURNS = 2  # merges of near sets before what is left is compared in blocks
+BLOCK_NODES, BLOCK_BYTES = 1_024, 8_000_000
 SPARE = 8  # filled units on which any linked pair agrees
+KIN = 3  # shared keys that make a node one of its centre's family (families move cost only)
 
 
 def shingle_sets(texts: list[bytes], k: int) -> list[np.ndarray]:
@@ -109,13 +108,13 @@ def unit_ranges(s: np.ndarray, m: int) -> np.ndarray:
     return np.concatenate([[0], cuts, [len(s)]])
 
 
-def signatures(s: np.ndarray, bands: Bands, merged: dict[int, frozenset[int]]) -> tuple[np.ndarray, int, int]:
-    """Index keys of one set, its filled units, and how many keys any linked set has in common with it.
+def signatures(s: np.ndarray, bands: Bands, merged: dict[int, frozenset[int]]) -> tuple[np.ndarray, int]:
+    """Index keys of one set, and how many keys any linked set has in common with it.
 
-    merged: for a band, the pairs (j, j+1) of units, by even j, that are merged. Filled units are 0 where they
-    promise nothing (merged units, or too few filled); of two bands the smaller promise counts.
+    merged: for a band, the pairs (j, j+1) of units, by even j, that are merged. Nothing is promised with
+    merged units or too few filled; of two bands the smaller promise counts.
     """
-    n, fills, needs = len(s), [], []
+    n, needs = len(s), []
     weight = mix(s, 21)
     total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(weight)])
     out = [np.zeros(0, np.uint64)]
@@ -132,14 +131,13 @@ def signatures(s: np.ndarray, bands: Bands, merged: dict[int, frozenset[int]]) -
         enough = len(filled) + 2 * len(pairs) >= bands.differ(b) + SPARE
         used = filled if enough else alone
         largest = min(bands.edge(b + 1) - 1, n * 100 // bands.percent)
-        fills.append(len(filled) if enough and not pairs else 0)
-        needs.append(fills[-1] - (n + largest) * (100 - bands.percent) // (100 + bands.percent))
+        needs.append((len(filled) if enough and not pairs else 0) - (n + largest) * (100 - bands.percent) // (100 + bands.percent))
         out.append(mix(sums[used] + mix(used.astype(np.uint64), 1000 + b), 22))
         for j in pairs:
             whole, base = sums[j : j + 2].sum(dtype=np.uint64), mix(np.array([j], np.uint64), 5000 + b)
             near = np.concatenate([np.array([whole]), whole - weight[at[j] : at[j + 2]]])
             out.append(np.unique(mix(near + base, 23)))
-    return np.concatenate(out), min(fills, default=0), max(0, min(needs, default=0))
+    return np.concatenate(out), max(0, min(needs, default=0))
 
 
 def _set_table(docs: DataFrame, k: int, percent: int, merged: dict[int, frozenset[int]]) -> DataFrame:
@@ -160,11 +158,11 @@ def _set_table(docs: DataFrame, k: int, percent: int, merged: dict[int, frozense
                     at = np.concatenate([[0], np.cumsum([len(x) for x in own])]).astype(np.int32)
                     parts.append(pa.ListArray.from_arrays(pa.array(at), pa.array(signed(np.concatenate(own)))))
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(lo, hi - lo).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(node, pa.int64()), pa.array([x[1] for x in signed_up], pa.int32()), pa.array([x[2] for x in signed_up], pa.int32()), *parts],
-                    ["doc_id", "n_shingles", "node", "filled", "need", *(f"keys{i}" for i in range(SLICES))],
+                    [batch.column(0).slice(lo, hi - lo).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(node, pa.int64()), pa.array([x[1] for x in signed_up], pa.int32()), *parts],
+                    ["doc_id", "n_shingles", "node", "need", *(f"keys{i}" for i in range(SLICES))],
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n_shingles bigint, node bigint, filled int, need int, " + ", ".join(f"keys{i} array<bigint>" for i in range(SLICES)))
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n_shingles bigint, node bigint, need int, " + ", ".join(f"keys{i} array<bigint>" for i in range(SLICES)))
 
 
 def allocate(docs: DataFrame, k: int, percent: int, sample: int = 4_000, weight: float = 0.05) -> dict[int, frozenset[int]]:
@@ -287,123 +285,126 @@ def _compare_blocks(frame: pd.DataFrame, percent: int) -> pd.DataFrame:
     return pd.DataFrame(out, columns=["a", "b"], dtype=np.int64)
 
 
-def _block_links(family: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Links within families (node, comp, n, family). A family is cut into blocks of bounded size, and every two
-    blocks meet in one task; a node's set is sent once for each block of its family, in rounds of bounded volume."""
-    size = family.groupBy("family").agg(F.count("*").alias("c"), F.sum("n").alias("total"), (F.min("comp") != F.max("comp")).alias("open")).where("c > 1 and open")
-    size = materialise(size.select("family", "total", F.ceil(F.greatest(F.col("c") / BLOCK_NODES, F.col("total") * 8 / BLOCK_BYTES)).cast("int").alias("blocks")), "blocks")
-    volume = size.agg(F.sum(F.col("total") * 8 * F.col("blocks"))).first()[0] or 0
-    rounds = max(1, -(-volume // ROUND_BYTES))
-    placed = family.join(size, "family").withColumn("own", F.pmod(F.xxhash64("node", F.lit(3)), "blocks").cast("int"))
-    other = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda o: F.struct(F.least("own", o).alias("i"), F.greatest("own", o).alias("j"), (F.col("own") > o).cast("int").alias("side")))
-    visits = placed.select("family", "node", "comp", F.explode(other).alias("v")).select("family", "node", "comp", "v.*")
+def _block_links(groups: DataFrame, sets: DataFrame, percent: int) -> DataFrame | None:
+    """Links within groups (family, node, comp, n) between nodes of different components.
+
+    A group is cut into blocks of bounded size, those of its largest component apart, which needn't meet one another;
+    any other two blocks meet in one task. A node's set is sent once for each block it meets. Rounds of at most
+    four times the volume of all sets keep the disk in bounds: their number follows how often
+    sets are sent, not the input.
+    """
+    comps = materialise(groups.groupBy("family", "comp").agg(F.count("*").alias("c"), F.sum("n").alias("total")), "comps")
+    size = comps.groupBy("family").agg(F.max(F.struct("c", "total", "comp")).alias("m"), F.sum("c").alias("c"), F.sum("total").alias("total")).where("c > m.c")
+    cut = lambda c, total: F.ceil(F.greatest(c / BLOCK_NODES, total * 8 / BLOCK_BYTES)).cast("int")
+    size = size.withColumn("whole", cut(F.col("c"), F.col("total")) == 1)
+    size = materialise(size.select("family", "total", F.col("m.comp").alias("main"), F.col("m.total").alias("most"), F.when(F.col("whole"), 0).otherwise(cut(F.col("m.c"), F.col("m.total"))).alias("mains"), F.when(F.col("whole"), 1).otherwise(cut(F.col("c") - F.col("m.c"), F.col("total") - F.col("m.total"))).alias("others")), "blocks")
+    volume = size.agg(F.sum(F.col("total") * F.col("others") + (F.col("total") - F.col("most")) * F.col("mains"))).first()[0]
+    if not volume:
+        return None
+    rounds = max(1, -(-volume // max(64_000_000, 4 * sets.agg(F.sum("n")).first()[0])))
+    in_main = (F.col("comp") == F.col("main")) & (F.col("mains") > 0)
+    place = F.xxhash64("node", F.lit(3))
+    placed = groups.join(size, "family").withColumn("own", F.when(in_main, F.pmod(place, F.greatest("mains", F.lit(1)))).otherwise(F.col("mains") + F.pmod(place, "others")).cast("int"))
+    met = F.sequence(F.when(in_main, F.col("mains")).otherwise(0), F.col("mains") + F.col("others") - 1)
+    met = F.transform(met, lambda o: F.struct(F.least("own", o).alias("i"), F.greatest("own", o).alias("j"), (F.col("own") > o).cast("int").alias("side")))
+    visits = placed.select("family", "node", "comp", F.explode(met).alias("v")).select("family", "node", "comp", "v.*")
+    visits = materialise(visits, "visits")
     kernel, out = partial(_compare_blocks, percent=percent), None
     for r in range(rounds):
         part = visits.where(F.pmod(F.xxhash64("family", "i", "j"), F.lit(rounds)) == r).join(sets.select("node", "items"), "node")
         found = materialise(part.groupBy("family", "i", "j").applyInPandas(kernel, "a bigint, b bigint"), "links", 512)
         out = found if out is None else out.unionByName(found)
+    release(comps, size, visits)
     return out
 
 
-def _pairs(rows: DataFrame, percent: int) -> DataFrame:
-    """Distinct pairs of nodes of different families that share a (small) bucket and may be linked by size, with the
-    keys that they would have in common."""
-    left = rows.select("key", F.col("node").alias("a"), F.col("family").alias("fa"), F.col("n").alias("na"), F.col("f").alias("ua"))
-    right = rows.select("key", F.col("node").alias("b"), F.col("family").alias("fb"), F.col("n").alias("nb"), F.col("f").alias("ub"))
-    near = left.join(right, "key").where(f"a < b and fa != fb and 100 * least(na, nb) >= {percent} * greatest(na, nb)")
-    return near.selectExpr("a", "b", f"greatest(ua, ub) - (na + nb) * {100 - percent} div {100 + percent} as promised").distinct()
-
-
 def _members(table: DataFrame, common: int, passes: int = 2) -> DataFrame:
-    """key, node, n, f, need of the buckets with two nodes or more, for nodes that have as many such keys as they need."""
+    """key, node, n, need, pop of the buckets with two nodes or more, for nodes that have as many such keys as they need.
+    pop: rows (copies too) that a node meets, over all its keys."""
     parts = []
     for i in range(SLICES):
-        rows = table.where("node is not null").select("node", F.col("n_shingles").cast("int").alias("n"), F.col("filled").alias("f"), F.greatest("need", F.lit(common)).alias("need"), F.explode(f"keys{i}").alias("key"))
-        keys = materialise(rows.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo != hi").select("key"), "keys")
-        parts.append(materialise(rows.join(keys, "key").select("key", "node", "n", "f", "need").distinct(), "members"))
+        rows = table.where("node is not null").select("node", F.col("n_shingles").cast("int").alias("n"), F.greatest("need", F.lit(common)).alias("need"), F.explode(f"keys{i}").alias("key"))
+        keys = materialise(rows.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi"), F.count("*").alias("c")).where("lo != hi").select("key", "c"), "keys")
+        parts.append(materialise(rows.join(keys, "key").groupBy("key", "node").agg(F.first("n").alias("n"), F.first("need").alias("need"), F.first("c").alias("c")), "members"))
+        release(keys)
     members = parts[0]
     for p in parts[1:]:
         members = members.unionByName(p)
-    for _ in range(passes):
-        enough = members.groupBy("node", "need").count().where("count >= need").select("node")
-        kept = members.join(enough, "node", "left_semi")
+    for turn in range(passes):
+        enough = members.groupBy("node", "need").agg(F.count("*").alias("keys"), F.sum("c").alias("pop")).where("keys >= need").select("node", "pop")
+        kept = members.join(enough, "node")
         shared = kept.groupBy("key").count().where("count > 1").select("key")
-        members = materialise(kept.join(shared, "key", "left_semi"), "members")
+        kept = kept.join(shared, "key", "left_semi")
+        members = materialise(kept.select("key", "node", "n", "need", "c", *(["pop"] if turn == passes - 1 else [])), "members")
     release(*parts)
-    return members
-
-
-def _open(rows: DataFrame) -> DataFrame:
-    """Rows (key, node, n, family) of the keys that several families have, with c, the bucket's size, and its first node."""
-    span = rows.groupBy("key").agg(F.min("family").alias("lo"), F.max("family").alias("hi"), F.count("*").alias("c"), F.min("node").alias("pivot")).where("lo != hi").select("key", "c", "pivot")
-    return rows.join(span, "key")
-
+    return members.drop("c")
 
-def _kept_promise(pairs: DataFrame, keys: DataFrame, common: int) -> DataFrame:
-    """Pairs (a, b, promised) that share as many keys as linked sets must."""
-    left, right = keys.select(F.col("node").alias("a"), F.col("keys").alias("x")), keys.select(F.col("node").alias("b"), F.col("keys").alias("y"))
-    return pairs.join(left, "a").join(right, "b").where(F.size(F.array_intersect("x", "y")) >= F.greatest("promised", F.lit(common))).select("a", "b").distinct()
 
-
-def _star_pairs(cells: DataFrame, percent: int, turn: int) -> DataFrame:
-    """Each node of an open cell with a node of one other family, drawn anew in each turn."""
-    pivot = cells.groupBy("key").agg(F.min(F.struct(F.xxhash64("family", F.lit(turn)).alias("h"), "node", "n", "f", "family")).alias("p"))
-    met = cells.select("key", "node", "n", "f", "family").join(materialise(pivot, "pivots"), "key").where(f"family != p.family and 100 * least(n, p.n) >= {percent} * greatest(n, p.n)")
-    return met.selectExpr("least(node, p.node) as a", "greatest(node, p.node) as b", f"greatest(f, p.f) - (n + p.n) * {100 - percent} div {100 + percent} as promised").distinct()
-
-
-def _relabel(rows: DataFrame, family: DataFrame) -> DataFrame:
-    return rows.select("key", "node", "n", "f").join(family, "node", "left").withColumn("family", F.coalesce("family", "node"))
+def _open(rows: DataFrame, label: str, passes: int = 2) -> DataFrame:
+    """Rows (key, node, n, need, comp, family) of the keys that several labels have, for nodes with as many such keys as they need."""
+    for _ in range(passes):
+        span = rows.groupBy("key").agg(F.min(label).alias("lo"), F.max(label).alias("hi")).where("lo != hi").select("key")
+        live = rows.join(span, "key", "left_semi")
+        enough = live.groupBy("node", "need").count().where("count >= need").select("node")
+        rows = materialise(live.join(enough, "node", "left_semi"), "live")
+    return rows
 
 
-def link_nodes(members: DataFrame, sets: DataFrame, percent: int, common: int) -> DataFrame:
-    """node, comp from bucket members (key, node, n, f, need); linked sets share at least `common` keys."""
-    pivots = materialise(members.groupBy("key").agg(F.min("node").alias("pivot")), "pivots")
-    met = members.join(pivots, "key").where("node != pivot").groupBy("node", "pivot").count()
-    own = members.groupBy("node").agg(F.count("*").alias("keys"))
-    strong = met.join(own, "node").where((F.col("count") >= common) | F.expr("count >= 3 and 6 * count >= keys"))
-    # two edges for each node: to the first node that it shares enough with, and to the one it shares most with
-    strong = strong.groupBy("node").agg(F.array_distinct(F.array(F.min("pivot"), F.max(F.struct("count", "pivot"))["pivot"])).alias("a")).select(F.explode("a").alias("a"), F.col("node").alias("b"))
-    family = materialise(components(strong).withColumnRenamed("comp", "family"), "family")
-    sizes = materialise(members.select("node", "n").distinct(), "sizes")
+def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) whose sets are linked."""
+    both = pairs.select("a", "b").join(sets.selectExpr("node as a", "items as x"), "a").join(sets.selectExpr("node as b", "items as y"), "b")
 
-    named = members.join(family, "node", "left").withColumn("family", F.coalesce("family", "node"))
-    for _ in range(2):
-        live = _open(named)
-        enough = live.groupBy("node", "need").count().where("count >= need").select("node")
-        named = materialise(live.join(enough, "node", "left_semi").select("key", "node", "n", "f", "need", "family"), "live")
-    live = materialise(_open(named), "live")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = []
+            for x, y in zip(batch.column(2), batch.column(3)):
+                x, y = (np.frombuffer(z.as_buffer(), np.uint64) for z in (x, y))
+                common = len(x) + len(y) - len(np.unique(np.concatenate([x, y])))
+                keep.append(100 * common >= percent * (len(x) + len(y) - common))
+            yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+
+    return both.select("a", "b", "x", "y").mapInArrow(run, "a bigint, b bigint")
+
+
+def _roots(parents: DataFrame) -> DataFrame:
+    """node, root from a forest (node, parent), by pointer jumps."""
+    while True:
+        up = parents.select(F.col("node").alias("parent"), F.col("parent").alias("up"))
+        jumped = materialise(parents.join(up, "parent", "left").select("node", F.coalesce("up", "parent").alias("parent"), F.col("up").isNotNull().alias("moved")), "roots")
+        parents = jumped.select("node", "parent")
+        if not jumped.where("moved").limit(1).count():
+            return parents.withColumnRenamed("parent", "root")
+
+
+def link_nodes(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """node, comp from bucket members (key, node, n, need, pop), for the nodes that links join."""
+    # the centre of a bucket is its greatest by (pop, node): an order of all nodes, so that centres form a forest
+    centres = materialise(members.groupBy("key").agg(F.max(F.struct("pop", "node", "n")).alias("p")).select("key", F.col("p.node").alias("centre"), F.col("p.n").alias("m")), "centres")
+    met = members.join(centres, "key").where(f"node != centre and 100 * least(n, m) >= {percent} * greatest(n, m)").groupBy("node", "centre").count()
+    best = materialise(met.groupBy("node").agg(F.max(F.struct("count", "centre")).alias("p")).select(F.col("node").alias("a"), F.col("p.centre").alias("b"), F.col("p.count").alias("shared")), "best")
+    links = materialise(_verified(best, sets, percent), "links", 256)
+    linked = best.join(links, ["a", "b"], "left_semi").select("a", "b")
+    kin = best.where(f"shared >= {KIN}").select("a", "b").unionByName(linked).distinct()
+    comps, families = (_roots(x.selectExpr("a as node", "b as parent")) for x in (links, kin))
+    rows = members.select("key", "node", "n", "need").join(comps.withColumnRenamed("root", "comp"), "node", "left").join(families.withColumnRenamed("root", "family"), "node", "left")
+    live = _open(materialise(rows.withColumns({x: F.coalesce(x, "node") for x in ("comp", "family")}), "rows"), "comp")
+    inner = _block_links(live.select("family", "node", "comp", "n").distinct(), sets, percent)
+    if inner is not None:
+        links = links.unionByName(inner)
+    found = components(links)
+    again = live.drop("comp").join(found, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    # pairs of one family are settled: what is left meets another family, and another component
+    across = _open(_open(materialise(again, "rows"), "family"), "comp", 1)
+    sizes = materialise(across.groupBy("key").agg(F.count("*").alias("c")), "sizes")
     # a node shares `need` keys with any linked one, so they also share one if it leaves out its need - 1 most frequent
     # ones: the rarest of what two nodes share has at least need - 1 shared keys before it in either
     frequent = Window.partitionBy("node").orderBy(F.desc("c"), "key")
-    rare = live.withColumn("r", F.row_number().over(frequent)).where("r >= need").select("key", "node", "n", "f", "family")
-    rare = materialise(_open(rare), "rare")
-    small, large = rare.where(F.col("c") <= SMALL_BUCKET), rare.where(F.col("c") > SMALL_BUCKET)
-    # a large bucket is split by each other key of its nodes
-    second = live.select("node", F.col("key").alias("key2"))
-    split = large.join(second, "node").where("key != key2").select(F.xxhash64("key", "key2").alias("key"), "node", "n", "f", "family")
-    cells = materialise(_open(split), "cells")
-    keys = materialise(live.groupBy("node").agg(F.collect_list("key").alias("keys")), "node-keys")  # at most a set's own keys
-    # near sets of open cells become one family, so that their cells close: first by one pair for each node and cell ...
-    opened = _open(small.select("key", "node", "n", "f", "family").unionByName(cells.select("key", "node", "n", "f", "family")))
-    for turn in range(TURNS):
-        near = materialise(_kept_promise(_star_pairs(opened, percent, turn), keys, common), "near")
-        edges = family.selectExpr("family as a", "node as b").unionByName(near)
-        family = materialise(components(edges).withColumnRenamed("comp", "family"), "family")
-        opened = materialise(_open(_relabel(opened, family)), "opened")
-    # ... then by all pairs of what is left in small cells; large ones are compared in blocks
-    near = _kept_promise(materialise(_pairs(opened.where(F.col("c") <= SMALL_BUCKET), percent), "few"), keys, common)
-    family = materialise(components(family.selectExpr("family as a", "node as b").unionByName(near)).withColumnRenamed("comp", "family"), "family")
-    crowd = materialise(_open(_relabel(opened.where(F.col("c") > SMALL_BUCKET), family)), "crowd")
-    links = _block_links(family.join(sizes, "node").withColumn("comp", F.col("node")), sets, percent)
-    stars = crowd.where(F.col("node") != F.col("pivot")).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
-    # families are guesses: one link for two of them isn't enough, only nodes that links join count as one. The links
-    # within families are all known by now, so meeting those pairs again adds none
-    known = components(links)
-    rest = components(stars).withColumnRenamed("comp", "family").join(sizes, "node").join(known, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-    others = _block_links(rest, sets, percent)
-    release(named, live, rare, cells, opened, crowd)
-    return components(known.selectExpr("comp as a", "node as b").unionByName(others))
+    rare = materialise(across.join(sizes, "key").withColumn("r", F.row_number().over(frequent)).where("r >= need").select(F.col("key").alias("family"), "node", "comp", "n"), "rare")
+    outer = _block_links(rare, sets, percent)
+    if outer is not None:
+        found = components(found.selectExpr("comp as a", "node as b").unionByName(outer))
+    release(centres, live, across, rare)
+    return found
 
 
 def join_components(docs: DataFrame, k: int = 3, percent: int = 90, merged: dict[int, frozenset[int]] | None = None) -> DataFrame:
@@ -418,7 +419,7 @@ def join_components(docs: DataFrame, k: int = 3, percent: int = 90, merged: dict
     own = table.where("node is not null and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
     wanted = own.join(members.select("node").distinct(), "node", "left_semi")
     sets = materialise(_node_sets(docs, wanted, k), "nodes", 1_000)
-    label = link_nodes(members, sets, percent, common)
+    label = link_nodes(members, sets, percent)
     named = own.join(label, "node", "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
     least = named.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
     final = named.join(least, "comp").select(F.col("node").alias("_node"), "component_id")
