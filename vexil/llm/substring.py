@@ -17,8 +17,9 @@ anchor form a *run*, which stretches over all words of its windows.
 Adjacent repeats are merged into maximal ones. No step emits pairs of a group or holds a group;
 a document's own places are the largest thing in a task.
 
-Cases: null text has no words. Rows with a null doc_id take no part and keep all words. Rows that
-share a doc_id are the same document to the order above: none of them is earlier than another.
+Cases: null text has no words. Rows with a null doc_id take no part and keep all words. Rows that share a doc_id
+stand at one place in the order above: of their windows, those with an earlier start are earlier, whichever
+row has them. Each keeps its own cuts, by a hash of its text.
 Documents shorter than `length` keep all words.
 """
 
@@ -81,7 +82,7 @@ def find_runs(words: np.ndarray, offsets: np.ndarray, length: int) -> tuple[np.n
 def _run_table(docs: DataFrame, length: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, texts = batch.column(0).to_numpy(zero_copy_only=False), as_bytes(batch.column(1))
+            texts = as_bytes(batch.column(2))
             for lo, hi in slices(texts):
                 doc, start, count, anchor, content = find_runs(*hash_words(texts[lo:hi]), length)
                 if not len(doc):
@@ -89,10 +90,15 @@ def _run_table(docs: DataFrame, length: int) -> DataFrame:
                 ends = np.flatnonzero(np.append(np.diff(doc) != 0, True)) + 1
                 at = np.concatenate([[0], ends]).astype(np.int32)
                 arrays = [pa.ListArray.from_arrays(pa.array(at), pa.array(x)) for x in (signed(anchor), signed(content), start.astype(np.int32), count.astype(np.int32))]
-                yield pa.RecordBatch.from_arrays([pa.array(ids[lo:hi][doc[ends - 1]].astype(np.int64)), *arrays], ["doc_id", "a", "b", "s", "n"])
+                own = pa.array(doc[ends - 1] + lo)
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(own), batch.column(1).take(own), *arrays], ["doc_id", "h", "a", "b", "s", "n"])
 
-    known = docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    return known.mapInArrow(run, "doc_id bigint, a array<bigint>, b array<bigint>, s array<int>, n array<int>")
+    return _known(docs).mapInArrow(run, "doc_id bigint, h bigint, a array<bigint>, b array<bigint>, s array<int>, n array<int>")
+
+
+def _known(docs: DataFrame) -> DataFrame:
+    """doc_id, h (the text's hash) and text of the rows that take part."""
+    return docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), F.xxhash64("text").alias("h"), "text")
 
 
 def _window_table(docs: DataFrame, length: int) -> DataFrame:
@@ -100,36 +106,35 @@ def _window_table(docs: DataFrame, length: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, texts, opened = batch.column(0).to_numpy(zero_copy_only=False), as_bytes(batch.column(1)), batch.column(2).to_pylist()
+            texts, opened = as_bytes(batch.column(2)), batch.column(3).to_pylist()
             for lo, hi in slices(texts):
                 words, offsets = hash_words(texts[lo:hi])
                 one, two = grams(words, length, 11), grams(words ^ np.uint64(0x5851F42D4C957F2D), length, 12)
                 starts = [np.concatenate([np.arange(x["s"], x["s"] + x["n"]) for x in opened[lo + i]]) for i in range(hi - lo)]
                 where = np.concatenate([s + offsets[i] for i, s in enumerate(starts)])
-                doc = np.repeat(ids[lo:hi], [len(s) for s in starts]).astype(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(signed(one[where])), pa.array(signed(two[where])), pa.array(doc), pa.array(np.concatenate(starts).astype(np.int32))], ["w1", "w2", "doc_id", "s"])
+                own = pa.array(np.repeat(np.arange(lo, hi), [len(s) for s in starts]))
+                yield pa.RecordBatch.from_arrays([pa.array(signed(one[where])), pa.array(signed(two[where])), batch.column(0).take(own), batch.column(1).take(own), pa.array(np.concatenate(starts).astype(np.int32))], ["w1", "w2", "doc_id", "h", "s"])
 
-    return docs.select("doc_id", "text", "open").mapInArrow(run, "w1 bigint, w2 bigint, doc_id bigint, s int")
+    return docs.select("doc_id", "h", "text", "open").mapInArrow(run, "w1 bigint, w2 bigint, doc_id bigint, h bigint, s int")
 
 
 def find_repeats(docs: DataFrame, length: int = 20) -> DataFrame:
-    """doc_id and the windows that start earlier elsewhere: cuts, array of struct(s, n) for starts s .. s+n-1."""
+    """doc_id, h and the windows that start earlier elsewhere: cuts, array of struct(s, n) for starts s .. s+n-1."""
     if length < ANCHOR + 1:
         raise ValueError(f"length must be over {ANCHOR}")
     table = materialise(_run_table(docs, length), "runs")
-    runs = table.select("doc_id", F.explode(F.arrays_zip("a", "b", "s", "n")).alias("r")).select("doc_id", "r.*")
+    runs = table.select("doc_id", "h", F.explode(F.arrays_zip("a", "b", "s", "n")).alias("r")).select("doc_id", "h", "r.*")
     anchors = runs.groupBy("a").agg(F.count("*").alias("c"), (F.min("b") != F.max("b")).alias("mixed")).where("c > 1").drop("c")
     repeated = materialise(runs.join(materialise(anchors, "anchors"), "a"), "repeated")
     # written, so that the join below has two plain sides and a hot group can be split
     first = materialise(repeated.groupBy("a", "b").agg(F.min(F.struct("doc_id", "s")).alias("f")), "first")
-    settled = materialise(repeated.join(first, ["a", "b"]).where("mixed or struct(doc_id, s) != f").select("doc_id", "s", "n", (F.struct("doc_id", "s") != F.col("f")).alias("cut")), "settled")
+    settled = materialise(repeated.join(first, ["a", "b"]).where("mixed or struct(doc_id, s) != f").select("doc_id", "h", "s", "n", (F.struct("doc_id", "s") != F.col("f")).alias("cut")), "settled")
     release(table, repeated, first)
-    opened = settled.where("not cut").groupBy("doc_id").agg(F.collect_list(F.struct("s", "n")).alias("open"))
-    known = docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    windows = materialise(_window_table(known.join(opened, "doc_id"), length), "windows")
+    opened = settled.where("not cut").groupBy("doc_id", "h").agg(F.collect_list(F.struct("s", "n")).alias("open"))
+    windows = materialise(_window_table(_known(docs).join(opened, ["doc_id", "h"]), length), "windows")
     twice = materialise(windows.groupBy("w1", "w2").agg(F.min(F.struct("doc_id", "s")).alias("f"), F.count("*").alias("c")).where("c > 1").drop("c"), "twice")
-    late = windows.join(twice, ["w1", "w2"]).where(F.struct("doc_id", "s") != F.col("f")).select("doc_id", "s", F.lit(1).alias("n"))
-    cuts = settled.where("cut").select("doc_id", "s", "n").unionByName(late).groupBy("doc_id").agg(F.collect_list(F.struct("s", "n")).alias("cuts"))
+    late = windows.join(twice, ["w1", "w2"]).where(F.struct("doc_id", "s") != F.col("f")).select("doc_id", "h", "s", F.lit(1).alias("n"))
+    cuts = settled.where("cut").select("doc_id", "h", "s", "n").unionByName(late).groupBy("doc_id", "h").agg(F.collect_list(F.struct("s", "n")).alias("cuts"))
     return materialise(cuts, "cuts")
 
 
@@ -150,10 +155,10 @@ def deduplicate(docs: DataFrame, length: int = 20, digest: bool = False) -> Data
     digest: doc_id, n_words, n_removed, kept_sha256 only.
     """
     columns = ["doc_id", "text"] if digest else docs.columns
-    doc, cut = free_names(["_doc", "_cuts"], columns)
-    cuts = find_repeats(docs, length).withColumnsRenamed({"doc_id": doc, "cuts": cut})
+    doc, own, cut = free_names(["_doc", "_h", "_cuts"], columns)
+    cuts = find_repeats(docs, length).withColumnsRenamed({"doc_id": doc, "h": own, "cuts": cut})
     kinds = dict(docs.dtypes)
-    joined = docs.select(*columns).join(cuts, F.col("doc_id") == F.col(doc), "left").drop(doc)
+    joined = docs.select(*columns).join(cuts, (F.col("doc_id") == F.col(doc)) & (F.xxhash64("text") == F.col(own)), "left").drop(doc, own)
     schema = "doc_id bigint, n_words bigint, n_removed bigint, kept_sha256 string" if digest else ", ".join(f"`{c}` {kinds[c]}" for c in columns)
     at = columns.index("text")
 
