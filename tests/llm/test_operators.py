@@ -34,6 +34,10 @@ def corpus(seed=1, n=60):
         out.append((i, text, rng.choice(["en", "de", None]), rng.choice(["a", "b", "c", None])))
     base = out[-1][1]
     out += [(500, base, "en", "a"), (501, base + " tail", "en", "a"), (502, base.upper(), "en", "b"), (500, base, "en", "a"), (700, "a " * 3000, "en", "c")]
+    # one id with two texts: a copy of another document, and one that is near to a third or to none
+    for far, near in (("a", "z"), ("b", "q")):
+        own, other = ([f"{x}{i}" for i in range(60)] for x in (far, near))
+        out += [(800 + ord(far), " ".join(own[:30]), "en", "a"), (810 + ord(far), " ".join(own[:30]), "en", "b"), (810 + ord(far), " ".join(other), "de", "b"), (820 + ord(far), " ".join(other + ["tail"]), "de", None)]
     return out
 
 

@@ -39,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import as_bytes, grams, hash_words, materialise, mix, release, signed, slices
+from .common import as_bytes, free_names, grams, hash_words, materialise, mix, release, signed, slices
 
 BAND = 1.5
 SLICES = 4  # parts of the key space, dealt out one after the other: the disk of one part
@@ -158,11 +158,11 @@ def _set_table(docs: DataFrame, k: int, percent: int, merged: dict[int, frozense
                     at = np.concatenate([[0], np.cumsum([len(x) for x in own])]).astype(np.int32)
                     parts.append(pa.ListArray.from_arrays(pa.array(at), pa.array(signed(np.concatenate(own)))))
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(lo, hi - lo).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(node, pa.int64()), pa.array([x[1] for x in signed_up], pa.int32()), *parts],
-                    ["doc_id", "n_shingles", "node", "need", *(f"keys{i}" for i in range(SLICES))],
+                    [batch.column(0).slice(lo, hi - lo).cast(pa.int64()), batch.column(2).slice(lo, hi - lo), pa.array([len(s) for s in sets], pa.int64()), pa.array(node, pa.int64()), pa.array([x[1] for x in signed_up], pa.int32()), *parts],
+                    ["doc_id", "text_hash", "n_shingles", "node", "need", *(f"keys{i}" for i in range(SLICES))],
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n_shingles bigint, node bigint, need int, " + ", ".join(f"keys{i} array<bigint>" for i in range(SLICES)))
+    return docs.select("doc_id", "text", F.xxhash64("text").alias("h")).mapInArrow(run, "doc_id bigint, text_hash bigint, n_shingles bigint, node bigint, need int, " + ", ".join(f"keys{i} array<bigint>" for i in range(SLICES)))
 
 
 def allocate(docs: DataFrame, k: int, percent: int, sample: int = 4_000, weight: float = 0.05) -> dict[int, frozenset[int]]:
@@ -408,11 +408,12 @@ def link_nodes(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def join_components(docs: DataFrame, k: int = 3, percent: int = 90, merged: dict[int, frozenset[int]] | None = None) -> DataFrame:
-    """doc_id, n_shingles, component_id (smallest linked doc_id) of every document."""
+    """doc_id, n_shingles, component_id (smallest linked doc_id) of every document, and the row's text_hash and comp: rows
+    with equal comp are linked (null without a set or id)."""
     if merged is None:
         merged = allocate(docs, k, percent)
     keyed = materialise(_set_table(docs, k, percent, merged), "keyed")
-    table = materialise(keyed.select("doc_id", "n_shingles", "node"), "sets")
+    table = materialise(keyed.select("doc_id", "text_hash", "n_shingles", "node"), "sets")
     common = SPARE if not any(merged.values()) else SPARE // 2  # a merged unit stands for two
     members = _members(keyed, common)
     release(keyed)
@@ -422,8 +423,27 @@ def join_components(docs: DataFrame, k: int = 3, percent: int = 90, merged: dict
     label = link_nodes(members, sets, percent)
     named = own.join(label, "node", "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
     least = named.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
-    final = named.join(least, "comp").select(F.col("node").alias("_node"), "component_id")
-    shown = table.select("doc_id", "n_shingles", "node").join(final, F.col("node") == F.col("_node"), "left")
+    final = materialise(named.join(least, "comp").select(F.col("node").alias("_node"), "component_id", "comp"), "components")
+    release(sets, members)
     # without a set, or without an id, a row is its own component
-    own_id = F.when(F.col("doc_id").isNull(), F.lit(None)).otherwise(F.coalesce("component_id", "doc_id"))
-    return shown.select("doc_id", "n_shingles", own_id.alias("component_id"))
+    shown = table.join(final, (F.col("node") == F.col("_node")) & F.col("doc_id").isNotNull(), "left")
+    return shown.select("doc_id", "text_hash", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), "comp")
+
+
+def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
+    """The rows of docs without near copies: of each component one row stays, of the smallest doc_id and, if several texts have it, of the
+    smallest text hash. Rows without a set or id stay."""
+    found = materialise(join_components(docs, k, percent).where("comp is not null").select("doc_id", "text_hash", "component_id", "comp"), "found")
+    first = found.where("doc_id = component_id").groupBy("comp").agg(F.min("text_hash").alias("first"))
+    gone = found.join(first, "comp").where("doc_id != component_id or text_hash != first").select("doc_id", "text_hash").distinct()
+    again = found.where("doc_id = component_id").groupBy("doc_id", "text_hash").count().where("count > 1").select("doc_id", "text_hash")
+    marks = materialise(gone.withColumn("again", F.lit(False)).unionByName(again.join(gone, ["doc_id", "text_hash"], "left_anti").withColumn("again", F.lit(True))), "marks")
+    own, mark = free_names(["_doc", "_again"], docs.columns)
+    named = marks.select(F.col("doc_id").alias(own), "text_hash", F.col("again").alias(mark))
+    met = (F.col("doc_id") == F.col(own)) & (F.xxhash64("text") == F.col("text_hash"))
+    left = docs.join(named.drop(mark), met, "left_anti")
+    if not marks.where("again").limit(1).count():
+        return left
+    # equal rows under one id: one of them
+    twice = docs.join(named.where(F.col(mark)).drop(mark), met, "left_semi")
+    return left.unionByName(twice.dropDuplicates(["doc_id", "text"]))
