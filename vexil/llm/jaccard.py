@@ -31,7 +31,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from functools import partial
+from functools import lru_cache, partial
 
 import numpy as np
 import pandas as pd
@@ -102,10 +102,14 @@ class Bands:
         return self.counts[b]
 
 
+@lru_cache(4_096)
+def _cuts(m: int) -> np.ndarray:
+    return (np.arange(1, m, dtype=np.float64) * (2.0**64 / m)).astype(np.uint64)
+
+
 def unit_ranges(s: np.ndarray, m: int) -> np.ndarray:
     """Borders in the sorted set s of m equal ranges of the hashed universe."""
-    cuts = np.searchsorted(s, (np.arange(1, m, dtype=np.float64) * (2.0**64 / m)).astype(np.uint64))
-    return np.concatenate([[0], cuts, [len(s)]])
+    return np.concatenate([[0], np.searchsorted(s, _cuts(m)), [len(s)]])
 
 
 def signatures(s: np.ndarray, bands: Bands, merged: dict[int, frozenset[int]]) -> tuple[np.ndarray, int]:
@@ -124,7 +128,7 @@ def signatures(s: np.ndarray, bands: Bands, merged: dict[int, frozenset[int]]) -
         at = unit_ranges(s, m)
         sums = total[at[1:]] - total[at[:-1]]
         pairs = sorted(j for j in merged.get(b, ()) if j + 1 < m)
-        alone = np.setdiff1d(np.arange(m), [i for j in pairs for i in (j, j + 1)])
+        alone = np.setdiff1d(np.arange(m), [i for j in pairs for i in (j, j + 1)]) if pairs else np.arange(m)
         filled = alone[at[alone + 1] > at[alone]]
         # Linked sets differ in H units at most. If either fills H + SPARE units, they agree on SPARE filled ones,
         # so empty units need no key; sets that fill fewer keep them, for partners that do so too.
@@ -152,11 +156,12 @@ def _set_table(docs: DataFrame, k: int, percent: int, merged: dict[int, frozense
                 signed_up = [signatures(s, bands, merged) for s in sets]
                 keys = [x[0] for x in signed_up]
                 node = [node_hash(s) for s in sets]
-                parts = []
+                parts, flat = [], np.concatenate(keys)
+                whose, part = np.repeat(np.arange(len(keys)), [len(x) for x in keys]), flat % np.uint64(SLICES)
                 for i in range(SLICES):
-                    own = [x[x % np.uint64(SLICES) == i] for x in keys]
-                    at = np.concatenate([[0], np.cumsum([len(x) for x in own])]).astype(np.int32)
-                    parts.append(pa.ListArray.from_arrays(pa.array(at), pa.array(signed(np.concatenate(own)))))
+                    own = part == i
+                    at = np.concatenate([[0], np.cumsum(np.bincount(whose[own], minlength=len(keys)))]).astype(np.int32)
+                    parts.append(pa.ListArray.from_arrays(pa.array(at), pa.array(signed(flat[own]))))
                 yield pa.RecordBatch.from_arrays(
                     [batch.column(0).slice(lo, hi - lo).cast(pa.int64()), batch.column(2).slice(lo, hi - lo), pa.array([len(s) for s in sets], pa.int64()), pa.array(node, pa.int64()), pa.array([x[1] for x in signed_up], pa.int32()), *parts],
                     ["doc_id", "text_hash", "n_shingles", "node", "need", *(f"keys{i}" for i in range(SLICES))],
@@ -262,9 +267,10 @@ def _compare_blocks(frame: pd.DataFrame, percent: int) -> pd.DataFrame:
     common = np.zeros((len(left), len(right)), np.float32)
     order = np.argsort(code, kind="stable")
     row, code = row[order], code[order]
-    for lo in range(0, int(code[-1]) + 1 if len(code) else 0, 4_096):
+    last = int(code[-1]) + 1 if len(code) else 0
+    for lo in range(0, last, 4_096):
         a, b = np.searchsorted(code, [lo, lo + 4_096])
-        part = np.zeros((len(sets), 4_096), np.float32)
+        part = np.zeros((len(sets), min(4_096, last - lo)), np.float32)
         part[row[a:b], code[a:b] - lo] = 1
         common += part[left] @ part[right].T
     linked = 100 * common >= percent * (size[left][:, None] + size[right][None, :] - common)
