@@ -278,6 +278,23 @@ def test_nearest_vectors_fill_k_from_small_lists(spark):
         assert Counter(r.query_id for r in ann.search(index, queries, k, 1).collect()) == dict.fromkeys(range(60), want)
 
 
+def test_scan_abandons_candidates_and_keeps_recall(spark, sf):
+    """The hypothesis tests give up most candidates of the probed lists, and the neighbours stay."""
+    vectors = spark.read.parquet(sf.replace("sf0.001", "sf0.1") + "/embeddings.parquet")
+    index = ann.fit(vectors)
+    queries = index.vectors.where("vec_id % 100 = 0").select("vec_id", "v")
+    probes = ann.calibrate(index, queries, 10)
+    counts = ann.scan_counts(index, queries, 10, probes).selectExpr("sum(candidates) as c", "sum(abandoned) as a", "count(*) as n").first()
+    assert counts.n == queries.count() and counts.a > 0.2 * counts.c
+    assert ann.scan_counts(index, queries, 10, probes, 0.0).where("abandoned > 0").count() == 0
+    everything = {r.vec_id: np.array(r.v) for r in index.vectors.collect()}
+    ids = np.array(sorted(everything))
+    x = np.stack([everything[i] for i in ids])
+    found = ann.search(index, queries, 10, probes).collect()
+    hits = sum(r.vec_id in truth[r.query_id] for truth in [{q: set(ids[ids != q][np.argsort(((x[ids != q] - everything[q]) ** 2).sum(axis=1), kind="stable")[:10]]) for q in ids if q % 100 == 0}] for r in found)
+    assert hits >= 0.9 * len(found) and len(found) == 10 * counts.n
+
+
 # ------------------------------------------------------------------ 7
 
 

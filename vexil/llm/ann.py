@@ -1,11 +1,16 @@
 """Operator 6: approximate nearest neighbours with an adaptive dimension scan.
 
 Vectors are rotated by a fixed random orthogonal matrix and dealt to inverted lists (k-means
-fitted on a bounded sample; every vector is indexed). A query probes its nearest lists. Within
-a list the rotated vectors lie in column blocks: after each block a hypothesis test compares the
-partial distance, scaled to all dimensions, with the query's k-th best so far, and abandons the
-candidates that would lie beyond it with high confidence. Survivors are scored exactly on the
-original vectors in double precision.
+fitted on a bounded sample; every vector is indexed). A query probes its nearest lists, in two waves: first as
+few as hold 8 k others, then the rest, with the k-th best distance of the first wave as a bound. Within
+a list the rotated vectors lie in column blocks. The k candidates that are nearest in the first block are scored
+at once; after each block a hypothesis test compares the others' partial distance, scaled to all dimensions, with the
+k-th best so far, and abandons the candidates that would lie beyond it with high confidence. Survivors are
+scored exactly on the original vectors in double precision. `scan_counts` tells how many were abandoned.
+
+The test: after a random rotation the share of a squared distance that lies in m of d columns follows
+Beta(m / 2, (d - m) / 2). A candidate goes if its partial distance would be larger than this, with probability
+1 - alpha, for any vector within the bound.
 
 The number of probed lists is set by measuring recall on a bounded sample of queries against
 brute force over all rows; a query whose lists hold too few vectors goes on to further ones until
@@ -21,6 +26,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import lru_cache
 
 import numpy as np
 import pandas as pd
@@ -32,6 +38,7 @@ from .common import materialise
 
 BLOCK_ROWS = 8_192
 CHUNK = 1_024
+ALPHA = 0.001
 
 
 @dataclass
@@ -111,34 +118,70 @@ def _order(parts: tuple[np.ndarray, np.ndarray, np.ndarray], q: np.ndarray) -> n
     return filled[np.argsort(_nearest(q @ turn, c[filled]), axis=1, kind="stable")]
 
 
-def scan_block(ids: np.ndarray, x: np.ndarray, rotated: np.ndarray, qid: np.ndarray, q: np.ndarray, q_rotated: np.ndarray, k: int, block: int = 16, epsilon: float = 2.1) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """For each query: ids and exact distances of its k best of one block of vectors."""
+@lru_cache(64)
+def share_limits(d: int, block: int, alpha: float) -> tuple[float, ...]:
+    """After each column block, the share of a squared distance that is exceeded with probability alpha."""
+    t = np.linspace(0, 1, 20_001)[1:-1]
+    out = []
+    for m in range(block, d, block):
+        log = (m / 2 - 1) * np.log(t) + ((d - m) / 2 - 1) * np.log1p(-t)
+        mass = np.cumsum(np.exp(log - log.max()))
+        out.append(float(t[min(len(t) - 1, np.searchsorted(mass, (1 - alpha) * mass[-1]))]) if alpha else np.inf)
+    return (*out, 1 + 1e-9)
+
+
+def scan_block(ids: np.ndarray, x: np.ndarray, rotated: np.ndarray, qid: np.ndarray, q: np.ndarray, q_rotated: np.ndarray, bounds: np.ndarray, k: int, block: int = 16, alpha: float = ALPHA) -> Iterator[tuple[np.ndarray, np.ndarray, int, int]]:
+    """For each query: ids and exact distances of its k best of one block of vectors within its bound, the
+    candidates, and how many of them were abandoned before their last dimension."""
     d = x.shape[1]
     for j in range(len(qid)):
-        best_id, best = np.zeros(0, np.int64), np.zeros(0)
-        for lo in range(0, len(x), CHUNK):
-            alive = np.arange(lo, min(len(x), lo + CHUNK))
-            alive = alive[ids[alive] != qid[j]]
-            bound = best[k - 1] if len(best) >= k else np.inf
-            part, done = np.zeros(len(alive)), 0
-            while done < d and len(alive):
-                diff = rotated[alive, done : done + block] - q_rotated[j, done : done + block]
-                part = part + np.einsum("ij,ij->i", diff, diff)
-                done = min(d, done + block)
-                if bound < np.inf:
-                    # the squared partial distance times d / done estimates the whole; its deviation falls as 1 / sqrt(done)
-                    keep = part * (d / done) <= bound**2 * ((1 + epsilon / done**0.5) if done < d else (1 + 1e-9)) ** 2
-                    alive, part = alive[keep], part[keep]
-            if len(alive):
-                exact = np.sqrt(((x[alive] - q[j]) ** 2).sum(axis=1))
-                best, best_id = np.concatenate([best, exact]), np.concatenate([best_id, ids[alive]])
-                order = np.lexsort((best_id, best))[:k]
-                best, best_id = best[order], best_id[order]
-        yield int(qid[j]), best_id, best
-
-
-def search(index: Index, queries: DataFrame, k: int = 10, probes: int | None = None, epsilon: float = 2.1) -> DataFrame:
-    """query_id, rank, vec_id, score for queries (vec_id, v). A query probes more lists where the nearest `probes` hold fewer than k + 1 vectors."""
+        alive = np.flatnonzero(ids != qid[j])
+        seen, dropped, done = len(alive), 0, min(d, block)
+        rounding = 1e-12 * float(q[j] @ q[j])  # of the rotation, where the bound is about 0
+        part = ((rotated[alive, :done] - q_rotated[j, :done]) ** 2).sum(axis=1)
+        near = np.argpartition(part, k - 1)[:k] if seen > k else np.arange(seen)
+        chosen = [alive[near]]
+        exact = [np.sqrt(((x[chosen[0]] - q[j]) ** 2).sum(axis=1))]
+        bound = min(bounds[j], np.sort(exact[0])[k - 1]) if seen >= k else bounds[j]
+        alive, part = np.delete(alive, near), np.delete(part, near)
+        for limit in share_limits(d, block, alpha):
+            keep = part <= (bound**2 * limit + rounding if limit < np.inf else np.inf)
+            dropped += 0 if done == d else int(len(keep) - keep.sum())
+            alive, part = alive[keep], part[keep]
+            if done == d or not len(alive):
+                break
+            step = slice(done, min(d, done + block))
+            part = part + ((rotated[alive, step] - q_rotated[j, step]) ** 2).sum(axis=1)
+            done = min(d, done + block)
+        chosen.append(alive)
+        exact.append(np.sqrt(((x[alive] - q[j]) ** 2).sum(axis=1)))
+        found, score = ids[np.concatenate(chosen)], np.concatenate(exact)
+        order = np.lexsort((found, score))[:k]
+        order = order[score[order] <= bounds[j]]
+        yield found[order], score[order], seen, dropped
+
+
+def _scan(index: Index, visits: DataFrame, k: int, alpha: float) -> DataFrame:
+    """query_id, vec_id, score, seen, dropped for visits (list, query_id, q, bound); one row without vec_id for each query and block carries the counts."""
+    turn = index.vectors.sparkSession.sparkContext.broadcast(index.rotation)
+    placed = visits.join(F.broadcast(index.subs), "list").select("list", F.explode(F.sequence(F.lit(0), F.col("subs") - 1)).alias("sub"), "query_id", "q", "bound")
+
+    def run(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        if len(left) and len(right):
+            left = left.sort_values("vec_id")
+            ids, x, q = left["vec_id"].to_numpy(), np.stack(left["v"].to_numpy()), np.stack(right["q"].to_numpy())
+            parts = scan_block(ids, x, x @ turn.value, right["query_id"].to_numpy(), q, q @ turn.value, right["bound"].to_numpy(), k, alpha=alpha)
+            for own, (i, score, seen, dropped) in zip(right["query_id"], parts):
+                out.append(pd.DataFrame({"query_id": own, "vec_id": pd.array([None, *i], "Int64"), "score": [0.0, *score], "seen": [seen] + [0] * len(i), "dropped": [dropped] + [0] * len(i)}))
+        empty = pd.DataFrame({"query_id": np.zeros(0, np.int64), "vec_id": pd.array([], "Int64"), "score": np.zeros(0), "seen": np.zeros(0, np.int64), "dropped": np.zeros(0, np.int64)})
+        return pd.concat(out, ignore_index=True) if out else empty
+
+    return index.vectors.groupBy("list", "sub").cogroup(placed.groupBy("list", "sub")).applyInPandas(run, "query_id bigint, vec_id bigint, score double, seen bigint, dropped bigint")
+
+
+def _waves(index: Index, queries: DataFrame, k: int, probes: int | None, alpha: float) -> DataFrame:
+    """Rows of _scan over both waves."""
     d, spark = len(index.rotation), queries.sparkSession
     probes = min(len(index.centroids), probes or len(index.centroids))
     shared = spark.sparkContext.broadcast((index.rotation, index.centroids, index.sizes))
@@ -149,30 +192,37 @@ def search(index: Index, queries: DataFrame, k: int = 10, probes: int | None = N
             for lo in range(0, batch.num_rows, CHUNK):
                 part = batch.slice(lo, CHUNK)
                 order = _order(shared.value, _matrix(part.column(1), d))
-                depth = np.maximum(probes, (np.cumsum(sizes[order], axis=1) <= k).sum(axis=1) + 1)  # k others and the query itself
-                near = [own[:n] for own, n in zip(order.astype(np.int32), depth)]
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(near, pa.list_(pa.int32()))], ["query_id", "q", "lists"])
+                lead = (np.cumsum(sizes[order], axis=1) <= k).sum(axis=1) + 1  # k others and the query itself
+                near = [own[: max(probes, n)] for own, n in zip(order.astype(np.int32), lead)]
+                lead = np.minimum([len(own) for own in near], (np.cumsum(sizes[order], axis=1) <= 8 * k).sum(axis=1) + 1)
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(near, pa.list_(pa.int32())), pa.array(lead, pa.int32())], ["query_id", "q", "lists", "lead"])
+
+    routed = materialise(queries.select("vec_id", "v").mapInArrow(route, "query_id bigint, q array<double>, lists array<int>, lead int"), "routed")
+    nowhere = F.lit(float("inf"))
+    first = routed.select("query_id", "q", F.explode(F.slice("lists", F.lit(1), F.col("lead"))).alias("list"), nowhere.alias("bound"))
+    near = materialise(_scan(index, first, k, alpha), "wave")
+    rank = Window.partitionBy("query_id").orderBy("score", "vec_id")
+    kth = near.where("vec_id is not null").withColumn("r", F.row_number().over(rank)).where(F.col("r") == k).select("query_id", F.col("score").alias("bound"))
+    rest = routed.where("size(lists) > lead").select("query_id", "q", F.explode(F.slice("lists", F.col("lead") + 1, F.size("lists"))).alias("list"))
+    rest = rest.join(kth, "query_id", "left").withColumn("bound", F.coalesce("bound", nowhere))
+    return near.unionByName(_scan(index, rest, k, alpha))
 
-    routed = queries.select("vec_id", "v").mapInArrow(route, "query_id bigint, q array<double>, lists array<int>")
-    visits = routed.select("query_id", "q", F.explode("lists").alias("list")).join(F.broadcast(index.subs), "list").select("list", F.explode(F.sequence(F.lit(0), F.col("subs") - 1)).alias("sub"), "query_id", "q")
 
-    def run(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        if not len(left) or not len(right):
-            return pd.DataFrame({"query_id": np.zeros(0, np.int64), "vec_id": np.zeros(0, np.int64), "score": np.zeros(0)})
-        left = left.sort_values("vec_id")
-        x, q = np.stack(left["v"].to_numpy()), np.stack(right["q"].to_numpy())
-        turn = shared.value[0]
-        found = [(np.full(len(i), j), i, s) for j, i, s in scan_block(left["vec_id"].to_numpy(), x, x @ turn, right["query_id"].to_numpy(), q, q @ turn, k, epsilon=epsilon)]
-        return pd.DataFrame({n: np.concatenate([f[i] for f in found]) for i, n in enumerate(("query_id", "vec_id", "score"))})
-
-    near = index.vectors.groupBy("list", "sub").cogroup(visits.groupBy("list", "sub")).applyInPandas(run, "query_id bigint, vec_id bigint, score double")
+def search(index: Index, queries: DataFrame, k: int = 10, probes: int | None = None, alpha: float = ALPHA) -> DataFrame:
+    """query_id, rank, vec_id, score for queries (vec_id, v). A query probes more lists where the nearest `probes` hold fewer than k + 1 vectors."""
+    near = _waves(index, queries, k, probes, alpha).where("vec_id is not null")
     rank = Window.partitionBy("query_id").orderBy("score", "vec_id")
     return near.withColumn("rank", F.row_number().over(rank)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
+def scan_counts(index: Index, queries: DataFrame, k: int = 10, probes: int | None = None, alpha: float = ALPHA) -> DataFrame:
+    """query_id, candidates, abandoned: candidates in the probed lists, and those given up before their last dimension."""
+    return _waves(index, queries, k, probes, alpha).groupBy("query_id").agg(F.sum("seen").alias("candidates"), F.sum("dropped").alias("abandoned"))
+
+
 def exact(index: Index, queries: DataFrame, k: int = 10) -> DataFrame:
     """Brute force over all lists without abandoning: the measure of recall."""
-    return search(index, queries, k, None, float("inf"))
+    return search(index, queries, k, None, 0.0)
 
 
 def calibrate(index: Index, queries: DataFrame, k: int = 10, target: float = 0.95, sample: int = 48) -> int:
