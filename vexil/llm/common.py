@@ -8,6 +8,7 @@ byte codes, finished with a bijective mixer. All arithmetic wraps modulo 2**64.
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -29,6 +30,8 @@ def shared_dir(spark: SparkSession) -> str:
         made = spark.sparkContext._jsc.sc().getCheckpointDir()
         if made.isDefined():
             return made.get()
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the cluster shares")
         found = tempfile.mkdtemp(prefix="vexil-")
         spark.sparkContext.setCheckpointDir(found)
     return found
