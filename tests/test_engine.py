@@ -1,6 +1,7 @@
 """Golden examples, invariants and plans of the filtered vector search engine."""
 
 import itertools
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -311,3 +312,25 @@ def test_registered_queries_import():
 
     names = entry.queries()
     assert {"truth_containment", "lattice_edges", "support_matrix"} <= set(names) and set(entry.oracle_sql()) <= set(names)
+
+
+def test_dense_lists_recover_what_they_prune():
+    """Each pruned neighbour stands in a list that the walk expands."""
+    x = np.random.default_rng(4).normal(size=(300, 8))
+    degree, gamma, keep = 8, 3, 6
+    full = kernels.knn(x, degree * gamma)
+    _, lists = kernels.dense(x, np.arange(300), degree, gamma, keep, degree * gamma)
+    pruned = 0
+    for own, (kept,) in zip(full, lists):
+        seen = set(kept.tolist()).union(*(lists[j][0].tolist() for j in kept[keep:].tolist()))
+        pruned += len(set(own[: degree * gamma].tolist()) - set(kept.tolist()))
+        assert set(own[: degree * gamma].tolist()) <= seen
+    assert pruned > 0
+
+
+def test_asked_labels_follow_label_frequency(spark, sf):
+    """A label is asked for about as often as rows hold it."""
+    d = carriers.dataset(spark, sf.replace("sf0.001", "sf0.1"), "emb_zipf", 1)
+    held, asked = (Counter(x for r in rows for x in r[0]) for rows in (d.rows.select("labels").collect(), d.queries.select("qlabels").collect()))
+    for label in (1, 2, 3, 5):
+        assert abs(asked[label] / asked.total() - held[label] / held.total()) < 0.06

@@ -9,6 +9,7 @@ matrix product with label masks and reranks a few exactly: the route for large d
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -100,7 +101,7 @@ class QueryBlock:
 
     def __init__(self, queries: DataFrame):
         most = MAX_QUERY_BYTES // 8
-        rows = queries.select("qid", "qvec", "qlabels").orderBy("qid").limit(1_000_000).collect()
+        rows = queries.select("qid", "qvec", "qlabels").orderBy("qid").limit(most // 3 + 1).collect()
         if sum(len(r.qvec) + len(r.qlabels) + 2 for r in rows) > most:
             raise ValueError("the queries exceed the broadcast bound: search them in blocks")
         self.qid = np.array([r.qid for r in rows], np.int64)
@@ -132,6 +133,11 @@ def block_search(base: DataFrame, queries: DataFrame, of: str | Constraint, k: i
     scenario = constraint(of).name
     if scenario == "combined":
         raise ValueError("combined predicates take the column or bitmap route")
+    size = queries.agg(F.sum(F.size("qvec") + F.size("qlabels") + 2)).first()[0] or 0
+    parts = -(-2 * size * 8 // MAX_QUERY_BYTES)  # blocks of about half the bound
+    if parts > 1:
+        split = [block_search(base, queries.where(F.pmod(F.xxhash64("qid"), F.lit(parts)) == i), of, k, metric, margin, rows_per_block) for i in range(parts)]
+        return reduce(DataFrame.unionByName, split)
     shared = base.sparkSession.sparkContext.broadcast(QueryBlock(queries))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -171,14 +171,18 @@ def layered(x: np.ndarray, ids: np.ndarray, degree: int, breadth: int, alpha: fl
 
 
 def dense(x: np.ndarray, ids: np.ndarray, degree: int, gamma: int, keep: int, breadth: int) -> tuple[np.ndarray, list[list[np.ndarray]]]:
-    """Enlarged lists (degree * gamma), pruned without a look at labels: a neighbour beyond the kept prefix goes if a kept one leads to it."""
+    """Enlarged lists (degree * gamma), pruned without a look at labels: a neighbour beyond the kept
+    prefix goes if one that stays beyond it, which the search expands, has it in its own kept prefix, which nothing prunes."""
     near = knn(x, max(breadth, degree * gamma))
     full = [c[: degree * gamma] for c in near]
     lists = []
     for own in full:
-        head, tail = own[:keep], own[keep:]
-        behind = np.unique(np.concatenate([full[j] for j in head.tolist()])) if len(head) else np.zeros(0, int)
-        lists.append(np.concatenate([head, tail[~np.isin(tail, behind)]]).astype(int))
+        stays, behind = [], set()
+        for j in own[keep:].tolist():
+            if j not in behind:
+                stays.append(j)
+                behind.update(full[j][:keep].tolist())
+        lists.append(np.concatenate([own[:keep], stays]).astype(int))
     if len(x):
         repair(lists, x, medoid(x, np.arange(len(x))))
     return np.zeros(len(x), int), [[own] for own in lists]
@@ -425,7 +429,7 @@ def search_twohop(s: Shard, q: np.ndarray, allow: np.ndarray, k: int, breadth: i
 
 
 def search_dense(s: Shard, q: np.ndarray, allow: np.ndarray, k: int, breadth: int, keep: int, degree: int, cost: Cost, scan_below: int = 0) -> list[tuple[float, int]]:
-    """Walk guided by the filter map; neighbours pruned at build time are recovered through the kept ones."""
+    """Walk guided by the filter map; neighbours pruned at build time are recovered through those beyond the kept prefix."""
     rows = np.flatnonzero(allow)
     if len(rows) <= scan_below:
         cost.dist_comps += len(rows)

@@ -108,7 +108,7 @@ GRIDS: dict[str, dict[str, list[float]]] = {
 
 def tuning_run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Representatives of the post-filter graph's sub-boxes with their measured sample runs."""
-    d = carriers.dataset(spark, sf_dir, "emb_zipf", 1, 20)
+    d = carriers.dataset(spark, sf_dir, "emb_zipf", 1)
     runs, picks = tune.tune("postfilter", d.base, d.queries, GRIDS["postfilter"], ["containment", "overlap"], breadths=[10, 40], share=0.5)
     return runs.join(F.broadcast(picks), ["subspace", "config_id"]).select("subspace", "config_id", "scenario", "breadth", "recall", "qps", "dist_comps")
 
@@ -143,8 +143,8 @@ def overall(spark: SparkSession, sf_dir: str, carrier: str = "emb_zipf", scenari
     """Recall and throughput by method, scenario and breadth, with a mark for the front."""
     from .advisor import supports
 
-    d = carriers.dataset(spark, sf_dir, carrier, 1, 40)
-    d = carriers.Dataset(written(d.base, "base"), written(d.queries, "queries"))
+    d = carriers.dataset(spark, sf_dir, carrier, 1)
+    d = carriers.Dataset(written(d.base, "base"), written(d.queries, "queries"), d.rows)
     rows = [p for m in methods for s in scenarios if supports({"pq": "quantized"}.get(m, m), s) for p in curve(d, m, s, k, list(breadths))]
     runs = spark.createDataFrame(rows, "method string, scenario string, breadth double, recall double, qps double")
     front = metrics.pareto(runs, ["scenario"]).select("method", "scenario", "breadth", F.lit(True).alias("on_front"))
@@ -179,35 +179,35 @@ def sweep(spark: SparkSession, variants: list[tuple[str, carriers.Dataset]], sce
         asked = written(with_enough_truth(d.queries, base, scenario, own), "queries")
         n = asked.count()
         for m in methods if n else ():
-            ((_, _, _, recall, qps),) = curve(carriers.Dataset(base, asked), m, scenario, own, [max(own, breadth)])
+            ((_, _, _, recall, qps),) = curve(carriers.Dataset(base, asked, base), m, scenario, own, [max(own, breadth)])
             rows.append((setting, m, scenario, own, n, recall, qps))
     return spark.createDataFrame(rows, "setting string, method string, scenario string, k int, queries bigint, recall double, qps double")
 
 
-def label_length_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_attr", scenario: str = "containment", limit: int = 40) -> DataFrame:
+def label_length_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_attr", scenario: str = "containment") -> DataFrame:
     """Short (1), medium (2) and long (4) query label sets."""
-    return sweep(spark, [(f"{w} labels", carriers.dataset(spark, sf_dir, carrier, w, limit)) for w in (1, 2, 4)], scenario, k=5)
+    return sweep(spark, [(f"{w} labels", carriers.dataset(spark, sf_dir, carrier, w)) for w in (1, 2, 4)], scenario, k=5)
 
 
-def selectivity_runs(spark: SparkSession, sf_dir: str, carrier: str = "emb_zipf", scenario: str = "overlap", limit: int = 100) -> DataFrame:
+def selectivity_runs(spark: SparkSession, sf_dir: str, carrier: str = "emb_zipf", scenario: str = "overlap") -> DataFrame:
     """Queries near the 75th, 50th, 25th and first percentile of the passing share."""
-    d = carriers.dataset(spark, sf_dir, carrier, 1, limit)
+    d = carriers.dataset(spark, sf_dir, carrier, 1)
     strata = written(selectivity_strata(metrics.selectivity(d.base, d.queries, scenario)), "strata")
-    return sweep(spark, [(f"p{p}", carriers.Dataset(d.base, d.queries.join(strata.where(F.col("stratum") == p).select("qid"), "qid"))) for p in (75, 50, 25, 1)], scenario)
+    return sweep(spark, [(f"p{p}", carriers.Dataset(d.base, d.queries.join(strata.where(F.col("stratum") == p).select("qid"), "qid"), d.rows)) for p in (75, 50, 25, 1)], scenario)
 
 
-def topk_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_attr", scenario: str = "overlap", limit: int = 30) -> DataFrame:
+def topk_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_attr", scenario: str = "overlap") -> DataFrame:
     """k = 1, 25, 50, 100."""
-    d, ks = carriers.dataset(spark, sf_dir, carrier, 1, limit), {f"k={k}": k for k in (1, 25, 50, 100)}
+    d, ks = carriers.dataset(spark, sf_dir, carrier, 1), {f"k={k}": k for k in (1, 25, 50, 100)}
     return sweep(spark, [(s, d) for s in ks], scenario, ("prefilter", "ivfpq", "postfilter", "lattice"), ks)
 
 
-def size_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_attr", scenario: str = "containment", limit: int = 30) -> DataFrame:
+def size_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_attr", scenario: str = "containment") -> DataFrame:
     """10, 25, 50 and 100 % of the base."""
-    d = carriers.dataset(spark, sf_dir, carrier, 1, limit)
-    return sweep(spark, [(f"{p} %", carriers.Dataset(nested_sample(d.base, p), d.queries)) for p in (10, 25, 50, 100)], scenario, ("prefilter", "postfilter", "lattice"))
+    d = carriers.dataset(spark, sf_dir, carrier, 1)
+    return sweep(spark, [(f"{p} %", carriers.Dataset(nested_sample(d.base, p), d.queries, d.rows)) for p in (10, 25, 50, 100)], scenario, ("prefilter", "postfilter", "lattice"))
 
 
-def fixed_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_fixed4", limit: int = 40) -> DataFrame:
+def fixed_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_fixed4") -> DataFrame:
     """Four positions of three values: every method, equality of all positions."""
-    return sweep(spark, [("4x3", carriers.dataset(spark, sf_dir, carrier, 4, limit))], "fixed", METHOD_RUNS, k=3)
+    return sweep(spark, [("4x3", carriers.dataset(spark, sf_dir, carrier, 4))], "fixed", METHOD_RUNS, k=3)

@@ -35,18 +35,18 @@ def rounded(found: DataFrame) -> DataFrame:
     return found.select(F.col("qid").cast("bigint"), F.col("rank").cast("int"), F.col("id").cast("bigint"), F.round("dist", 6).alias("dist"))
 
 
-def truth_sql(name: str, passes: str, k: int = K, width: int | None = 1, limit: int = 200, extra: str = "") -> str:
+def truth_sql(name: str, passes: str, k: int = K, width: int | None = 1, limit: int | None = None, extra: str = "") -> str:
     return f"""with {carriers.carrier_sql(name, width, limit)}{extra},
 scored as (select qid, id, {DISTANCE_SQL} as d from queries join base on {passes}),
 ranked as (select *, row_number() over (partition by qid order by d, id) as r from scored)
 select qid::bigint as qid, r::int as rank, id::bigint as id, round(d, 6) as dist from ranked where r <= {k}"""
 
 
-def _on(carrier: str, build: Callable[[carriers.Dataset], DataFrame], width: int | None = 1, limit: int = 200) -> Query:
+def _on(carrier: str, build: Callable[[carriers.Dataset], DataFrame], width: int | None = 1, limit: int | None = None) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         d = carriers.dataset(spark, sf_dir, carrier, width, limit)
         if not carrier.startswith("emb"):  # profiles of texts and orders are derived once, not in each pass of a fit
-            d = carriers.Dataset(written(d.base, "base"), written(d.queries, "queries"))
+            d = carriers.Dataset(written(d.base, "base"), written(d.queries, "queries"), d.rows)
         return build(d)
 
     return run
@@ -59,13 +59,13 @@ def _filters() -> None:
     for name, carrier, width in (("containment", "emb_zipf", 2), ("overlap", "emb_zipf", 1), ("equality", "emb_zipf", 2), ("fixed", "doc_fixed4", 4)):
         key = {"fixed": "filter_fixed_equality"}.get(name, f"filter_{name}")
         register(
-            key, _on(carrier, lambda d, name=name: exact.candidates(d.base, d.queries, name).select("qid", "id"), width, 60),
-            f"with {carriers.carrier_sql(carrier, width, 60)} select qid, id from queries join base on {predicate_sql(name)}",
+            key, _on(carrier, lambda d, name=name: exact.candidates(d.base, d.queries, name).select("qid", "id"), width),
+            f"with {carriers.carrier_sql(carrier, width)} select qid, id from queries join base on {predicate_sql(name)}",
         )
     mixed = All((Overlap(), Not(HasAny((1, 2)))))
     register(
-        "filter_combined", _on("emb_zipf", lambda d: exact.candidates(d.base, d.queries, mixed).select("qid", "id"), 2, 60),
-        f"with {carriers.carrier_sql('emb_zipf', 2, 60)} select qid, id from queries join base on {predicate_sql('overlap')} and not list_has_any(labels, [1, 2])",
+        "filter_combined", _on("emb_zipf", lambda d: exact.candidates(d.base, d.queries, mixed).select("qid", "id"), 2),
+        f"with {carriers.carrier_sql('emb_zipf', 2)} select qid, id from queries join base on {predicate_sql('overlap')} and not list_has_any(labels, [1, 2])",
     )
     pattern = r"[Ll]icen[cs]e"
 
@@ -126,9 +126,9 @@ def _distributions() -> None:
     for name in ("emb_zipf", "doc_attr", "basket_nation"):
         cte = carriers.carrier_sql(name, 1)
         suffix = "" if name == "emb_zipf" else f"_{name}"
-        register(f"label_frequency{suffix}", _on(name, lambda d: workloads.label_frequency(d.base)), f"with {cte} select label::int as label, count(*) as n from (select unnest(labels) as label from base) group by 1")
-        register(f"labelset_size_hist{suffix}", _on(name, lambda d: workloads.size_histogram(d.base)), f"with {cte} select len(labels)::int as size, count(*) as n from base group by 1")
-        register(f"group_size_hist{suffix}", _on(name, lambda d: workloads.group_histogram(d.base)), f"with {cte} select size::bigint as size, count(*) as groups from (select count(*) as size from base group by labels) group by 1")
+        register(f"label_frequency{suffix}", _on(name, lambda d: workloads.label_frequency(d.rows)), f"with {cte} select label::int as label, count(*) as n from (select unnest(labels) as label from rows_) group by 1")
+        register(f"labelset_size_hist{suffix}", _on(name, lambda d: workloads.size_histogram(d.rows)), f"with {cte} select len(labels)::int as size, count(*) as n from rows_ group by 1")
+        register(f"group_size_hist{suffix}", _on(name, lambda d: workloads.group_histogram(d.rows)), f"with {cte} select size::bigint as size, count(*) as groups from (select count(*) as size from rows_ group by labels) group by 1")
         for scenario in ("containment", "overlap", "equality"):
             register(
                 f"selectivity_{scenario}{suffix}", _on(name, lambda d, s=scenario: metrics.selectivity(d.base, d.queries, s).select("qid", "passing", "total")),
@@ -153,8 +153,7 @@ def _methods() -> None:
         ("truth_containment_docs", "doc_attr", "containment", 2), ("truth_overlap_baskets", "basket_nation", "overlap", 2), ("truth_equality_types", "basket_type", "equality", None), ("truth_fixed_baskets", "basket_fixed4", "fixed", 4),
         ("truth_single_label", "emb_single", "equality", 1),
     ):
-        limit = 40 if carrier.startswith("basket") else 200
-        register(title, _on(carrier, lambda d, name=name: rounded(exact.search(d.base, d.queries, name, K, "block" if name == "nofilter" else "auto")), width, limit), truth_sql(carrier, predicate_sql(name), width=width, limit=limit))
+        register(title, _on(carrier, lambda d, name=name, c=carrier: rounded(exact.search(d.base, d.queries, name, K, "block" if name == "nofilter" or c == "basket_nation" else "auto")), width), truth_sql(carrier, predicate_sql(name), width=width))
     mixed = All((Containment(), Not(HasAny((2,)))))
     register("truth_combined", _on("emb_zipf", lambda d: rounded(exact.search(d.base, d.queries, mixed, K))), truth_sql("emb_zipf", "list_has_all(labels, qlabels) and not list_contains(labels, 2)"))
     for route, name in (("group", "equality"), ("posting", "containment"), ("posting", "overlap"), ("bitmap", "containment"), ("bitmap", "overlap"), ("bitmap", "equality"), ("block", "containment"), ("block", "overlap"), ("block", "equality"), ("column", "containment")):
@@ -200,7 +199,7 @@ def _methods() -> None:
     register("fused_waves_small", _on("doc_fixed4", lambda d: rounded(graph.search(graph.fit(d.base, "fused", options={"start": "waves"}), d.queries, "fixed", K, breadth=64)), 4))
     register("dense_graph_combined", _on("emb_zipf", lambda d: rounded(graph.search(graph.fit(d.base, "dense"), d.queries, mixed, K))), truth_sql("emb_zipf", "list_has_all(labels, qlabels) and not list_contains(labels, 2)"))
     register("postfilter_centroid_shards", _on("emb_zipf", lambda d: rounded(graph.search(graph.fit(d.base, "postfilter", shard_by="centroid"), d.queries, "overlap", K, probe_shards=4))), truth_sql("emb_zipf", predicate_sql("overlap")))
-    register("relational_beam_full", _on("emb_zipf", lambda d: rounded(graph.relational_beam(graph.fit(d.base, "postfilter"), d.queries, K, 1 << 20)), 1, 20), truth_sql("emb_zipf", "true", limit=20))
+    register("relational_beam_full", _on("emb_zipf", lambda d: rounded(graph.relational_beam(graph.fit(d.base, "postfilter"), d.queries, K, 1 << 20)), 1), truth_sql("emb_zipf", "true"))
     register("graph_costs", _on("emb_zipf", lambda d: graph.costs(graph.raw_search(graph.fit(d.base, "postfilter"), d.queries, "containment", K, l0=16))))
     register(
         "postfilter_rounds_exact", _on("emb_zipf", lambda d: workloads.exact_rounds(d.base, d.queries, "containment", K, 16)),
@@ -208,10 +207,10 @@ def _methods() -> None:
         f"h as (select qid, pos, sum(ok::int) over (partition by qid order by pos) as have, count(*) over (partition by qid) as n from o), n as (select qid, coalesce(min(case when have >= {K} then pos end), any_value(n)) as need from h group by 1) "
         "select qid, (case when need <= 16 then 1 else 1 + ceil(log2(need / 16.0)) end)::int as rounds from n",
     )
-    lattice = "g as (select distinct labels from base), e as (select a.labels as p, b.labels as c from g a, g b where len(a.labels) < len(b.labels) and list_has_all(b.labels, a.labels))"
+    lattice = "g as (select distinct labels from rows_), e as (select a.labels as p, b.labels as c from g a, g b where len(a.labels) < len(b.labels) and list_has_all(b.labels, a.labels))"
     for suffix, name in (("", "emb_zipf"), ("_docs", "doc_attr")):
         register(
-            f"lattice_edges{suffix}", _on(name, lambda d: workloads.lattice_edges(d.base).select(F.array_join("parent", ",").alias("parent"), F.array_join("child", ",").alias("child"))),
+            f"lattice_edges{suffix}", _on(name, lambda d: workloads.lattice_edges(d.rows).select(F.array_join("parent", ",").alias("parent"), F.array_join("child", ",").alias("child"))),
             f"with {carriers.carrier_sql(name, 1)}, {lattice} select array_to_string(p, ',') as parent, array_to_string(c, ',') as child from e where not exists (select 1 from e x join e y on x.c = y.p where x.p = e.p and y.c = e.c)",
         )
     register(
@@ -250,11 +249,11 @@ t as (select qid, count(*) as truths from s where r <= {K} group by 1), f as (se
     register("base_label_requirement", lambda spark, _: advisor.label_requirement(spark), advisor.REQUIREMENT_SQL)
     register("method_advice", lambda spark, _: advisor.advice_table(spark), advisor.ADVICE_SQL)
     for k in (1, 25, 50, 100):
-        register(f"topk_sweep_{k}", _on("basket_type", lambda d, k=k: rounded(exact.search(d.base, d.queries, "containment", k)), 1, 30), truth_sql("basket_type", predicate_sql("containment"), k, 1, 30))
+        register(f"topk_sweep_{k}", _on("basket_type", lambda d, k=k: rounded(exact.search(d.base, d.queries, "containment", k, "block")), 1), truth_sql("basket_type", predicate_sql("containment"), k, 1))
     for percent in (10, 25, 50, 100):
         register(
-            f"size_sweep_{percent}", _on("doc_attr", lambda d, p=percent: rounded(exact.search(workloads.nested_sample(d.base, p), d.queries, "overlap", K)), 2, 50),
-            truth_sql("doc_attr", f"({predicate_sql('overlap')}) and id * 7919 % 1009 < {1009 * percent // 100}", K, 2, 50),
+            f"size_sweep_{percent}", _on("doc_attr", lambda d, p=percent: rounded(exact.search(workloads.nested_sample(d.base, p), d.queries, "overlap", K)), 2),
+            truth_sql("doc_attr", f"({predicate_sql('overlap')}) and id * 7919 % 1009 < {1009 * percent // 100}", K, 2),
         )
     register("tuning_run", lambda spark, sf_dir: workloads.tuning_run(spark, sf_dir))
     register("overall_fronts", lambda spark, sf_dir: workloads.overall(spark, sf_dir))

@@ -134,15 +134,22 @@ def label_dictionary(df: DataFrame, attributes: list[str]) -> DataFrame:
 class Dataset:
     base: DataFrame  # id, vec, labels
     queries: DataFrame  # qid, qvec, qlabels
+    rows: DataFrame  # id, vec, labels of the base and the rows set aside
 
 
-def dataset(spark: SparkSession, sf_dir: str, name: str, width: int | None = 1, limit: int = 200) -> Dataset:
-    """Base rows and at most `limit` queries; a query asks for the first `width` labels of its own row (None: all)."""
+def asked_labels(key: Column, labels: Column, width: int) -> Column:
+    """`width` of a row's labels, in an order drawn per row and label, so that a label is asked for as often as rows have it."""
+    drawn = F.array_sort(F.transform(labels, lambda x: F.struct((((key + 3) * (x * 1409 + 5003) + x * x * 31) % 10007).alias("h"), x.alias("x"))))
+    return F.array_sort(F.transform(F.slice(drawn, 1, width), lambda s: s["x"]))
+
+
+def dataset(spark: SparkSession, sf_dir: str, name: str, width: int | None = 1, limit: int | None = None) -> Dataset:
+    """Base rows and the queries, all held rows with labels enough unless a limit is given; a query asks for `width` labels of its own row (None: all)."""
     rows = carrier(spark, sf_dir, name)
-    asked = F.col("labels") if width is None else F.slice("labels", 1, width)
+    asked = F.col("labels") if width is None else asked_labels(F.col("id"), F.col("labels"), width)
     long_enough = F.size("labels") >= (1 if width is None else width)
-    queries = rows.where("held").where(long_enough).select(F.col("id").alias("qid"), F.col("vec").alias("qvec"), asked.alias("qlabels")).orderBy("qid").limit(limit)
-    return Dataset(rows.where("not held").select("id", "vec", "labels"), queries)
+    queries = rows.where("held").where(long_enough).select(F.col("id").alias("qid"), F.col("vec").alias("qvec"), asked.alias("qlabels"))
+    return Dataset(rows.where("not held").select("id", "vec", "labels"), queries if limit is None else queries.orderBy("qid").limit(limit), rows.select("id", "vec", "labels"))
 
 
 # ------------------------------------------------------------------ the same in SQL
@@ -153,8 +160,8 @@ def _sql_labels(name: str) -> str:
     return {"emb_zipf": "list_filter(range(1,25), lambda j: ((id+1)*(7919+1300*j)+j*104729) % 9973 < 9973 // (j+2))", "emb_single": "[label]"}.get(name, fixed)
 
 
-def carrier_sql(name: str, width: int | None = 1, limit: int = 200) -> str:
-    """CTEs base(id, vec, labels) and queries(qid, qvec, qlabels), to stand after WITH."""
+def carrier_sql(name: str, width: int | None = 1, limit: int | None = None) -> str:
+    """CTEs rows_ and base(id, vec, labels) and queries(qid, qvec, qlabels), to stand after WITH."""
     if name.startswith("emb"):
         rows = f"select id, vec, {_sql_labels(name)} as labels, id % 10 = 3 as held from (select vec_id as id, embedding::double[] as vec, label from embeddings)"
     elif name.startswith("doc"):
@@ -170,5 +177,8 @@ def carrier_sql(name: str, width: int | None = 1, limit: int = 200) -> str:
         types = "[" + ",".join(f"'{t}'" for t in PART_TYPES) + "]"
         labels = {"basket_nation": "list_sort(nations)", "basket_type": f"list_sort(list_transform(types, lambda t: list_position({types}, t)))"}.get(name, _sql_labels("fixed"))
         rows = f"select id, {vec} as vec, {labels} as labels, id*7919 % 1009 < 20 as held from (select l_orderkey as id, {nums}, sum(l_quantity::bigint) qty, sum(round(l_discount*100)::bigint) disc, sum(round(l_tax*100)::bigint) tax, sum(p_size::bigint) size, count(*) n, list(distinct s_nationkey::int) nations, list(distinct p_type) types from lineitem join part on p_partkey=l_partkey join supplier on s_suppkey=l_suppkey group by 1) join orders on o_orderkey=id"
-    asked = "labels" if width is None else f"labels[1:{width}]"
-    return f"rows_ as materialized ({rows}), base as materialized (select id, vec, labels from rows_ where not held), queries as materialized (select id as qid, vec as qvec, {asked} as qlabels from rows_ where held and len(labels) >= {1 if width is None else width} order by id limit {limit})"
+    asked = "labels"
+    if width is not None:
+        drawn = "list_sort(list_transform(labels, lambda x: {'h': ((id + 3) * (x * 1409 + 5003) + x * x * 31) % 10007, 'x': x}))"
+        asked = f"list_sort(list_transform(({drawn})[1:{width}], lambda s: s.x))"
+    return f"rows_ as materialized ({rows}), base as materialized (select id, vec, labels from rows_ where not held), queries as materialized (select id as qid, vec as qvec, {asked} as qlabels from rows_ where held and len(labels) >= {1 if width is None else width}{"" if limit is None else f" order by id limit {limit}"})"
