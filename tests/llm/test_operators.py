@@ -170,6 +170,20 @@ def test_packing_is_lossless(spark, tmp_path):
     assert packing.pack_documents(docs_frame(spark, []), vocabulary()).count() == 0
 
 
+def test_packing_of_wide_ids(spark):
+    """Ids over 16 bits come back whole."""
+    texts = {1: [70_000, 5, 99_999], 2: list(range(65_530, 65_545)), 3: []}
+    encoded = spark.createDataFrame([(i, np.array([*x, 1], "<u4").tobytes()) for i, x in texts.items()], "doc_id bigint, ids binary")
+    got = defaultdict(list)
+    for r in packing.pack(encoded, width=8, pad=0, bits=32).collect():
+        ids = np.frombuffer(r.ids, "<u4")
+        for doc, k, lo, hi in zip(r.doc_ids, r.segments, r.cu_seqlens[:-1], r.cu_seqlens[1:]):
+            got[doc].append((k, ids[lo:hi].tolist()))
+    assert {i: [x for _, part in sorted(parts) for x in part] for i, parts in got.items()} == {i: [*x, 1] for i, x in texts.items()}
+    with pytest.raises(ValueError):
+        packing.pack(encoded, bits=8)
+
+
 # ------------------------------------------------------------------ 4
 
 

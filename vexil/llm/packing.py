@@ -72,12 +72,12 @@ def best_fit_decreasing(lengths: list[int], width: int) -> list[list[int]]:
     return rows
 
 
-def pack_lists(docs: list[tuple[int | None, np.ndarray]], width: int, pad: int) -> tuple[np.ndarray, list[list[int]], list[list[int | None]], list[list[int]]]:
+def pack_lists(docs: list[tuple[int | None, np.ndarray]], width: int, pad: int, kind: str = "<u2") -> tuple[np.ndarray, list[list[int]], list[list[int | None]], list[list[int]]]:
     """Matrix of ids, and for each row: cumulative segment lengths from 0, doc_ids, segment numbers."""
     parts = [(doc, k, ids[lo : lo + width]) for doc, ids in docs for k, lo in enumerate(range(0, len(ids), width))]
     parts.sort(key=lambda p: (-len(p[2]), p[0] is None, p[0] or 0, p[1]))
     rows = best_fit_decreasing([len(p[2]) for p in parts], width)
-    matrix = np.full((len(rows), width), pad, np.uint16)
+    matrix = np.full((len(rows), width), pad, kind)
     cumulative, ids, numbers = [], [], []
     for r, items in enumerate(rows):
         at = np.concatenate([[0], np.cumsum([len(parts[i][2]) for i in items])])
@@ -99,21 +99,28 @@ def positions(cumulative: list[int], width: int) -> np.ndarray:
 SCHEMA = "shard bigint, row int, n_tokens int, ids binary, cu_seqlens array<int>, position_resets array<int>, doc_ids array<bigint>, segments array<int>"
 
 
-def encode_ids(docs: DataFrame, vocabulary: str, end: int, special: dict[str, int] | None = None) -> DataFrame:
-    """doc_id and ids (little-endian 16-bit, end token added) of every document."""
+def _kind(bits: int) -> str:
+    if bits not in (16, 32):
+        raise ValueError("ids have 16 or 32 bits")
+    return f"<u{bits // 8}"
+
+
+def encode_ids(docs: DataFrame, vocabulary: str, end: int, special: dict[str, int] | None = None, bits: int = 16) -> DataFrame:
+    """doc_id and ids (little-endian, end token added) of every document; vocabularies over 65,536 entries take 32 bits."""
+    kind = _kind(bits)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = TreeEncoder(vocabulary, special)
         for batch in batches:
             for lo in range(0, batch.num_rows, 500):
                 part = batch.slice(lo, 500)
-                ids = [np.array([*encoder.encode(t or ""), end], "<u2").tobytes() for t in part.column(1).to_pylist()]
+                ids = [np.array([*encoder.encode(t or ""), end], kind).tobytes() for t in part.column(1).to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column(0).cast(pa.int64()), pa.array(ids, pa.binary())], ["doc_id", "ids"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, ids binary")
 
 
-def pack(encoded: DataFrame, width: int = 2048, pad: int = 50256, shard_tokens: int = 1_000_000, seed: int = 3) -> DataFrame:
+def pack(encoded: DataFrame, width: int = 2048, pad: int = 50256, shard_tokens: int = 1_000_000, seed: int = 3, bits: int = 16) -> DataFrame:
     """SCHEMA rows from (doc_id, ids binary). position_resets are the starts of the row's segments.
 
     A document is cut into row-long segments before the shuffle, so a shard never has to take a
@@ -121,19 +128,20 @@ def pack(encoded: DataFrame, width: int = 2048, pad: int = 50256, shard_tokens:
     """
     if not 0 < width < 65536:
         raise ValueError("width must fit 16 bits")
-    total = (encoded.agg(F.sum(F.length("ids"))).first()[0] or 0) // 2
+    kind, each = _kind(bits), bits // 8
+    total = (encoded.agg(F.sum(F.length("ids"))).first()[0] or 0) // each
     shards = max(1, -(-total // shard_tokens))
-    cut = F.transform(F.sequence(F.lit(0), F.greatest(F.lit(0), F.floor((F.length("ids") / 2 - 1) / width)).cast("int")), lambda k: F.struct(k.alias("k"), F.substr("ids", k * (2 * width) + 1, F.lit(2 * width)).alias("part")))
+    cut = F.transform(F.sequence(F.lit(0), F.greatest(F.lit(0), F.floor((F.length("ids") / each - 1) / width)).cast("int")), lambda k: F.struct(k.alias("k"), F.substr("ids", k * (each * width) + 1, F.lit(each * width)).alias("part")))
     parts = encoded.select("doc_id", F.explode(cut).alias("p")).select("doc_id", "p.*")
     shard = F.pmod(F.xxhash64(F.coalesce("doc_id", F.lit(-1)), "k", F.length("part"), F.xxhash64("part"), F.lit(seed)), F.lit(shards))
 
     def run(key: tuple, table: pa.Table) -> pa.Table:
         docs = sorted(zip(table["doc_id"].to_pylist(), table["k"].to_pylist(), table["part"].to_pylist()), key=lambda x: (x[0] is None, x[0] or 0, x[1], x[2]))
-        lists = [(i, np.frombuffer(p, "<u2")) for i, (_, _, p) in enumerate(docs)]
-        matrix, cumulative, items, _ = pack_lists(lists, width, pad)
+        lists = [(i, np.frombuffer(p, kind)) for i, (_, _, p) in enumerate(docs)]
+        matrix, cumulative, items, _ = pack_lists(lists, width, pad, kind)
         n = len(matrix)
         columns = [
-            pa.array([key[0].as_py()] * n, pa.int64()), pa.array(range(n), pa.int32()), pa.array([c[-1] for c in cumulative], pa.int32()), pa.array([m.astype("<u2").tobytes() for m in matrix], pa.binary()),
+            pa.array([key[0].as_py()] * n, pa.int64()), pa.array(range(n), pa.int32()), pa.array([c[-1] for c in cumulative], pa.int32()), pa.array([m.tobytes() for m in matrix], pa.binary()),
             pa.array(cumulative, pa.list_(pa.int32())), pa.array([c[:-1] for c in cumulative], pa.list_(pa.int32())), pa.array([[docs[i][0] for i in x] for x in items], pa.list_(pa.int64())), pa.array([[docs[i][1] for i in x] for x in items], pa.list_(pa.int32())),
         ]
         return pa.Table.from_arrays(columns, ["shard", "row", "n_tokens", "ids", "cu_seqlens", "position_resets", "doc_ids", "segments"])
@@ -141,18 +149,19 @@ def pack(encoded: DataFrame, width: int = 2048, pad: int = 50256, shard_tokens:
     return parts.withColumn("shard", shard.cast("bigint")).groupBy("shard").applyInArrow(run, SCHEMA)
 
 
-def pack_documents(docs: DataFrame, vocabulary: str, end: int = 50256, special: dict[str, int] | None = None, width: int = 2048, shard_tokens: int = 1_000_000) -> DataFrame:
-    encoded = materialise(encode_ids(docs, vocabulary, end, special), "ids")
-    return pack(encoded, width, end, shard_tokens)
+def pack_documents(docs: DataFrame, vocabulary: str, end: int = 50256, special: dict[str, int] | None = None, width: int = 2048, shard_tokens: int = 1_000_000, bits: int = 16) -> DataFrame:
+    encoded = materialise(encode_ids(docs, vocabulary, end, special, bits), "ids")
+    return pack(encoded, width, end, shard_tokens, bits=bits)
 
 
-def write_matrices(packed: DataFrame, path: str) -> None:
+def write_matrices(packed: DataFrame, path: str, bits: int = 16) -> None:
     """Write packed rows under path, one binary id matrix (rows joined) per shard beside its cumulative lengths and position ids."""
-    width = F.length("ids") / 2
+    each = bits // 8
+    width = F.length("ids") / each
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in batches:
-            frame["positions"] = [positions(list(c), len(i) // 2).astype("<u2").tobytes() for c, i in zip(frame["cu_seqlens"], frame["ids"])]
+            frame["positions"] = [positions(list(c), len(i) // each).astype("<u2").tobytes() for c, i in zip(frame["cu_seqlens"], frame["ids"])]
             yield frame
 
     shown = packed.select("shard", "row", "ids", "cu_seqlens", width.cast("int").alias("width")).mapInPandas(run, "shard bigint, row int, ids binary, cu_seqlens array<int>, width int, positions binary")
