@@ -21,7 +21,10 @@ from .exact import rerank, small
 from .kernels import Cost, Shard
 
 NODES = "shard bigint, id bigint, vec array<double>, labels array<int>, level int, nbrs array<array<bigint>>"
-FOUND = "qid bigint, id bigint, dist double, dist_comps bigint, hops bigint, label_checks bigint, rounds bigint"
+FOUND = "qid bigint, shard bigint, id bigint, dist double, dist_comps bigint, hops bigint, label_checks bigint, rounds bigint"
+
+# Rows that one Python worker builds and walks in memory.
+SHARD_ROWS = 50_000
 
 # Build parameters of each method (tunable ones only, as many as the reference counts) and their defaults.
 DEFAULTS: dict[str, dict[str, float]] = {
@@ -67,8 +70,9 @@ def _build(method: str, p: dict, options: dict, frame: pd.DataFrame) -> pd.DataF
     return pd.DataFrame({"shard": frame["shard"].to_numpy(), "id": ids, "vec": list(x), "labels": [list(a) for a in labels], "level": level.astype(np.int32), "nbrs": [[ids[c].tolist() for c in own] for own in nbrs]})
 
 
-def fit(base: DataFrame, method: str, params: dict | None = None, shards: int = 4, shard_by: str = "hash", options: dict | None = None) -> GraphIndex:
-    """Build one graph per shard. Rows of a shard have to fit one Python worker: choose shards from n (about 10^5 to 10^6 rows each)."""
+def fit(base: DataFrame, method: str, params: dict | None = None, shards: int | None = None, shard_by: str = "hash", options: dict | None = None) -> GraphIndex:
+    """Build one graph per shard. Rows of a shard have to fit one Python worker: without a number, shards hold about SHARD_ROWS rows each (4 at least)."""
+    shards = shards or max(4, -(-base.count() // SHARD_ROWS))
     p, options = DEFAULTS[method] | (params or {}), options or {}
     rows, centroids = base.select("id", "vec", "labels"), None
     if shard_by == "centroid":
@@ -102,9 +106,9 @@ def _search(method: str, p: dict, scenario: str, k: int, s: dict, left: pd.DataF
             if method == "postfilter":
                 found = kernels.search_postfilter(shard, q, allow, k, int(s.get("l0") or breadth), int(s.get("growth", 2)), int(s.get("l_max") or len(shard.ids)), cost)
             elif method == "twohop":
-                found = kernels.search_twohop(shard, q, allow, k, breadth, cost, int(s.get("hops", 2)))
+                found = kernels.search_twohop(shard, q, allow, k, breadth, cost, int(s.get("hops", 2)), bool(s.get("restart", True)))
             elif method == "dense":
-                found = kernels.search_dense(shard, q, allow, k, breadth, int(p["keep"]), int(s.get("fan") or p["degree"] * p["gamma"]), cost, int(s.get("scan_below", 0)))
+                found = kernels.search_dense(shard, q, allow, k, breadth, int(p["keep"]), int(s.get("fan") or p["degree"] * p["gamma"]), cost, int(s.get("scan_below", 0)), bool(s.get("restart", True)))
             elif method == "lattice":
                 found = kernels.search_lattice(shard, q, scenario, asked, k, breadth, cost)
             elif method == "fused":
@@ -114,6 +118,7 @@ def _search(method: str, p: dict, scenario: str, k: int, s: dict, left: pd.DataF
             found = found[:k] or [(None, None)]
             for d, i in found:
                 out["qid"].append(row.qid)
+                out["shard"].append(int(left["shard"].iloc[0]))
                 out["id"].append(None if i is None else int(shard.ids[i]))
                 out["dist"].append(d)
                 for name in ("dist_comps", "hops", "label_checks", "rounds"):
@@ -154,7 +159,7 @@ def search(index: GraphIndex, queries: DataFrame, of: str | Constraint, k: int,
 
 def costs(found: DataFrame) -> DataFrame:
     """One row per query of the counters of a raw_search over all shards."""
-    each = found.groupBy("qid", "dist_comps", "hops", "label_checks", "rounds", F.coalesce("id", F.lit(-1)).alias("_")).count().groupBy("qid", "dist_comps", "hops", "label_checks", "rounds").count()
+    each = found.groupBy("qid", "shard").agg(*(F.first(c).alias(c) for c in ("dist_comps", "hops", "label_checks", "rounds")))  # equal in a query's rows of a shard
     return each.groupBy("qid").agg(*(F.sum(c).alias(c) for c in ("dist_comps", "hops", "label_checks")), F.max("rounds").alias("rounds"))
 
 

@@ -9,6 +9,7 @@ from __future__ import annotations
 import heapq
 from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
+from functools import cached_property
 
 import numpy as np
 
@@ -32,6 +33,7 @@ class Shard:
     nbrs: list[list[np.ndarray]]  # node -> level -> neighbours
     members: dict[int, np.ndarray] = field(default_factory=dict)  # label -> bitset over nodes
     size: np.ndarray | None = None
+    starts: dict[object, object] = field(default_factory=dict)  # entries worked out once for all queries
 
     def __post_init__(self) -> None:
         n = len(self.ids)
@@ -51,6 +53,37 @@ class Shard:
         out = np.logical_and.reduce(maps) if maps else np.ones(n, bool)
         return out & (self.size == len(asked)) if scenario in ("equality", "fixed") else out
 
+    @cached_property
+    def groups(self) -> dict[frozenset[int], int]:
+        """The first node of each label set."""
+        out: dict[frozenset[int], int] = {}
+        for i, own in enumerate(self.labels):
+            out.setdefault(frozenset(own), i)
+        return out
+
+    def centre(self, label: int | None = None) -> int:
+        """The medoid of a label's nodes, or of all."""
+        if ("centre", label) not in self.starts:
+            rows = np.arange(len(self.x)) if label is None else np.flatnonzero(self.members[label])
+            self.starts["centre", label] = medoid(self.x, rows)
+        return self.starts["centre", label]
+
+    def minimal(self, want: frozenset[int]) -> list[int]:
+        """Nodes of the label sets that hold the asked one and no smaller such set."""
+        if want not in self.starts:
+            kept: list[frozenset[int]] = []
+            for g in sorted((g for g in self.groups if want <= g), key=len):
+                if not any(m < g for m in kept):
+                    kept.append(g)
+            self.starts[want] = [self.groups[g] for g in kept]
+        return self.starts[want]
+
+    def codes(self, width: int) -> np.ndarray:
+        """Label sets of that many labels as a matrix; others are all -1."""
+        if ("codes", width) not in self.starts:
+            self.starts["codes", width] = np.array([list(a) if len(a) == width else [-1] * width for a in self.labels]).reshape(len(self.x), width)
+        return self.starts["codes", width]
+
     def at(self, i: int, level: int = 0) -> np.ndarray:
         own = self.nbrs[i]
         return own[level] if level < len(own) else np.zeros(0, int)
@@ -387,12 +420,12 @@ def descend(s: Shard, q: np.ndarray, cost: Cost) -> int:
     return at
 
 
-def _restarting(s: Shard, q: np.ndarray, start: int, breadth: int, k: int, allow: np.ndarray, neighbours: Neighbours, cost: Cost) -> list[tuple[float, int]]:
-    """Beam over passing nodes; if too few were found, starts again at passing nodes it hasn't seen."""
+def _restarting(s: Shard, q: np.ndarray, start: int, breadth: int, k: int, allow: np.ndarray, neighbours: Neighbours, cost: Cost, restart: bool = True) -> list[tuple[float, int]]:
+    """Beam over passing nodes; if too few were found, starts again (unless restart is off) at passing nodes it hasn't seen."""
     seen = np.zeros(len(s.x), bool)
     best = beam(s.x, q, [start], breadth, neighbours, cost, allow, None, seen)
     want = min(k if breadth < len(s.x) else len(s.x), int(allow.sum()))
-    while len(best) < want:
+    while restart and len(best) < want:
         rest = np.flatnonzero(allow & ~seen)
         if not len(rest):
             break
@@ -415,7 +448,7 @@ def search_postfilter(s: Shard, q: np.ndarray, allow: np.ndarray, k: int, l0: in
         size *= growth
 
 
-def search_twohop(s: Shard, q: np.ndarray, allow: np.ndarray, k: int, breadth: int, cost: Cost, hops: int = 2) -> list[tuple[float, int]]:
+def search_twohop(s: Shard, q: np.ndarray, allow: np.ndarray, k: int, breadth: int, cost: Cost, hops: int = 2, restart: bool = True) -> list[tuple[float, int]]:
     """Look at one- and two-hop neighbours, filter, then push."""
 
     def neighbours(i: int) -> np.ndarray:
@@ -425,10 +458,10 @@ def search_twohop(s: Shard, q: np.ndarray, allow: np.ndarray, k: int, breadth: i
         cost.label_checks += len(c)
         return c[allow[c]]
 
-    return _restarting(s, q, descend(s, q, cost), breadth, k, allow, neighbours, cost)
+    return _restarting(s, q, descend(s, q, cost), breadth, k, allow, neighbours, cost, restart)
 
 
-def search_dense(s: Shard, q: np.ndarray, allow: np.ndarray, k: int, breadth: int, keep: int, degree: int, cost: Cost, scan_below: int = 0) -> list[tuple[float, int]]:
+def search_dense(s: Shard, q: np.ndarray, allow: np.ndarray, k: int, breadth: int, keep: int, degree: int, cost: Cost, scan_below: int = 0, restart: bool = True) -> list[tuple[float, int]]:
     """Walk guided by the filter map; neighbours pruned at build time are recovered through those beyond the kept prefix."""
     rows = np.flatnonzero(allow)
     if len(rows) <= scan_below:
@@ -443,7 +476,7 @@ def search_dense(s: Shard, q: np.ndarray, allow: np.ndarray, k: int, breadth: in
         return c[allow[c]][:degree]
 
     start = int(rows[0]) if len(rows) else 0
-    return _restarting(s, q, start, breadth, k, allow, neighbours, cost)
+    return _restarting(s, q, start, breadth, k, allow, neighbours, cost, restart)
 
 
 def search_labelled(s: Shard, q: np.ndarray, allow: np.ndarray, asked: tuple[int, ...], k: int, breadth: int, cost: Cost, multi: bool = True) -> list[tuple[float, int]]:
@@ -462,49 +495,38 @@ def search_labelled(s: Shard, q: np.ndarray, allow: np.ndarray, asked: tuple[int
         cost.label_checks += len(c)
         return c[region[c]]
 
-    return beam(s.x, q, [medoid(s.x, np.flatnonzero(s.members[a])) for a in used], breadth, neighbours, cost, allow)
+    return beam(s.x, q, [s.centre(a) for a in used], breadth, neighbours, cost, allow)
 
 
 def search_lattice(s: Shard, q: np.ndarray, scenario: str, asked: tuple[int, ...], k: int, breadth: int, cost: Cost) -> list[tuple[float, int]]:
     """Containment: from the minimal groups that hold the asked set along inclusion edges, without label checks.
     Equality: the one group. Overlap: a containment round for each asked label, merged."""
-    groups: dict[frozenset[int], int] = {}
-    for i, own in enumerate(s.labels):
-        groups.setdefault(frozenset(own), i)
     if scenario in ("equality", "fixed"):
-        start = groups.get(frozenset(asked))
+        start = s.groups.get(frozenset(asked))
         return beam(s.x, q, [start], breadth, s.at, cost) if start is not None else []
 
     def along(i: int) -> np.ndarray:
         return np.concatenate([s.at(i), s.at(i, 1)])
 
-    def entries(want: frozenset[int]) -> list[int]:
-        above = sorted((g for g in groups if want <= g), key=len)
-        minimal: list[frozenset[int]] = []
-        for g in above:
-            if not any(m < g for m in minimal):
-                minimal.append(g)
-        return [groups[g] for g in minimal]
-
     if scenario == "overlap":
         best: dict[int, float] = {}
         for a in asked:
             cost.rounds += 1
-            best |= {i: d for d, i in beam(s.x, q, entries(frozenset([a])), breadth, along, cost)}
+            best |= {i: d for d, i in beam(s.x, q, s.minimal(frozenset([a])), breadth, along, cost)}
         return sorted((d, i) for i, d in best.items())[:breadth]
-    return beam(s.x, q, entries(frozenset() if scenario == "nofilter" else frozenset(asked)), breadth, along, cost)
+    return beam(s.x, q, s.minimal(frozenset() if scenario == "nofilter" else frozenset(asked)), breadth, along, cost)
 
 
 def search_fused(s: Shard, q: np.ndarray, asked: tuple[int, ...], breadth: int, label_weight: float, cost: Cost, additive: bool = False, strict: bool = True) -> list[tuple[float, int]]:
     """Walk under the fused distance; strict drops rows with other labels at the end."""
     m = len(asked)
-    codes = np.array([list(a) if len(a) == m else [-1] * m for a in s.labels]).reshape(len(s.x), m)
+    codes = s.codes(m)
     want = np.array(asked)
 
     def weigh(c: np.ndarray) -> np.ndarray:
         return fuse(sq(s.x[c], q), label_gap(codes[c], want), m, label_weight, additive)
 
-    found = beam(s.x, q, [medoid(s.x, np.arange(len(s.x)))], breadth, s.at, cost, None, weigh)
+    found = beam(s.x, q, [s.centre()], breadth, s.at, cost, None, weigh)
     if strict:
         found = [(d, i) for d, i in found if s.labels[i] == asked]
     return sorted((float(sq(s.x[i : i + 1], q)[0]), i) for _, i in found) if strict else found

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -12,6 +13,7 @@ from ..functions.predicates import constraint
 from ..operators import exact, graph, ivf, quantize, two_level
 from ..sources import carriers
 from ..sources.store import frame_bytes, written
+from ..streaming.updates import relabel
 from . import metrics, tune
 
 
@@ -113,6 +115,48 @@ def tuning_run(spark: SparkSession, sf_dir: str) -> DataFrame:
     return runs.join(F.broadcast(picks), ["subspace", "config_id"]).select("subspace", "config_id", "scenario", "breadth", "recall", "qps", "dist_comps")
 
 
+def tuning_baselines(spark: SparkSession, sf_dir: str, method: str = "twohop") -> DataFrame:
+    """Runs on the whole base by way of tuning: none (defaults), sampled (the pick of sample runs, built in full), exhaustive (all settings)."""
+    d, values = carriers.dataset(spark, sf_dir, "emb_zipf", 1), GRIDS[method]
+    base, of, breadths = written(d.base, "base"), ["containment"], [10, 40]
+    _, picks = tune.tune(method, base, d.queries, values, of, breadths=breadths, cuts=1)
+    whole = written(tune.tune_exhaustive(method, base, d.queries, values, of, breadths=breadths), "runs").withColumn("way", F.lit("exhaustive"))
+    none = tune.measure([tune.tune_none(method)], base, d.queries, of, 10, breadths).withColumn("way", F.lit("none"))
+    sampled = whole.join(F.broadcast(picks.select("config_id")), "config_id", "left_semi").withColumn("way", F.lit("sampled"))
+    return none.unionByName(sampled).unionByName(whole).select("way", "config_id", "scenario", "breadth", "recall", "qps", "build_s", "dist_comps")
+
+
+def multi_label_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Label walks that start at one asked label against all of them: method, multi, recall, dist_comps a query."""
+    d, rows = carriers.dataset(spark, sf_dir, "emb_zipf", 2), []
+    base = written(d.base, "base")
+    truth = written(exact.search(base, d.queries, "overlap", 10), "truth")
+    for method in ("shared", "stitched"):
+        index = graph.fit(base, method)
+        for multi in (False, True):
+            found = written(graph.raw_search(index, d.queries, "overlap", 10, breadth=40, multi=multi), "found")
+            cost = graph.costs(found).agg(F.avg("dist_comps")).first()[0]
+            rows.append((method, multi, metrics.recall(exact.rerank(found.where("id is not null"), base, d.queries, 10), truth, 10), cost))
+    return spark.createDataFrame(rows, "method string, multi boolean, recall double, dist_comps double")
+
+
+def update_runs(spark: SparkSession, sf_dir: str, methods: tuple[str, ...] = ("postfilter", "twohop", "dense", "shared", "stitched", "lattice")) -> DataFrame:
+    """Every tenth row gets other labels: method, way (relabel keeps vectors and edges, rebuild fits anew), seconds, recall against the new labels."""
+    d, rows = carriers.dataset(spark, sf_dir, "emb_zipf", 1), []
+    base = written(d.base, "base")
+    changed = written(base.where("id % 10 = 7").select("id", F.transform("labels", lambda a: a % 24 + 1).alias("labels")).withColumn("labels", F.array_sort("labels")), "changed")
+    after = written(relabel(base, changed), "after")
+    truth = written(exact.search(after, d.queries, "containment", 10), "truth")
+    for method in methods:
+        index = graph.fit(base, method)
+        for way in ("relabel", "rebuild"):
+            start = time.monotonic()
+            new = graph.fit(after, method) if way == "rebuild" else replace(index, nodes=written(relabel(index.nodes, changed), "relabelled"))
+            took = time.monotonic() - start
+            rows.append((method, way, took, metrics.recall(graph.search(new, d.queries, "containment", 10, breadth=40, l0=40, restart=False), truth, 10)))
+    return spark.createDataFrame(rows, "method string, way string, seconds double, recall double")
+
+
 METHOD_RUNS = ("prefilter", "pq", "ivfpq", *graph.DEFAULTS, "two_level")
 
 
@@ -124,7 +168,7 @@ def curve(d: carriers.Dataset, method: str, scenario: str, k: int, breadths: lis
         run = lambda b: quantize.search(index, d.queries, scenario, k, b)
     elif method == "ivfpq":
         lists = ivf.fit(d.base)
-        run = lambda b: ivf.search(lists, d.queries, scenario, k, probes=max(1, b // k), most=max(1, b // k))
+        run = lambda b: ivf.search(lists, d.queries, scenario, k, probes=max(1, b // k))
     elif method == "two_level":
         parts = two_level.fit(d.base)
         run = lambda b: two_level.search(parts, d.queries, k, probes=max(1, b // k))
@@ -132,7 +176,7 @@ def curve(d: carriers.Dataset, method: str, scenario: str, k: int, breadths: lis
         run, breadths = (lambda b: exact.search(d.base, d.queries, scenario, k)), breadths[:1]
     else:
         nodes = graph.fit(d.base, method)
-        run = lambda b: graph.search(nodes, d.queries, scenario, k, breadth=b, l0=b, l_max=4 * b)
+        run = lambda b: graph.search(nodes, d.queries, scenario, k, breadth=b, l0=b, restart=False)
     for b in breadths:
         qps, _ = metrics.throughput(lambda: run(b), n, 0, 1)  # noqa: B023
         out.append((method, scenario, float(b), metrics.recall(run(b), truth, k), qps))

