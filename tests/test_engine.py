@@ -334,3 +334,18 @@ def test_asked_labels_follow_label_frequency(spark, sf):
     held, asked = (Counter(x for r in rows for x in r[0]) for rows in (d.rows.select("labels").collect(), d.queries.select("qlabels").collect()))
     for label in (1, 2, 3, 5):
         assert abs(asked[label] / asked.total() - held[label] / held.total()) < 0.06
+
+
+def test_costs_add_up_over_shards_with_equal_counters(spark):
+    found = spark.createDataFrame([(1, 0, 5, 0.1, 7, 2, 3, 1), (1, 0, 6, 0.2, 7, 2, 3, 1), (1, 1, 8, 0.3, 7, 2, 3, 1), (2, 1, None, None, 4, 1, 0, 2)], graph.FOUND)
+    assert {tuple(r) for r in graph.costs(found).collect()} == {(1, 14, 4, 6, 1), (2, 4, 1, 0, 2)}
+
+
+def test_walks_without_restarts_stay_in_reach():
+    chain = [[np.array([i + 1] if i + 1 < 4 else [], int)] for i in range(8)]  # nodes 4 to 7 can't be reached from node 0
+    shard = kernels.Shard(np.arange(8), np.arange(8.0)[:, None], [(1,)] * 8, np.zeros(8, int), chain)
+    q, allow = np.array([0.0]), shard.allow("overlap", (1,))
+    for restart, want in ((False, 4), (True, 6)):
+        found = kernels.search_twohop(shard, q, allow, 6, 6, kernels.Cost(), restart=restart)
+        assert len(found) >= want and (restart or {i for _, i in found} <= set(range(4)))
+    assert shard.centre(1) == shard.centre() and shard.minimal(frozenset([1])) == [0] and shard.codes(1).tolist() == [[1]] * 8
