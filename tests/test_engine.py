@@ -7,6 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from vexil.functions import extensions
 from vexil.functions.distance import fused, hamming, l2sq, register_sql
 from vexil.functions.predicates import All, Any_, Containment, Equality, Not, Overlap, assert_fixed_length
 from vexil.operators import bitmaps, exact, graph, ivf, kernels, quantize, two_level
@@ -349,3 +350,45 @@ def test_walks_without_restarts_stay_in_reach():
         found = kernels.search_twohop(shard, q, allow, 6, 6, kernels.Cost(), restart=restart)
         assert len(found) >= want and (restart or {i for _, i in found} <= set(range(4)))
     assert shard.centre(1) == shard.centre() and shard.minimal(frozenset([1])) == [0] and shard.codes(1).tolist() == [[1]] * 8
+
+
+def test_dictionary_over_ranges(spark):
+    rows = spark.createDataFrame([(v, None if i % 3 else "x") for i, v in enumerate(["b", "a", None, "c", "a"])], "host string, kind string")
+    found = carriers.label_dictionary(rows, ["kind", "host"], ranges=3).orderBy("label").collect()
+    assert [tuple(r) for r in found] == [("host", "a", 1), ("host", "b", 2), ("host", "c", 3), ("kind", "x", 4)]
+    assert carriers.label_dictionary(rows.limit(0), ["host"]).count() == 0
+
+
+def test_faults_of_vectors(spark):
+    rows = spark.createDataFrame([(1, [1.0, 2.0]), (2, None), (3, [1.0]), (4, [float("nan"), 0.0]), (5, [None, 0.0]), (6, [float("inf"), 0.0])], "id bigint, vec array<double>")
+    found = {r.id: r.fault for r in rows.select("id", carriers.vector_fault(F.col("vec"), 2).alias("fault")).collect()}
+    assert found == {1: "none", 2: "null", 3: "length", 4: "not finite", 5: "not finite", 6: "not finite"}
+    assert carriers.assert_vectors(rows.where("id = 1")) == 2 and carriers.assert_vectors(rows.limit(0)) is None
+    for bad in (2, 3, 4, 5, 6):
+        with pytest.raises(ValueError):
+            carriers.assert_vectors(rows.where(F.col("id").isin(1, bad)))
+
+
+def test_lanes_answer_alike(spark, zipf):
+    index = graph.fit(zipf.base, "twohop")
+    one, several = (rows(graph.search(index, zipf.queries, "overlap", 10, breadth=40, lanes=n)) for n in (1, 3))
+    assert one == several and one
+
+
+def test_medoids_and_table_function(spark):
+    points = [(1, 0, [0.0, 0.0]), (2, 0, [2.0, 0.0]), (3, 0, [1.0, 0.5]), (4, 1, [5.0, 5.0]), (5, 2, [1.0, 1.0]), (6, 2, [1.0, 1.0]), (7, 3, None)]
+    base = spark.createDataFrame(points, "id bigint, label int, vec array<double>")
+    assert {tuple(r) for r in extensions.medoids(base, "label").collect()} == {(0, 3), (1, 4), (2, 5)}
+    extensions.register_extensions(spark)
+    by_sql = spark.sql("select label, medoid(id, vec) as medoid from {base} where vec is not null group by label", base=base)
+    assert {tuple(r) for r in by_sql.collect()} == {(0, 3), (1, 4), (2, 5)}
+    table = base.select("id", "vec", F.array("label").alias("labels"), (F.col("id") % 2).alias("shard"))
+    near = spark.sql("select * from knn_candidates(table(select * from {t}) partition by (shard), array(0D, 0D), array(0), 1)", t=table)
+    assert {tuple(r) for r in near.collect()} == {(1, 0.0), (2, 4.0)}
+
+
+def test_reports_and_counters(spark, sf, zipf):
+    back = workloads.reports(spark, sf)
+    assert back.count() == 2 * len(tune.FIXTURE) and back.drop("form").exceptAll(tune.fixture(spark).unionByName(tune.fixture(spark))).count() == 0
+    got, truth = workloads.search_counters(zipf, "containment", 10).first(), exact.search(zipf.base, zipf.queries, "containment", 10)
+    assert got.found == truth.count() and got.deepest == 10

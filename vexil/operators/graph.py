@@ -23,8 +23,9 @@ from .kernels import Cost, Shard
 NODES = "shard bigint, id bigint, vec array<double>, labels array<int>, level int, nbrs array<array<bigint>>"
 FOUND = "qid bigint, shard bigint, id bigint, dist double, dist_comps bigint, hops bigint, label_checks bigint, rounds bigint"
 
-# Rows that one Python worker builds and walks in memory.
+# Rows that one Python worker builds and walks in memory, and queries that it answers in one go.
 SHARD_ROWS = 50_000
+LANE_QUERIES = 10_000
 
 # Build parameters of each method (tunable ones only, as many as the reference counts) and their defaults.
 DEFAULTS: dict[str, dict[str, float]] = {
@@ -127,8 +128,9 @@ def _search(method: str, p: dict, scenario: str, k: int, s: dict, left: pd.DataF
     return frame.astype({"id": "Int64", "qid": "int64"}) if len(frame) else frame
 
 
-def raw_search(index: GraphIndex, queries: DataFrame, of: str | Constraint, k: int, base: DataFrame | None = None, probe_shards: int | None = None, **settings) -> DataFrame:
-    """FOUND rows of every shard that a query visits; id is null where a shard has nothing."""
+def raw_search(index: GraphIndex, queries: DataFrame, of: str | Constraint, k: int, base: DataFrame | None = None, probe_shards: int | None = None, lanes: int | None = None, **settings) -> DataFrame:
+    """FOUND rows of every shard that a query visits; id is null where a shard has nothing. A shard's queries are dealt
+    to `lanes` tasks (without a number, of about LANE_QUERIES each), each with its copy of the shard."""
     want = constraint(of)
     shards = index.nodes.select(F.col("shard").alias("visit")).distinct()  # a row for each shard
     asked = queries.select("qid", "qvec", "qlabels")
@@ -148,7 +150,10 @@ def raw_search(index: GraphIndex, queries: DataFrame, of: str | Constraint, k: i
     def kernel(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         return _search(method, params, name, k, settings, left, right)
 
-    return index.nodes.groupBy("shard").cogroup(visits.groupBy("visit")).applyInPandas(kernel, FOUND)
+    lanes = lanes or max(1, -(-queries.count() // LANE_QUERIES))
+    copies = index.nodes.withColumn("lane", F.explode(F.sequence(F.lit(0), F.lit(lanes - 1))))
+    dealt = visits.withColumn("lane", F.pmod(F.xxhash64("qid"), F.lit(lanes)).cast("int"))
+    return copies.groupBy("shard", "lane").cogroup(dealt.groupBy("visit", "lane")).applyInPandas(kernel, FOUND)
 
 
 def search(index: GraphIndex, queries: DataFrame, of: str | Constraint, k: int, base: DataFrame | None = None, **settings) -> DataFrame:

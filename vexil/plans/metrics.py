@@ -5,7 +5,7 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from ..functions.predicates import Constraint, constraint
@@ -41,6 +41,13 @@ def throughput(run: Callable[[], DataFrame], n_queries: int, warm: int = 1, repe
     return n_queries / max(seconds, 1e-9), seconds
 
 
+def observed(found: DataFrame) -> tuple[DataFrame, Observation]:
+    """found, and counters of it (rows, deepest rank, largest distance) that any action on it fills without a second pass."""
+    seen = Observation()
+    counted = found.observe(seen, F.count("*").alias("found"), F.max("rank").alias("deepest"), F.max("dist").alias("farthest"))
+    return counted, seen
+
+
 def selectivity(base: DataFrame, queries: DataFrame, of: str | Constraint) -> DataFrame:
     """qid, passing, total, share of the base that passes."""
     passing = exact.candidates(base.select("id", "labels"), queries, of).groupBy("qid").agg(F.count("*").alias("passing"))

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.predicates import Constraint, assert_fixed_length, constraint
 from ..operators import exact, graph, ivf, quantize, two_level
+from ..sources.carriers import assert_vectors
 from . import advisor
 
 
@@ -25,7 +26,7 @@ class FilteredSearch:
     """One entry for all methods: fit once, search with any constraint that the method supports."""
 
     def __init__(self, base: DataFrame, method: str = "prefilter", **build):
-        self.base, self.method = base, method
+        self.base, self.method, self.dims = base, method, assert_vectors(base)
         if method == "quantized":
             self.index = quantize.fit(base, **build)
         elif method == "ivfpq":
@@ -51,8 +52,7 @@ class FilteredSearch:
     def search(self, queries: DataFrame, of: str | Constraint, k: int = 10, share: float | None = None, **settings) -> DataFrame:
         """qid, rank, id, dist, written as one logical plan."""
         dims = queries.select(F.size("qvec").alias("d")).distinct().limit(2).collect()
-        own = self.base.select(F.size("vec").alias("d")).limit(1).collect()
-        if dims and own and [r.d for r in dims] != [own[0].d]:
+        if dims and self.dims is not None and [r.d for r in dims] != [self.dims]:
             raise ValueError("queries and base differ in dimensions")
         plan = self.resolve(of, k, share)
         if self.method == "prefilter":

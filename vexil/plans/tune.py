@@ -50,7 +50,7 @@ def sample_base(base: DataFrame, share: float, seed: int = 0) -> DataFrame:
     return base.where(F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(1_000_000)) < int(share * 1_000_000))
 
 
-def measure(configs: list[Config], base: DataFrame, queries: DataFrame, scenarios: list[str], k: int, breadths: list[int], shards: int = 2, repeats: int = 1) -> DataFrame:
+def measure(configs: list[Config], base: DataFrame, queries: DataFrame, scenarios: list[str], k: int, breadths: list[int], shards: int = 2) -> DataFrame:
     """A row of RUNS for each configuration, scenario and search breadth over base (usually a sample)."""
     spark, rows, n = base.sparkSession, [], queries.count()
     truth = {s: written(exact.search(base, queries, s, k), "truth") for s in scenarios}
@@ -60,10 +60,12 @@ def measure(configs: list[Config], base: DataFrame, queries: DataFrame, scenario
         build, size = time.monotonic() - start, frame_bytes(index.nodes)
         for scenario, breadth in itertools.product(scenarios, breadths):
             settings = {"l0": breadth} if c.method == "postfilter" else {"breadth": breadth}
-            qps, _ = metrics.throughput(lambda: graph.search(index, queries, scenario, k, **settings), n, 0, repeats)  # noqa: B023
-            found = graph.raw_search(index, queries, scenario, k, **settings)
+            start = time.monotonic()
+            found = written(graph.raw_search(index, queries, scenario, k, **settings), "found")
+            near = written(exact.rerank(found.where("id is not null"), base, queries, k), "near")
+            qps = n / max(time.monotonic() - start, 1e-9)
             cost = graph.costs(found).agg(F.avg("dist_comps")).first()[0]
-            share = metrics.recall(exact.rerank(found.where("id is not null"), base, queries, k), truth[scenario], k)
+            share = metrics.recall(near, truth[scenario], k)
             rows.append((c.method, c.config_id, c.subspace, scenario, k, float(breadth), share, qps, build, size, cost))
     return spark.createDataFrame(rows, RUNS)
 
@@ -107,10 +109,15 @@ def tune(method: str, base: DataFrame, queries: DataFrame, values: dict[str, lis
     return runs, pick_representatives(rank_configs(qps_at(average_over_scenarios(runs), list(targets))))
 
 
+def picked(method: str, picks: DataFrame, values: dict[str, list[float]], cuts: int = 2) -> list[Config]:
+    """The picks as settings (as many as sub-boxes)."""
+    chosen = {r.config_id for r in picks.collect()}
+    return [c for c in split_space(method, values, cuts) if c.config_id in chosen]
+
+
 def build_full(method: str, picks: DataFrame, values: dict[str, list[float]], base: DataFrame, cuts: int = 2) -> dict[str, graph.GraphIndex]:
     """Indexes on all of base for the representatives only (as many as sub-boxes)."""
-    chosen = {r.config_id for r in picks.collect()}
-    return {c.config_id: graph.fit(base, c.method, dict(c.params)) for c in split_space(method, values, cuts) if c.config_id in chosen}
+    return {c.config_id: graph.fit(base, c.method, dict(c.params)) for c in picked(method, picks, values, cuts)}
 
 
 def tune_none(method: str) -> Config:

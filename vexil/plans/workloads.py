@@ -3,16 +3,19 @@
 from __future__ import annotations
 
 import time
+import uuid
+from collections.abc import Callable
 from dataclasses import replace
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.distance import l2sq
-from ..functions.predicates import constraint
+from ..functions.predicates import InRange, constraint
 from ..operators import exact, graph, ivf, quantize, two_level
 from ..sources import carriers
-from ..sources.store import frame_bytes, written
+from ..sources.store import export_report, frame_bytes, read_report, shared_dir, written
 from ..streaming.updates import relabel
 from . import metrics, tune
 
@@ -99,20 +102,41 @@ def document_search_sql(k: int) -> str:
     return f"with {cte}, d as (select rows_.id, vec, lang, n_chars, toxic, coalesce(rows_.id*7919 % 1009 < 20, false) as q from rows_ join documents on doc_id = rows_.id left join labels l on l.doc_id = rows_.id), s as (select a.id as qid, b.id as id, {DISTANCE_SQL.replace('list_zip(vec, qvec)', 'list_zip(b.vec, a.vec)')} as dd from d a join d b on a.lang = b.lang where a.q and not b.q and b.n_chars between 500 and 8000 and coalesce(b.toxic, 0) = 0), r as (select *, row_number() over (partition by qid order by dd, id) as r from s) select qid::bigint as qid, r::int as rank, id::bigint as id, round(dd, 6) as dist from r where r <= {k}"
 
 
+def order_search(spark: SparkSession, sf_dir: str, k: int, first: str = "1994-01-01", last: str = "1996-12-31") -> DataFrame:
+    """Orders of a span of dates that share a supplier nation: the dates cut the base before any distance."""
+    d = carriers.dataset(spark, sf_dir, "basket_nation", 1)
+    dated = carriers.read(spark, sf_dir, "orders").where(InRange("o_orderdate", first, last).column(F.lit(None), F.lit(None))).select(F.col("o_orderkey").alias("id"))
+    return exact.search(d.base.join(dated, "id", "left_semi"), d.queries, "overlap", k)
+
+
 # Grids of the tuning and build workloads: two values for the parameters that matter most.
 GRIDS: dict[str, dict[str, list[float]]] = {
     "postfilter": {"degree": [6, 12], "breadth": [16, 32]},
     "twohop": {"degree": [6, 12], "breadth": [16, 32]},
-    "dense": {"degree": [8, 16], "gamma": [2, 4], "keep": [4, 8]},
+    "dense": {"degree": [8, 16], "gamma": [2, 4]},
+    "lattice": {"degree": [6, 12], "cross": [2, 4]},
+    "shared": {"degree": [6, 12], "alpha": [1.0, 1.2]},
     "stitched": {"sub_degree": [6, 12], "stitched_degree": [16, 32]},
+    "fused": {"degree": [6, 12], "label_weight": [1.0, 4.0]},
 }
 
 
-def tuning_run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Representatives of the post-filter graph's sub-boxes with their measured sample runs."""
-    d = carriers.dataset(spark, sf_dir, "emb_zipf", 1)
-    runs, picks = tune.tune("postfilter", d.base, d.queries, GRIDS["postfilter"], ["containment", "overlap"], breadths=[10, 40], share=0.5)
-    return runs.join(F.broadcast(picks), ["subspace", "config_id"]).select("subspace", "config_id", "scenario", "breadth", "recall", "qps", "dist_comps")
+def tuning_run(spark: SparkSession, sf_dir: str, method: str = "postfilter") -> DataFrame:
+    """Representatives of a method's sub-boxes: their sample runs, and the seconds and bytes of their builds on the whole base.
+    The fused graph is tuned on label vectors of fixed length, the others on sets."""
+    fixed = method == "fused"
+    d, values = carriers.dataset(spark, sf_dir, "emb_fixed4" if fixed else "emb_zipf", 4 if fixed else 1), GRIDS[method]
+    base, queries = written(d.base, "base"), written(d.queries, "queries")
+    scenarios = ["fixed"] if fixed else ["containment", "overlap"] if method == "postfilter" else ["containment"]
+    runs, picks = tune.tune(method, base, queries, values, scenarios, breadths=[10, 40], share=0.5)
+    built = []
+    for config in tune.picked(method, picks, values):
+        start = time.monotonic()
+        index = graph.fit(base, method, dict(config.params))
+        built.append((config.config_id, time.monotonic() - start, frame_bytes(index.nodes)))
+    full = spark.createDataFrame(built, "config_id string, full_build_s double, full_bytes bigint")
+    chosen = runs.join(F.broadcast(picks), ["subspace", "config_id"]).join(F.broadcast(full), "config_id")
+    return chosen.select("subspace", "config_id", "scenario", "breadth", "recall", "qps", "dist_comps", "full_build_s", "full_bytes")
 
 
 def tuning_baselines(spark: SparkSession, sf_dir: str, method: str = "twohop") -> DataFrame:
@@ -158,43 +182,88 @@ def update_runs(spark: SparkSession, sf_dir: str, methods: tuple[str, ...] = ("p
 
 
 METHOD_RUNS = ("prefilter", "pq", "ivfpq", *graph.DEFAULTS, "two_level")
+Search = Callable[[DataFrame, str, int, int], DataFrame]  # queries, scenario, k, breadth
 
 
-def curve(d: carriers.Dataset, method: str, scenario: str, k: int, breadths: list[int]) -> list[tuple]:
-    """(method, scenario, breadth, recall, qps) points of one method."""
-    truth, n, out = written(exact.search(d.base, d.queries, scenario, k), "truth"), d.queries.count(), []
+def searcher(base: DataFrame, method: str) -> Search:
+    """Fit a method once; its search takes one breadth, whatever the method calls it."""
+    if method == "prefilter":
+        return lambda asked, of, k, b: exact.search(base, asked, of, k)
     if method == "pq":
-        index = quantize.fit(d.base)
-        run = lambda b: quantize.search(index, d.queries, scenario, k, b)
-    elif method == "ivfpq":
-        lists = ivf.fit(d.base)
-        run = lambda b: ivf.search(lists, d.queries, scenario, k, probes=max(1, b // k))
-    elif method == "two_level":
-        parts = two_level.fit(d.base)
-        run = lambda b: two_level.search(parts, d.queries, k, probes=max(1, b // k))
-    elif method == "prefilter":
-        run, breadths = (lambda b: exact.search(d.base, d.queries, scenario, k)), breadths[:1]
-    else:
-        nodes = graph.fit(d.base, method)
-        run = lambda b: graph.search(nodes, d.queries, scenario, k, breadth=b, l0=b, restart=False)
-    for b in breadths:
-        qps, _ = metrics.throughput(lambda: run(b), n, 0, 1)  # noqa: B023
-        out.append((method, scenario, float(b), metrics.recall(run(b), truth, k), qps))
-    return out
-
-
-def overall(spark: SparkSession, sf_dir: str, carrier: str = "emb_zipf", scenarios: tuple[str, ...] = ("containment", "overlap"), k: int = 10, breadths: tuple[int, ...] = (10, 40), methods: tuple[str, ...] = ("prefilter", "ivfpq", "postfilter", "lattice", "stitched")) -> DataFrame:
-    """Recall and throughput by method, scenario and breadth, with a mark for the front."""
+        codes = quantize.fit(base)
+        return lambda asked, of, k, b: quantize.search(codes, asked, of, k, b)
+    if method == "ivfpq":
+        lists = ivf.fit(base)
+        return lambda asked, of, k, b: ivf.search(lists, asked, of, k, probes=max(1, b // k))
+    if method == "two_level":
+        parts = two_level.fit(base)
+        return lambda asked, of, k, b: two_level.search(parts, asked, k, probes=max(1, b // k))
+    index = graph.fit(base, method)
+    return lambda asked, of, k, b: graph.search(index, asked, of, k, breadth=b, l0=b, restart=False)
+
+
+def point(find: Search, asked: DataFrame, n: int, truth: DataFrame, of: str, k: int, breadth: int) -> tuple[float, float]:
+    """Recall and queries per second of one run, whose rows are written once."""
+    found, qps = timed(find, asked, n, of, k, breadth)
+    return metrics.recall(found, truth, k), qps
+
+
+def timed(find: Search, asked: DataFrame, n: int, of: str, k: int, breadth: int) -> tuple[DataFrame, float]:
+    start = time.monotonic()
+    found = written(find(asked, of, k, breadth), "found")
+    return found, n / max(time.monotonic() - start, 1e-9)
+
+
+def overall(
+    spark: SparkSession, sf_dir: str, carrier: str = "emb_zipf", scenarios: tuple[str, ...] = ("containment", "overlap", "equality"), k: int = 10, breadths: tuple[int, ...] = (10, 40), methods: tuple[str, ...] = METHOD_RUNS
+) -> DataFrame:
+    """Recall and throughput by method, scenario and breadth, with a mark for the front; queries have at least k passing rows.
+    Equality asks for a row's whole set, the others for two of its labels. A method that doesn't support a scenario has no rows there."""
     from .advisor import supports
 
-    d = carriers.dataset(spark, sf_dir, carrier, 1)
-    d = carriers.Dataset(written(d.base, "base"), written(d.queries, "queries"), d.rows)
-    rows = [p for m in methods for s in scenarios if supports({"pq": "quantized"}.get(m, m), s) for p in curve(d, m, s, k, list(breadths))]
-    runs = spark.createDataFrame(rows, "method string, scenario string, breadth double, recall double, qps double")
+    rows, wide = [], {s: carriers.dataset(spark, sf_dir, carrier, None if s == "equality" else 2) for s in scenarios}
+    base = written(wide[scenarios[0]].base, "base")
+    asked = {s: written(with_enough_truth(d.queries, base, s, k), "asked") for s, d in wide.items()}
+    many = {s: asked[s].count() for s in scenarios}
+    truth, found = {s: written(exact.search(base, asked[s], s, k), "truth") for s in scenarios}, []
+    for m in methods:
+        wanted = [s for s in scenarios if many[s] and supports({"pq": "quantized"}.get(m, m), s)]
+        find = searcher(base, m) if wanted else None
+        for s in wanted:
+            for b in breadths if m != "prefilter" else breadths[:1]:
+                got, qps = timed(find, asked[s], many[s], s, k, b)
+                rows.append((len(found), m, s, float(b), many[s], qps))
+                found.append(got.select(F.lit(len(found)).alias("run"), F.lit(s).alias("scenario"), "qid", "id"))
+    schema = "run int, method string, scenario string, breadth double, queries bigint, qps double"
+    if not rows:
+        return spark.createDataFrame([], schema.replace("run int, ", "") + ", recall double, on_front boolean")
+    # recall of all runs in one pass: every query has k truths
+    answers = reduce(DataFrame.unionByName, [truth[s].select(F.lit(s).alias("scenario"), "qid", "id") for s in scenarios])
+    hits = reduce(DataFrame.unionByName, found).join(answers, ["scenario", "qid", "id"]).groupBy("run").agg(F.count("*").alias("hits"))
+    share = F.coalesce("hits", F.lit(0)) / (k * F.col("queries"))
+    runs = written(spark.createDataFrame(rows, schema).join(F.broadcast(hits), "run", "left").select("method", "scenario", "breadth", "queries", "qps", share.alias("recall")), "runs")
     front = metrics.pareto(runs, ["scenario"]).select("method", "scenario", "breadth", F.lit(True).alias("on_front"))
     return runs.join(front, ["method", "scenario", "breadth"], "left").withColumn("on_front", F.coalesce("on_front", F.lit(False)))
 
 
+def thread_runs(spark: SparkSession, sf_dir: str, methods: tuple[str, ...] = ("postfilter", "lattice"), lanes: int = 4) -> DataFrame:
+    """The same index asked by one task and by several, each with its part of the queries: method, way, lanes, found rows, qps."""
+    d, rows = carriers.dataset(spark, sf_dir, "emb_zipf", 1), []
+    base, queries = written(d.base, "base"), written(d.queries, "queries")
+    n, key = queries.count(), "spark.sql.shuffle.partitions"
+    usual = spark.conf.get(key)
+    for m in methods:
+        index = graph.fit(base, m)
+        for way, cut in (("one", 1), ("several", lanes)):
+            spark.conf.set(key, "1" if cut == 1 else usual)
+            try:
+                found, qps = timed(lambda asked, of, k, b: graph.raw_search(index, asked, of, k, breadth=b, l0=b, lanes=cut), queries, n, "containment", 10, 40)  # noqa: B023
+            finally:
+                spark.conf.set(key, usual)
+            rows.append((m, way, cut, found.where("id is not null").count(), qps))
+    return spark.createDataFrame(rows, "method string, way string, lanes int, found bigint, qps double")
+
+
 def build_costs(spark: SparkSession, sf_dir: str, carrier: str = "emb_zipf", percents: tuple[int, ...] = (50, 100), methods: tuple[str, ...] = ("postfilter", "twohop", "dense", "shared", "stitched", "lattice")) -> DataFrame:
     """Build seconds and index bytes by method and share of the base, raw and scaled to 0..1 within a method."""
     d, rows = carriers.dataset(spark, sf_dir, carrier), []
@@ -222,9 +291,9 @@ def sweep(spark: SparkSession, variants: list[tuple[str, carriers.Dataset]], sce
         base = kept[id(d.base)] = kept[id(d.base)] if id(d.base) in kept else written(d.base, "base")
         asked = written(with_enough_truth(d.queries, base, scenario, own), "queries")
         n = asked.count()
+        truth = written(exact.search(base, asked, scenario, own), "truth")
         for m in methods if n else ():
-            ((_, _, _, recall, qps),) = curve(carriers.Dataset(base, asked, base), m, scenario, own, [max(own, breadth)])
-            rows.append((setting, m, scenario, own, n, recall, qps))
+            rows.append((setting, m, scenario, own, n, *point(searcher(base, m), asked, n, truth, scenario, own, max(own, breadth))))
     return spark.createDataFrame(rows, "setting string, method string, scenario string, k int, queries bigint, recall double, qps double")
 
 
@@ -255,3 +324,30 @@ def size_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_attr", scena
 def fixed_runs(spark: SparkSession, sf_dir: str, carrier: str = "doc_fixed4") -> DataFrame:
     """Four positions of three values: every method, equality of all positions."""
     return sweep(spark, [("4x3", carriers.dataset(spark, sf_dir, carrier, 4))], "fixed", METHOD_RUNS, k=3)
+
+
+# ------------------------------------------------------------------ counters, reports and properties
+
+
+def search_counters(d: carriers.Dataset, of: str, k: int) -> DataFrame:
+    """One row of counters that a search fills while its rows go elsewhere."""
+    found, seen = metrics.observed(exact.search(d.base, d.queries, of, k))
+    found.write.format("noop").mode("overwrite").save()
+    got = seen.get
+    return d.base.sparkSession.createDataFrame([(got["found"], got["deepest"], got["farthest"])], "found bigint, deepest int, farthest double")
+
+
+def reports(spark: SparkSession, _sf_dir: str) -> DataFrame:
+    """The fixture's runs written as CSV and as JSON, and read back."""
+    runs, out = tune.fixture(spark), []
+    for form in ("csv", "json"):
+        path = f"{shared_dir(spark).rstrip('/')}/vexil-report-{uuid.uuid4().hex}.{form}"
+        export_report(runs, path, form)
+        out.append(read_report(spark, path, form, "subspace int, config_id string, breadth double, recall double, qps double").withColumn("form", F.lit(form)))
+    return out[0].unionByName(out[1])
+
+
+def event_properties(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """k, n, highest: events by the number in their JSON properties; what isn't JSON counts under null."""
+    rows = carriers.read(spark, sf_dir, "events").select(F.from_json("props", "k int")["k"].alias("k"), "value")
+    return rows.groupBy("k").agg(F.count("*").alias("n"), F.max("value").alias("highest"))

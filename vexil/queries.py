@@ -11,6 +11,7 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .functions import extensions
 from .functions.distance import DISTANCE_SQL, l2sq
 from .functions.predicates import SCENARIOS, All, Containment, HasAny, InRange, Matches, Not, Overlap, predicate_sql
 from .operators import bitmaps, exact, graph, ivf, quantize, two_level
@@ -123,7 +124,7 @@ def _distributions() -> None:
         "label_dictionary", dictionary,
         "select attr, value, row_number() over (order by attr, value)::int as label from (select distinct 'lang' as attr, lang as value from documents where lang is not null union all select distinct 'source', source from documents where source is not null)",
     )
-    for name in ("emb_zipf", "doc_attr", "basket_nation"):
+    for name in ("emb_zipf", "doc_attr", "basket_nation", "page_terms"):
         cte = carriers.carrier_sql(name, 1)
         suffix = "" if name == "emb_zipf" else f"_{name}"
         register(f"label_frequency{suffix}", _on(name, lambda d: workloads.label_frequency(d.rows)), f"with {cte} select label::int as label, count(*) as n from (select unnest(labels) as label from rows_) group by 1")
@@ -151,7 +152,7 @@ def _methods() -> None:
     for title, carrier, name, width in (
         ("truth_nofilter", "emb_zipf", "nofilter", 1), ("truth_containment", "emb_zipf", "containment", 1), ("truth_overlap", "emb_zipf", "overlap", 1), ("truth_equality", "emb_zipf", "equality", 1), ("truth_fixed", "doc_fixed4", "fixed", 4),
         ("truth_containment_docs", "doc_attr", "containment", 2), ("truth_overlap_baskets", "basket_nation", "overlap", 2), ("truth_equality_types", "basket_type", "equality", None), ("truth_fixed_baskets", "basket_fixed4", "fixed", 4),
-        ("truth_single_label", "emb_single", "equality", 1),
+        ("truth_single_label", "emb_single", "equality", 1), ("truth_containment_pages", "page_terms", "containment", 2), ("truth_overlap_pages", "page_terms", "overlap", 2),
     ):
         register(title, _on(carrier, lambda d, name=name, c=carrier: rounded(exact.search(d.base, d.queries, name, K, "block" if name == "nofilter" or c == "basket_nation" else "auto")), width), truth_sql(carrier, predicate_sql(name), width=width))
     mixed = All((Containment(), Not(HasAny((2,)))))
@@ -286,12 +287,24 @@ t as (select qid, count(*) as truths from s where r <= {K} group by 1), f as (se
             f"size_sweep_{percent}", _on("doc_attr", lambda d, p=percent: rounded(exact.search(workloads.nested_sample(d.base, p), d.queries, "overlap", K)), 2),
             truth_sql("doc_attr", f"({predicate_sql('overlap')}) and id * 7919 % 1009 < {1009 * percent // 100}", K, 2),
         )
-    register("tuning_run", lambda spark, sf_dir: workloads.tuning_run(spark, sf_dir))
-    register("overall_fronts", lambda spark, sf_dir: workloads.overall(spark, sf_dir))
+    for method in workloads.GRIDS:
+        register("tuning_run" if method == "postfilter" else f"tuning_run_{method}", lambda spark, sf_dir, m=method: workloads.tuning_run(spark, sf_dir, m))
+    for name in ("emb_zipf", "page_terms"):
+        register("overall_fronts" if name == "emb_zipf" else f"overall_fronts_{name}", lambda spark, sf_dir, c=name: workloads.overall(spark, sf_dir, c))
     register("index_build_costs", lambda spark, sf_dir: workloads.build_costs(spark, sf_dir))
-    for name in ("label_length_runs", "selectivity_runs", "topk_runs", "size_runs", "fixed_runs", "tuning_baselines", "multi_label_runs", "update_runs"):
+    for name in ("label_length_runs", "selectivity_runs", "topk_runs", "size_runs", "fixed_runs", "tuning_baselines", "multi_label_runs", "update_runs", "thread_runs"):
         register(name, getattr(workloads, name))
     register("product_search", lambda spark, sf_dir: rounded(workloads.document_search(spark, sf_dir, K)), workloads.document_search_sql(K))
+    register(
+        "order_search", lambda spark, sf_dir: rounded(workloads.order_search(spark, sf_dir, K)),
+        truth_sql("basket_nation", f"{predicate_sql('overlap')} join orders on o_orderkey = id and o_orderdate between '1994-01-01' and '1996-12-31'"),
+    )
+    register(
+        "search_counters", _on("emb_zipf", lambda d: workloads.search_counters(d, "containment", K).select("found", "deepest", F.round("farthest", 6).alias("farthest"))),
+        f"select count(*) as found, max(rank)::int as deepest, max(dist) as farthest from ({truth_sql('emb_zipf', predicate_sql('containment'))})",
+    )
+    register("report_export", workloads.reports, f"select r.*, f.form from ({tune.FIXTURE_SQL}) r, (select unnest(['csv', 'json']) as form) f")
+    register("event_properties", workloads.event_properties, "select (case when json_valid(props) then try_cast(props->>'k' as int) end) as k, count(*) as n, max(value) as highest from events group by 1")
     register("update_replay", updates.replay_batch, updates.REPLAY_SQL)
     register("asof_labels", updates.asof_labels, updates.ASOF_SQL)
     register("events_tumbling", updates.tumbling, updates.TUMBLING_SQL)
@@ -299,11 +312,44 @@ t as (select qid, count(*) as truths from s where r <= {K} group by 1), f as (se
     register("events_session", updates.sessions, updates.SESSION_SQL)
 
 
+def _extensions() -> None:
+    """Aggregates, table functions and checks of vectors."""
+    medoid_sql = (
+        "with rows_ as (select vec_id as id, label, embedding::double[] as vec from embeddings where len(embedding) > 0), flat as (select label, unnest(range(1, len(vec) + 1)) as pos, unnest(vec) as x from rows_), "
+        f"means as (select label, list(x order by pos) as qvec from (select label, pos, avg(x) as x from flat group by all) group by 1), s as (select label, id, {DISTANCE_SQL} as d from rows_ join means using (label)) "
+        "select label, arg_min(id, (d, id)) as medoid from s group by 1"
+    )
+
+    def embedded(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return carriers.read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"), "label")
+
+    register("label_medoids", lambda spark, sf_dir: extensions.medoids(embedded(spark, sf_dir), "label"), medoid_sql)
+    register("label_medoids_udaf", lambda spark, sf_dir: embedded(spark, sf_dir).where("size(vec) > 0").groupBy("label").agg(extensions.medoid_udaf()("id", "vec").alias("medoid")), medoid_sql)
+
+    def table_function(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """k nearest to a given point among the rows with label 1, by spark.sql."""
+        extensions.register_extensions(spark)
+        shards = carriers.carrier(spark, sf_dir, "emb_zipf").select("id", "vec", "labels", F.pmod(F.xxhash64("id"), F.lit(64)).alias("shard"))
+        near = spark.sql(f"select 0L as qid, id, dist from knn_candidates(table(select * from {{shards}}) partition by (shard), array_repeat(0.05D, 64), array(1), {K})", shards=shards)
+        return rounded(exact.top_k(near, K))
+
+    register(
+        "knn_candidates", table_function,
+        f"with {carriers.carrier_sql('emb_zipf', 1)}, q as (select 0 as qid, list_transform(range(64), lambda i: 0.05::double) as qvec), scored as (select qid, id, {DISTANCE_SQL} as d from rows_, q where list_contains(labels, 1)), "
+        f"ranked as (select *, row_number() over (order by d, id) as r from scored) select qid::bigint as qid, r::int as rank, id::bigint as id, round(d, 6) as dist from ranked where r <= {K}",
+    )
+    register(
+        "vector_faults", lambda spark, sf_dir: embedded(spark, sf_dir).groupBy(carriers.vector_fault(F.col("vec"), 64).alias("fault")).agg(F.count("*").alias("n")),
+        "select case when embedding is null then 'null' when len(embedding) <> 64 then 'length' when len(list_filter(embedding, lambda x: x is null or not isfinite(x))) > 0 then 'not finite' else 'none' end as fault, count(*) as n from embeddings group by 1",
+    )
+
+
 _filters()
 _distributions()
 _methods()
 _recalls()
 _measures()
+_extensions()
 
 
 def queries() -> dict[str, Query]:

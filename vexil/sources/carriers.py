@@ -10,10 +10,12 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, DoubleType
 
+from .store import written
+
 CARRIERS = ("emb_zipf", "emb_single", "emb_fixed4", "doc_attr", "doc_fixed4", "basket_nation", "basket_type", "basket_fixed4", "page_terms")
 
 # Attribute codes and types of the given tables.
@@ -116,18 +118,33 @@ def carrier(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return base.select("id", "vec", normalize_labels(labels.cast("array<int>")).alias("labels"), F.coalesce(held, F.lit(False)).alias("held"))
 
 
-def label_dictionary(df: DataFrame, attributes: list[str]) -> DataFrame:
+def label_dictionary(df: DataFrame, attributes: list[str], ranges: int = 64) -> DataFrame:
     """attr, value, label: dense codes from 1 for the distinct values, in order of attribute and value.
 
-    Ranks run within an attribute; an attribute's offset is the count of the values before it.
+    Values are dealt to ranges and numbered within a range; a range starts after the counts of those before it,
+    so an attribute with many values never meets in one task.
     """
     pairs = df.select(F.explode(F.array(*(F.struct(F.lit(a).alias("attr"), F.col(a).cast("string").alias("value")) for a in attributes))).alias("p")).select("p.*").where("value is not null").distinct()
-    from pyspark.sql import Window
+    ranged = written(pairs.repartitionByRange(ranges, "attr", "value").withColumn("part", F.spark_partition_id()), "dictionary")
+    counts = ranged.groupBy("part").count()  # a row for each range
+    before = counts.select("part", F.coalesce(F.sum("count").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("off"))
+    numbered = ranged.withColumn("r", F.row_number().over(Window.partitionBy("part").orderBy("attr", "value")))
+    return numbered.join(F.broadcast(before), "part").select("attr", "value", (F.col("r") + F.col("off")).cast("int").alias("label"))
+
+
+def vector_fault(vec: Column, dims: int) -> Column:
+    """Why a vector can't take part in a search: null, length, not finite; else none."""
+    bad = F.exists(vec, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
+    return F.when(vec.isNull(), "null").when(F.size(vec) != dims, "length").when(bad, "not finite").otherwise("none")
+
 
-    ranked = pairs.withColumn("r", F.row_number().over(Window.partitionBy("attr").orderBy("value")))
-    counts = ranked.groupBy("attr").agg(F.max("r").alias("n"))  # one row per attribute
-    before = counts.withColumn("off", F.sum("n").over(Window.orderBy("attr").rowsBetween(Window.unboundedPreceding, -1))).select("attr", F.coalesce("off", F.lit(0)).alias("off"))
-    return ranked.join(F.broadcast(before), "attr").select("attr", "value", (F.col("r") + F.col("off")).cast("int").alias("label"))
+def assert_vectors(base: DataFrame) -> int | None:
+    """The dimensions that all vectors share (None: no rows), in one pass; raises on nulls, other lengths and components that aren't finite."""
+    size, bad = F.size("vec"), F.exists("vec", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
+    low, high, faults = base.agg(F.min(size), F.max(size), F.count_if(F.col("vec").isNull() | bad)).first()
+    if faults or low != high:
+        raise ValueError(f"{faults} vectors are null or not finite; dimensions run from {low} to {high}")
+    return low
 
 
 @dataclass
@@ -171,6 +188,14 @@ def carrier_sql(name: str, width: int | None = 1, limit: int | None = None) -> s
         attrs = f"list_sort(list_distinct(list_filter([case when {code} > 0 then {code} end, 10 + try_cast(regexp_extract(source,'(\\d+)$',1) as int), case quality when 1 then 30 when 0 then 31 end, case toxic when 1 then 32 end, case when n_chars < 1000 then 40 when n_chars < 4000 then 41 else 42 end], lambda x: x is not null)))"
         labels = attrs if name == "doc_attr" else _sql_labels("fixed")
         rows = f"select id, list_transform(c, lambda x: x / greatest(list_sum(c), 1.0)) as vec, {labels} as labels, coalesce(id*7919 % 1009 < 100, false) as held from (select *, {counts} as c from (select doc_id as id, {low} as low, lang, source, n_chars, quality, toxic from documents left join labels using (doc_id)))"
+    elif name == "page_terms":
+        counts = "[" + ", ".join(f"(length(low)-length(replace(low,'{c}','')))::double" for c in string.ascii_lowercase) + "]"
+        parts = r"select page_id as id, regexp_extract(url, '://([^/?#]*)', 1) as host, regexp_extract(url, '://[^/?#]*/(en|fr|de|es)/', 1) as lang, regexp_replace(html, '<[^>]*>', '', 'g') as shown from pages"
+        hosts = f"select host, row_number() over (order by host) as code from (select distinct host from ({parts}) where host is not null)"
+        code = "list_position(['" + "','".join(LANGUAGES) + "'], lang)"
+        labels = f"list_sort(list_distinct(list_filter([case when {code} > 0 then {code} end, case when length(shown) < 1000 then 6 when length(shown) < 4000 then 7 else 8 end, code + 10], lambda x: x is not null)))"
+        low = "translate(coalesce(shown,''), '" + string.ascii_uppercase + "', '" + string.ascii_lowercase + "')"
+        rows = f"select id, list_transform(c, lambda x: x / greatest(list_sum(c), 1.0)) as vec, {labels} as labels, coalesce(id*7919 % 1009 < 100, false) as held from (select *, {counts} as c from (select *, {low} as low from ({parts}) left join ({hosts}) using (host)))"
     else:
         nums = ", ".join([*(f"sum(case when p_type='{t}' then l_quantity::bigint else 0 end) t{i}" for i, t in enumerate(PART_TYPES)), *(f"sum(case when l_returnflag||l_linestatus='{f}' then l_quantity::bigint else 0 end) f{i}" for i, f in enumerate(FLAGS))])
         vec = "[" + ", ".join([*(f"t{i}::double/qty::double" for i in range(6)), *(f"f{i}::double/qty::double" for i in range(6)), "disc::double/(n*100)", "tax::double/(n*100)", "round(ln(1+o_totalprice),6)/14", "size::double/(n*50)"]) + "]"

@@ -74,6 +74,17 @@ def _drop() -> None:
             return
 
 
+def export_report(runs: DataFrame, path: str, form: str) -> None:
+    """Measured runs as CSV with a header or as JSON lines; fails if path exists. Nested columns need JSON."""
+    writer = runs.write.mode("errorifexists")
+    (writer.option("header", True) if form == "csv" else writer).format(form).save(path)
+
+
+def read_report(spark: SparkSession, path: str, form: str, schema: str) -> DataFrame:
+    """A report with the given schema; a row that doesn't fit it raises."""
+    return spark.read.format(form).schema(schema).option("header", True).option("mode", "FAILFAST").load(path)
+
+
 class IndexStore:
     """Versioned index directories. A version's manifest is written last, so readers never see half of one."""
 
