@@ -118,14 +118,14 @@ def carrier(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return base.select("id", "vec", normalize_labels(labels.cast("array<int>")).alias("labels"), F.coalesce(held, F.lit(False)).alias("held"))
 
 
-def label_dictionary(df: DataFrame, attributes: list[str], ranges: int = 64) -> DataFrame:
+def label_dictionary(df: DataFrame, attributes: list[str], ranges: int | None = None) -> DataFrame:
     """attr, value, label: dense codes from 1 for the distinct values, in order of attribute and value.
 
-    Values are dealt to ranges and numbered within a range; a range starts after the counts of those before it,
+    Values are dealt to ranges (as many as the session's shuffle partitions, if not given) and numbered within a range; a range starts after the counts of those before it,
     so an attribute with many values never meets in one task.
     """
     pairs = df.select(F.explode(F.array(*(F.struct(F.lit(a).alias("attr"), F.col(a).cast("string").alias("value")) for a in attributes))).alias("p")).select("p.*").where("value is not null").distinct()
-    ranged = written(pairs.repartitionByRange(ranges, "attr", "value").withColumn("part", F.spark_partition_id()), "dictionary")
+    ranged = written(pairs.repartitionByRange(*([ranges] if ranges else []), "attr", "value").withColumn("part", F.spark_partition_id()), "dictionary")
     counts = ranged.groupBy("part").count()  # a row for each range
     before = counts.select("part", F.coalesce(F.sum("count").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("off"))
     numbered = ranged.withColumn("r", F.row_number().over(Window.partitionBy("part").orderBy("attr", "value")))
