@@ -1,9 +1,11 @@
 """Golden examples, invariants and plans of the filtered vector search engine."""
 
 import itertools
+import tracemalloc
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -392,3 +394,59 @@ def test_reports_and_counters(spark, sf, zipf):
     assert back.count() == 2 * len(tune.FIXTURE) and back.drop("form").exceptAll(tune.fixture(spark).unionByName(tune.fixture(spark))).count() == 0
     got, truth = workloads.search_counters(zipf, "containment", 10).first(), exact.search(zipf.base, zipf.queries, "containment", 10)
     assert got.found == truth.count() and got.deepest == 10
+
+
+def test_block_keeps_the_smallest_of_many_copies(spark):
+    copies = spark.createDataFrame([(i, [1.0, 2.0], [1]) for i in range(60, 0, -1)] + [(99, [1.0, 2.5], [1]), (100, [1.0, 2.0], [2])], BASE).coalesce(1)
+    asked = spark.createDataFrame([(0, [1.0, 2.0], [1]), (1, [0.0, 0.0], [])], ASK)
+    for metric in ("l2", "ip", "cosine"):
+        assert rows(exact.search(copies, asked.where("qid = 0"), "containment", 5, "block", metric)) == rows(exact.search(copies, asked.where("qid = 0"), "containment", 5, "column", metric))
+    assert [r.id for r in exact.search(copies, asked, "containment", 5, "block").where("qid = 1").orderBy("rank").collect()] == [1, 2, 3, 4, 5]
+
+
+def test_block_matrices_are_bounded(spark):
+    """6,000 queries with one set of labels and 8,000 rows: whole matrices of these took 384 MB each."""
+    rng = np.random.default_rng(5)
+    asked = spark.createDataFrame([(i, v, [1]) for i, v in enumerate(rng.normal(size=(6_000, 4)).tolist())], ASK)
+    batch = pa.RecordBatch.from_arrays([pa.array(np.arange(8_000)), pa.array(rng.normal(size=(8_000, 4)).tolist()), pa.array([[1]] * 8_000, pa.list_(pa.int32()))], ["id", "vec", "labels"])
+    block = exact.QueryBlock(asked)
+    tracemalloc.start()
+    found = sum(b.num_rows for b in exact.nearest(block, iter([batch]), "overlap", 10))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert found == 60_000 and peak < 150e6
+
+
+def test_assignment_to_equal_centroids(spark):
+    base = spark.createDataFrame([(i, [0.3, 0.1], [1]) for i in range(40)] + [(50, [0.3, 0.2], [1])], BASE).coalesce(1)
+    centres = spark.createDataFrame([(i, [0.3, 0.1]) for i in range(30, 5, -1)], "list_id bigint, cvec array<double>")
+    assert {r.list_id for r in ivf.assign(base, centres).collect()} == {6}
+
+
+@pytest.mark.parametrize("kind", quantize.KINDS)
+def test_codes_rerank_where_rows_lie(spark, zipf, kind):
+    """No pairs of a query and all passing rows leave a task: the plan has no join, and each task at most k rows a query."""
+    index = quantize.fit(zipf.base, kind)
+    found = quantize.search(index, zipf.queries, "overlap", 5, 1 << 20)
+    assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
+    part = quantize.scan_exact(index.codes.coalesce(1), index.codec, zipf.queries, "overlap", 5, 1 << 20)
+    assert part.groupBy("qid").count().agg(F.max("count")).first()[0] <= 5
+
+
+def test_selectivity_meets_sets_not_rows(spark, zipf, monkeypatch):
+    many = zipf.base.withColumn("id", F.explode(F.array(F.col("id"), F.col("id") + 1_000_000, F.col("id") + 2_000_000)))
+    sets, seen, real = zipf.base.select("labels").distinct().count(), [], exact.candidates
+    for name in ("containment", "overlap", "equality", "nofilter"):
+        want = {r.qid: r.n for r in exact.candidates(many, zipf.queries, name, "column").groupBy("qid").agg(F.count("*").alias("n")).collect()}
+        monkeypatch.setattr(exact, "candidates", lambda b, *a, **k: (seen.append(b.count()), real(b, *a, **k))[1])
+        assert {r.qid: r.passing for r in metrics.selectivity(many, zipf.queries, name).where("passing > 0").collect()} == want
+        monkeypatch.undo()
+    assert max(seen) == sets
+
+
+def test_reach_widens_until_enough_is_found(spark, zipf):
+    def cut(asked, width):  # a search that sees the first rows only
+        return exact.search(zipf.base.where(F.col("id") < width), asked, "overlap", 5, "column")
+
+    assert tune.reach(cut, zipf.base, zipf.queries, "overlap", 5, 10) > 100
+    assert tune.reach(lambda asked, width: exact.search(zipf.base, asked, "overlap", 5), zipf.base, zipf.queries, "overlap", 5, 10) == 10
