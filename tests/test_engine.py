@@ -9,6 +9,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
+import __spark_entry__
 from vexil.functions import extensions
 from vexil.functions.distance import fused, hamming, l2sq, register_sql
 from vexil.functions.predicates import All, Any_, Containment, Equality, Not, Overlap, assert_fixed_length
@@ -391,7 +392,8 @@ def test_medoids_and_table_function(spark):
 
 def test_reports_and_counters(spark, sf, zipf):
     back = workloads.reports(spark, sf)
-    assert back.count() == 2 * len(tune.FIXTURE) and back.drop("form").exceptAll(tune.fixture(spark).unionByName(tune.fixture(spark))).count() == 0
+    runs = tune.event_runs(spark, sf)
+    assert back.count() == 2 * runs.count() > 0 and back.drop("form").exceptAll(runs.unionByName(runs)).count() == 0
     got, truth = workloads.search_counters(zipf, "containment", 10).first(), exact.search(zipf.base, zipf.queries, "containment", 10)
     assert got.found == truth.count() and got.deepest == 10
 
@@ -450,3 +452,13 @@ def test_reach_widens_until_enough_is_found(spark, zipf):
 
     assert tune.reach(cut, zipf.base, zipf.queries, "overlap", 5, 10) > 100
     assert tune.reach(lambda asked, width: exact.search(zipf.base, asked, "overlap", 5), zipf.base, zipf.queries, "overlap", 5, 10) == 10
+
+
+def test_runs_and_requests_come_from_events(spark, sf):
+    found = __spark_entry__.queries()
+    for name in ("config_pick", "config_rank", "cube_method_scenario", "method_advice", "minmax_scatter", "pareto_front", "qps_interpolated", "report_export", "rollup_scenario_k", "scenario_average", "support_matrix"):
+        if name != "report_export":  # which reads its own files
+            assert any("events.parquet" in f for f in found[name](spark, sf).inputFiles()), name
+    n = carriers.read(spark, sf, "events").count()
+    assert found["method_advice"](spark, sf).agg(F.sum("requests")).first()[0] == n
+    assert found["support_matrix"](spark, sf).where("method = 'prefilter'").agg(F.sum("requests")).first()[0] == n
