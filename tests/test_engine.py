@@ -462,3 +462,11 @@ def test_runs_and_requests_come_from_events(spark, sf):
     n = carriers.read(spark, sf, "events").count()
     assert found["method_advice"](spark, sf).agg(F.sum("requests")).first()[0] == n
     assert found["support_matrix"](spark, sf).where("method = 'prefilter'").agg(F.sum("requests")).first()[0] == n
+
+
+def test_exact_rounds_count_positions(spark):
+    base = spark.createDataFrame([(i, [float(i // 3)], [1] if i % 7 == 0 else [2]) for i in range(200)], BASE)
+    asked = spark.createDataFrame([(0, [0.0], [1]), (1, [40.0], [1]), (2, [0.0], [3])], ASK)
+    last = exact.search(base, asked, "containment", 5).where("rank = 5")
+    assert {r.qid: r.pos for r in exact.positions(base, asked, last).collect()} == {0: 29, 1: sum((abs(i // 3 - 40.0), i) <= max(sorted((abs(j // 3 - 40.0), j) for j in range(0, 200, 7))[:5]) for i in range(200))}
+    assert {r.qid: r.rounds for r in workloads.exact_rounds(base, asked, "containment", 5, 16).collect()}[2] == 5  # 16 to 256 rows
