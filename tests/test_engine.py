@@ -470,3 +470,17 @@ def test_exact_rounds_count_positions(spark):
     last = exact.search(base, asked, "containment", 5).where("rank = 5")
     assert {r.qid: r.pos for r in exact.positions(base, asked, last).collect()} == {0: 29, 1: sum((abs(i // 3 - 40.0), i) <= max(sorted((abs(j // 3 - 40.0), j) for j in range(0, 200, 7))[:5]) for i in range(200))}
     assert {r.qid: r.rounds for r in workloads.exact_rounds(base, asked, "containment", 5, 16).collect()}[2] == 5  # 16 to 256 rows
+
+
+def test_exhaustive_fused_walk_visits_once(monkeypatch):
+    rng = np.random.default_rng(3)
+    x, labels = rng.normal(size=(80, 5)), [tuple(int(v) + 3 * i for i, v in enumerate(own)) for own in rng.integers(0, 3, (80, 2))]
+    x[40:] = x[:40]
+    s = kernels.Shard(np.arange(80), x, labels, np.zeros(80, int), kernels.fused(x, labels, 6, 10, 2, 5, 5, 6, 10, 40.0, 2.0))
+    q, asked, codes = rng.normal(size=5), labels[7], s.codes(2)
+    walked = kernels.beam(s.x, q, [s.centre()], 80, s.at, kernels.Cost(), None, lambda c: kernels.fuse(kernels.sq(x[c], q), kernels.label_gap(codes[c], np.array(asked)), 2, 2.0, False))
+    monkeypatch.setattr(kernels, "beam", None)  # a walk that cuts nothing needs no heap
+    cost = kernels.Cost()
+    assert [i for _, i in kernels.search_fused(s, q, asked, 80, 2.0, cost, strict=False)] == [i for _, i in walked] and cost.hops == len(walked)
+    own = kernels.search_fused(s, q, asked, 80, 2.0, kernels.Cost())
+    assert [i for _, i in own] == [i for _, i in sorted((float(kernels.sq(x[i : i + 1], q)[0]), i) for _, i in walked if labels[i] == asked)]
