@@ -484,3 +484,17 @@ def test_exhaustive_fused_walk_visits_once(monkeypatch):
     assert [i for _, i in kernels.search_fused(s, q, asked, 80, 2.0, cost, strict=False)] == [i for _, i in walked] and cost.hops == len(walked)
     own = kernels.search_fused(s, q, asked, 80, 2.0, kernels.Cost())
     assert [i for _, i in own] == [i for _, i in sorted((float(kernels.sq(x[i : i + 1], q)[0]), i) for _, i in walked if labels[i] == asked)]
+
+
+def test_relational_beam_as_wide_as_the_base_hops_over_nodes(zipf, monkeypatch):
+    index, queries = graph.fit(zipf.base, "postfilter", shards=2), zipf.queries.limit(12)
+    made, usual = [], graph.written
+    monkeypatch.setattr(graph, "written", lambda df, tag: made.append(df.columns) or usual(df, tag))
+    wide = graph.relational_beam(index, queries, 5, 1 << 20)
+    assert sorted(map(tuple, wide.collect())) == sorted(map(tuple, exact.search(zipf.base, queries, "nofilter", 5).collect()))
+    assert not any("qid" in columns for columns in made)
+    # few hops reach few nodes, as in the kernel's own walk
+    links = graph.edges(index).where("level = 0").select("src", "dst")
+    near = graph._reached(links, index.nodes.orderBy("id").limit(1).select("id"), 1)
+    start = index.nodes.orderBy("id").first()
+    assert {r.id for r in near.collect()} == {start.id, *start.nbrs[0]}
