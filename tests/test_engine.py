@@ -486,6 +486,18 @@ def test_exhaustive_fused_walk_visits_once(monkeypatch):
     assert [i for _, i in own] == [i for _, i in sorted((float(kernels.sq(x[i : i + 1], q)[0]), i) for _, i in walked if labels[i] == asked)]
 
 
+def test_waves_meet_in_bounded_matrices(monkeypatch):
+    rng = np.random.default_rng(4)
+    x, labels = rng.normal(size=(200, 5)), [tuple(int(v) + 3 * i for i, v in enumerate(own)) for own in rng.integers(0, 3, (200, 2))]
+    x[100:] = x[:100]
+    whole = kernels.fused(x, labels, 6, 10, 2, 5, 5, 6, 10, 40.0, 2.0, start="waves")
+    seen, usual = [], np.partition
+    monkeypatch.setattr(kernels.np, "partition", lambda a, *more, **named: seen.append(a.size) or usual(a, *more, **named))
+    monkeypatch.setattr(kernels, "MATRIX", 500)
+    cut = kernels.fused(x, labels, 6, 10, 2, 5, 5, 6, 10, 40.0, 2.0, start="waves")
+    assert all(np.array_equal(a[0], b[0]) for a, b in zip(whole, cut)) and seen and max(seen) <= 500
+
+
 def test_relational_beam_as_wide_as_the_base_hops_over_nodes(zipf, monkeypatch):
     index, queries = graph.fit(zipf.base, "postfilter", shards=2), zipf.queries.limit(12)
     made, usual = [], graph.written
