@@ -510,3 +510,11 @@ def test_relational_beam_as_wide_as_the_base_hops_over_nodes(zipf, monkeypatch):
     near = graph._reached(links, index.nodes.orderBy("id").limit(1).select("id"), 1)
     start = index.nodes.orderBy("id").first()
     assert {r.id for r in near.collect()} == {start.id, *start.nbrs[0]}
+
+
+def test_sweeps_fit_a_shared_base_once(spark, zipf, monkeypatch):
+    made, usual = [], workloads.searcher
+    monkeypatch.setattr(workloads, "searcher", lambda base, m: made.append(m) or usual(base, m))
+    other = carriers.Dataset(zipf.base.where("id % 2 = 0"), zipf.queries, zipf.rows)
+    found = workloads.sweep(spark, [("a", zipf), ("b", carriers.Dataset(zipf.base, zipf.queries.where("qid % 4 = 1"), zipf.rows)), ("c", other)], "overlap", ("prefilter",))
+    assert {(r.setting, r.recall) for r in found.collect()} == {("a", 1.0), ("b", 1.0), ("c", 1.0)} and made == ["prefilter"] * 2
