@@ -129,6 +129,32 @@ def test_quantizers(zipf, kind):
     assert quantize.search(index, zipf.queries, "containment", 5, reranked=False).count() > 0
 
 
+def test_ivf_rounds_keep_k_rows_a_query_and_task(zipf, monkeypatch):
+    # all lists and a pool as wide as the base: no round may write its pairs
+    kept, plain = [], ivf.written
+
+    def seen(df, tag):
+        out = plain(df, tag)
+        if tag == "round":
+            kept.append((out.count(), df.rdd.getNumPartitions()))
+        return out
+
+    index = ivf.fit(zipf.base, n_lists=4)
+    monkeypatch.setattr(ivf, "written", seen)
+    for of in ("overlap", "containment"):
+        found = ivf.search(index, zipf.queries, of, 2, probes=4, pool=1 << 20)
+        assert rows(found) == rows(exact.search(zipf.base, zipf.queries, of, 2))
+    assert len(kept) == 2
+    assert all(n <= 2 * parts * zipf.queries.count() for n, parts in kept)
+    # a query visits its own lists only, and combined predicates still go by joins
+    near = ivf.route(zipf.queries, index.centroids, 1).select("qid", "list_id")
+    own = index.lists.join(near, "list_id").select("qid", "id")
+    one = ivf.search(index, zipf.queries, "nofilter", 2, probes=1, most=1, pool=1 << 20)
+    assert not one.join(own, ["qid", "id"], "left_anti").count()
+    mixed = All((Containment(), Not(Overlap())))
+    assert rows(ivf.search(index, zipf.queries, mixed, 2, probes=4)) == []
+
+
 def test_ivf_widens_and_nests(zipf):
     index = ivf.fit(zipf.base, n_lists=8)
     truth = exact.search(zipf.base, zipf.queries, "overlap", 5)
