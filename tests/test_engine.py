@@ -129,6 +129,19 @@ def test_quantizers(zipf, kind):
     assert quantize.search(index, zipf.queries, "containment", 5, reranked=False).count() > 0
 
 
+def test_order_profiles_are_written_in_slices_by_hash_aggregation(spark, sf, monkeypatch):
+    # one shuffle of all orders, and a set in each aggregation buffer (which spills after 128 orders), took more disk than the budget
+    d, plain, parts = carriers.dataset(spark, sf, "basket_type", None), carriers.written_in_slices, []
+    assert "ObjectHashAggregate" not in d.base._jdf.queryExecution().executedPlan().toString()
+    monkeypatch.setattr(carriers, "SLICE_ORDERS", 500)
+    monkeypatch.setattr(carriers, "written_in_slices", lambda df, tag, key, slices: parts.append(slices) or plain(df, tag, key, slices))
+    kept = carriers.derived(spark, sf, "basket_type", d)
+    assert parts == [min(carriers.MOST_SLICES, -(-carriers.read(spark, sf, "orders").count() // 500))] and parts[0] > 1
+    want = {r.id: (r.vec, r.labels) for r in d.base.collect()}
+    got = kept.base.collect()
+    assert len(got) == len(want) and {r.id: (r.vec, r.labels) for r in got} == want
+
+
 def test_ivf_rounds_keep_k_rows_a_query_and_task(zipf, monkeypatch):
     # all lists and a pool as wide as the base: no round may write its pairs
     kept, plain = [], ivf.written
