@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import GRAM, as_bytes, free_names, grams, hash_words, materialise, mix, powers, release, signed, slices
+from .common import GRAM, as_bytes, free_names, grams, hash_words, made, materialise, mix, powers, release, release_since, signed, slices
 
 ANCHOR = 5
 
@@ -122,6 +122,7 @@ def find_repeats(docs: DataFrame, length: int = 20) -> DataFrame:
     """doc_id, h and the windows that start earlier elsewhere: cuts, array of struct(s, n) for starts s .. s+n-1."""
     if length < ANCHOR + 1:
         raise ValueError(f"length must be over {ANCHOR}")
+    before = made()
     table = materialise(_run_table(docs, length), "runs")
     runs = table.select("doc_id", "h", F.explode(F.arrays_zip("a", "b", "s", "n")).alias("r")).select("doc_id", "h", "r.*")
     anchors = runs.groupBy("a").agg(F.count("*").alias("c"), (F.min("b") != F.max("b")).alias("mixed")).where("c > 1").drop("c")
@@ -135,7 +136,9 @@ def find_repeats(docs: DataFrame, length: int = 20) -> DataFrame:
     twice = materialise(windows.groupBy("w1", "w2").agg(F.min(F.struct("doc_id", "s")).alias("f"), F.count("*").alias("c")).where("c > 1").drop("c"), "twice")
     late = windows.join(twice, ["w1", "w2"]).where(F.struct("doc_id", "s") != F.col("f")).select("doc_id", "h", "s", F.lit(1).alias("n"))
     cuts = settled.where("cut").select("doc_id", "h", "s", "n").unionByName(late).groupBy("doc_id", "h").agg(F.collect_list(F.struct("s", "n")).alias("cuts"))
-    return materialise(cuts, "cuts")
+    found = materialise(cuts, "cuts")
+    release_since(before, found)
+    return found
 
 
 def _kept(words: list[bytes], cuts: list[dict], length: int) -> list[bytes]:
