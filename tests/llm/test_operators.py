@@ -503,3 +503,25 @@ def test_texts_that_share_an_id_keep_their_own_sets(spark):
     got = {r.node: np.frombuffer(r.items, np.uint64) for r in jaccard._node_sets(docs.repartition(1), wanted, 3).collect()}
     assert set(got) == set(node.values())
     assert all(jaccard.node_hash(s) == n for n, s in got.items())
+
+
+def test_sets_of_a_large_group_meet_by_size(spark, monkeypatch):
+    """Sets that their sizes keep apart aren't sent to one block; those whose sizes just allow a link are found, whatever class they fall into."""
+    monkeypatch.setattr(jaccard, "BLOCK_NODES", 4)
+    real, sent = jaccard.materialise, []
+
+    def counted(df, tag, *more):
+        out = real(df, tag, *more)
+        if tag == "visits":
+            sent.append(out.selectExpr("sum(size(met)) as s").first().s if "met" in out.columns else out.count())
+        return out
+
+    monkeypatch.setattr(jaccard, "materialise", counted)
+    small = [4 * x for x in (1, 2, 4, 5, 8, 10, 16, 20, 25, 32, 50, 64, 80, 100, 125, 128, 160, 200, 250, 256)]
+    sizes = [n for m in small for n in (m, m * 5 // 4)]  # 80 % of the larger one are the smaller one
+    items = [np.arange(n, dtype=np.uint64) + np.uint64(10_000 * (i // 2)) for i, n in enumerate(sizes)]
+    groups = spark.createDataFrame([(7, i, i, n) for i, n in enumerate(sizes)], "family bigint, node bigint, comp bigint, n int")
+    sets = spark.createDataFrame([(i, len(x), x.tobytes()) for i, x in enumerate(items)], "node bigint, n bigint, items binary")
+    links = {tuple(sorted((r.a, r.b))) for r in jaccard._block_links(groups, sets, 80).collect()}
+    assert links == {(i, i + 1) for i in range(0, len(sizes), 2)}
+    assert sum(sent) < 4 * len(sizes)
