@@ -5,6 +5,7 @@ import tracemalloc
 from collections import Counter
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
@@ -13,7 +14,7 @@ import __spark_entry__
 from vexil.functions import extensions
 from vexil.functions.distance import fused, hamming, l2sq, register_sql
 from vexil.functions.predicates import All, Any_, Containment, Equality, Not, Overlap, assert_fixed_length
-from vexil.operators import bitmaps, exact, graph, ivf, kernels, quantize, two_level
+from vexil.operators import bitmaps, exact, graph, ivf, kernels, quantize, two_level, walks
 from vexil.plans import advisor, metrics, tune, workloads
 from vexil.plans.planner import FilteredSearch, union_of_runs
 from vexil.sources import carriers
@@ -557,3 +558,63 @@ def test_sweeps_fit_a_shared_base_once(spark, zipf, monkeypatch):
     other = carriers.Dataset(zipf.base.where("id % 2 = 0"), zipf.queries, zipf.rows)
     found = workloads.sweep(spark, [("a", zipf), ("b", carriers.Dataset(zipf.base, zipf.queries.where("qid % 4 = 1"), zipf.rows)), ("c", other)], "overlap", ("prefilter",))
     assert {(r.setting, r.recall) for r in found.collect()} == {("a", 1.0), ("b", 1.0), ("c", 1.0)} and made == ["prefilter"] * 2
+
+
+def _scalar(method, s, p, of, q, asked, k, breadth, restart):
+    cost, allow = kernels.Cost(), s.allow(of, asked)
+    if method == "postfilter":
+        found = kernels.search_postfilter(s, q, allow, k, breadth, 2, len(s.ids), cost)
+    elif method == "twohop":
+        found = kernels.search_twohop(s, q, allow, k, breadth, cost, 2, restart)
+    elif method == "dense":
+        found = kernels.search_dense(s, q, allow, k, breadth, int(p["keep"]), int(p["degree"] * p["gamma"]), cost, 0, restart)
+    elif method == "lattice":
+        found = kernels.search_lattice(s, q, of, asked, k, breadth, cost)
+    elif method == "fused":
+        found = kernels.search_fused(s, q, asked, breadth, p["label_weight"], cost)
+    else:
+        found = kernels.search_labelled(s, q, allow, asked, k, breadth, cost)
+    return found, cost
+
+
+@pytest.mark.parametrize("method", list(graph.DEFAULTS))
+def test_walks_together_are_the_walks_one_by_one(method):
+    rng, p, n = np.random.default_rng(3), graph.DEFAULTS[method], 260
+    x = rng.normal(size=(n, 6))
+    x[40:60] = x[:20]  # equal distances
+    for fixed in (False, True):
+        if method == "fused" and not fixed:
+            continue
+        labels = [tuple(int(rng.integers(3)) + 3 * j for j in range(3)) if fixed else tuple(sorted(rng.choice(8, rng.integers(4), replace=False).tolist())) for _ in range(n)]
+        nodes = graph._build(method, p, {}, pd.DataFrame({"shard": 0, "id": 3 * np.arange(n), "vec": list(x), "labels": [list(a) for a in labels]}))
+        shard, q = graph._shard(nodes), rng.normal(size=(12, 6))
+        asked = [labels[rng.integers(n)][: 3 if fixed else 2] for _ in q]
+        for of in ("fixed",) if fixed else ("containment", "overlap", "equality"):
+            for breadth, restart in ((4, False), (4, True), (30, False), (n, True)):
+                got, costs = walks.search(method, p, shard, of, q, asked, None, 3, breadth, {"restart": restart, "l0": breadth})
+                assert list(zip(got, costs)) == [_scalar(method, shard, p, of, *one, 3, breadth, restart) for one in zip(q, asked)]
+
+
+@pytest.mark.parametrize("shared", [False, True])
+def test_candidates_pruned_together_are_those_pruned_one_by_one(shared, monkeypatch):
+    monkeypatch.setattr(kernels, "MATRIX", 2_000)  # several rounds
+    rng = np.random.default_rng(4)
+    x, labels = rng.normal(size=(90, 5)), [tuple(rng.choice(70, 3, replace=False).tolist()) for _ in range(90)]
+    lists = [rng.choice(90, rng.integers(0, 20), replace=False) for _ in range(90)]
+    lists = [c[np.argsort(kernels.sq(x[c], x[i]))] for i, c in enumerate(lists)]
+    sets = [frozenset(a) for a in labels]
+    covers = (lambda i, r, c: sets[i] & sets[c] <= sets[r]) if shared else None
+    got = kernels.diverse_lists(lists, x, 6, 1.2, kernels.label_bits(labels) if shared else None)
+    assert [c.tolist() for c in got] == [kernels.diverse(i, c, x, 6, 1.2, covers).tolist() for i, c in enumerate(lists)]
+
+
+def test_repair_attaches_many_parts_without_a_pass_for_each(monkeypatch):
+    x = np.repeat(np.random.default_rng(5).normal(size=(60, 4)), 3, axis=0)  # copies that know only one another
+    lists, measured, usual = [np.setdiff1d(np.arange(i - i % 3, i - i % 3 + 3), [i]) for i in range(180)], [], kernels.sq
+    monkeypatch.setattr(kernels, "sq", lambda a, b: measured.append(len(a)) or usual(a, b))
+    kernels.repair(lists, x, 0)
+    assert kernels.reach(lists, 0).all() and sum(measured) < 60 * 10
+
+
+def test_lanes_keep_cores_busy_without_many_copies():
+    assert graph.lanes_for(5_128, 4, 6) == 5 and graph.lanes_for(100, 4, 6) == 1 and graph.lanes_for(100_000, 50, 6) == 10
